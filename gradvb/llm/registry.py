@@ -6,11 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gradvb.llm import packing, simhash
+from gradvb.llm import packing, simhash, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op6_toxicity": toxicity.query,
         "op7_simhash": simhash.query,
         "op10_packing": packing.query,
     }

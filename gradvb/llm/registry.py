@@ -6,11 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gradvb.llm import packing, simhash, toxicity
+from gradvb.llm import html_text, licenses, packing, quality, simhash, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op3_quality": quality.query,
+        "op4_licenses": licenses.query,
+        "op5_html": html_text.query,
         "op6_toxicity": toxicity.query,
         "op7_simhash": simhash.query,
         "op10_packing": packing.query,

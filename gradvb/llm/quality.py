@@ -122,19 +122,14 @@ def joined(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(b"".join(texts), np.uint8), np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
 
 
-def fit_weights(text: np.ndarray, bucket: np.ndarray, y: np.ndarray, smooth: float = 1.0, cost: float = 1.0) -> np.ndarray:
-    good = np.bincount(bucket[y[text] == 1], minlength=BUCKETS) + smooth
-    bad = np.bincount(bucket[y[text] == 0], minlength=BUCKETS) + smooth
-    ratio = np.log((good / (y == 1).sum()) / (bad / (y == 0).sum()))
-    seen = np.bincount(bucket, minlength=BUCKETS) > 1
-    ratio = np.where(seen, ratio, 0.0)
-    order = np.argsort(text, kind="stable")
-    cuts = np.searchsorted(text[order], np.arange(1, len(y)))
-    rows = [np.unique(r) for r in np.split(bucket[order], cuts)]
-    sign = np.where(y == 1, 1.0, -1.0)
+def fit_weights(rows: list[np.ndarray], y: np.ndarray, smooth: float = 1.0, cost: float = 1.0) -> np.ndarray:
+    """Per bucket, the log ratio of its counts in both classes times its hinge weight on indicators so scaled."""
+    count = [np.bincount(np.concatenate([r for r, own in zip(rows, y, strict=True) if own == k]), minlength=BUCKETS) for k in (0, 1)]
+    ratio = np.log(((count[1] + smooth) / (y == 1).sum()) / ((count[0] + smooth) / (y == 0).sum()))
+    ratio[count[0] + count[1] < 2] = 0
     share = np.where(y == 1, (y == 1).mean(), (y == 0).mean())
-    scale = np.array([max(1, len(r)) for r in rows])
-    return ratio * dual_descent(rows, ratio, sign, cost * 0.5 / share / np.sqrt(scale))
+    scale = np.sqrt([max(1, len(r)) for r in rows])
+    return ratio * dual_descent(rows, ratio, np.where(y == 1, 1.0, -1.0), cost * 0.5 / share / scale)
 
 
 def fit_quality(texts: list[bytes], y: np.ndarray) -> QualityModel:
@@ -145,22 +140,21 @@ def fit_quality(texts: list[bytes], y: np.ndarray) -> QualityModel:
     if len(set(y.tolist())) < 2:
         share = np.clip(float(y.mean()) if len(y) else 0.5, 1e-6, 1 - 1e-6)
         return QualityModel(np.zeros(BUCKETS), np.array([0, np.log(share / (1 - share))]))
-    parts = []
-    for first, data, offsets in slices(pa.array(texts, pa.large_binary())):
-        t, b = indicators(data, offsets)
-        parts.append((t + first, b))
-    text, bucket = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
+    rows: list[np.ndarray] = []
+    for _, data, offsets in slices(pa.array(texts, pa.large_binary()), 500_000):
+        text, bucket = indicators(data, offsets)
+        order = np.argsort(text, kind="stable")
+        cuts = np.searchsorted(text[order], np.arange(1, len(offsets) - 1))
+        rows += [np.unique(r).astype(np.int32) for r in np.split(bucket[order], cuts)]
     half, margin = halves(texts), np.zeros(len(texts))
-    size = np.sqrt(np.maximum(np.bincount(text, minlength=len(texts)), 1))
     for k in (0, 1):
-        learn = half != k
+        learn = np.flatnonzero(half != k)
         if len(set(y[learn].tolist())) < 2:
-            learn = np.ones(len(texts), bool)
-        place = np.cumsum(learn) - 1
-        own = learn[text]
-        weight = fit_weights(place[text[own]], bucket[own], y[learn])
-        margin = np.where(half == k, np.bincount(text, weights=weight[bucket], minlength=len(texts)) / size, margin)
-    return QualityModel(fit_weights(text, bucket, y), fit_logistic(np.clip(margin, -50, 50)[:, None], y))
+            learn = np.arange(len(texts))
+        weight = fit_weights([rows[i] for i in learn], y[learn])
+        for i in np.flatnonzero(half == k):
+            margin[i] = weight[rows[i]].sum() / np.sqrt(max(1, len(rows[i])))
+    return QualityModel(fit_weights(rows, y), fit_logistic(np.clip(margin, -50, 50)[:, None], y))
 
 
 def score_quality(docs: DataFrame, model: QualityModel, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.3) -> DataFrame:
@@ -181,7 +175,7 @@ def score_quality(docs: DataFrame, model: QualityModel, id_col: str = "doc_id",
     return chosen.mapInArrow(run, "doc_id long, score double, predicted int")
 
 
-def train_quality(docs: DataFrame, labels: DataFrame, bound: int = 4000) -> QualityModel:
+def train_quality(docs: DataFrame, labels: DataFrame, bound: int = 3000) -> QualityModel:
     """Fit on at most ``bound`` labelled texts outside the held-out fifth."""
     return fit_quality(*training_rows(docs, labels, "quality", 5, 0, bound))
 

@@ -108,33 +108,34 @@ def fit_vectors(texts: list[bytes], y: np.ndarray, dim: int = 8, rounds: int = 3
     word is toxic given that some word of the text is.
     """
     rng = np.random.default_rng(seed)
-    offsets = np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
-    words = find_words(np.frombuffer(b"".join(texts), np.uint8), offsets)
-    if not len(words.starts):
+    names, spelled, pairs = [], [], []
+    for first_text, data, offsets in slices(pa.array(texts, pa.large_binary()), 500_000):
+        part = find_words(data, offsets)
+        name = mix(span_hash(prefix_hash(part.stream), part.starts, part.ends))
+        own, sample = np.unique(name, return_index=True)
+        names.append(own)
+        spelled += [part.stream[s:e].tobytes() for s, e in zip(part.starts[sample].tolist(), part.ends[sample].tolist(), strict=True)]
+        pairs.append(np.unique(np.stack([part.text + first_text, np.searchsorted(own, name)]), axis=1) + np.array([[0], [sum(map(len, names[:-1]))]]))
+    if not spelled:
         return ToxicityModel(np.zeros(BUCKETS), 0.0, np.zeros(5))
-    mark = np.zeros(len(words.stream), np.int64)
+    _, sample, kind_of = np.unique(np.concatenate(names), return_index=True, return_inverse=True)
+    doc, kind = np.concatenate(pairs, axis=1)
+    kind = kind_of[kind]
+    spelled = [spelled[i] for i in sample.tolist()]
+    words = find_words(*joined([b" ".join(spelled)]))
+    mark = np.zeros(len(words.stream), np.int32)
     mark[words.starts] = 1
-    owner = np.cumsum(mark) - 1
-    name = mix(span_hash(prefix_hash(words.stream), words.starts, words.ends))
-    _, sample, kind = np.unique(name, return_index=True, return_inverse=True)
-    is_sample = np.zeros(len(words.starts), bool)
-    is_sample[sample] = True
-    rank = np.full(len(words.starts), -1)
-    rank[sample] = np.arange(len(sample))
+    owner = np.cumsum(mark, dtype=np.int32) - 1
     rows, cols = [], []
     for valid, bucket in subwords(words):
         at = np.flatnonzero(valid)
-        w = owner[at + 1]
-        own = is_sample[w]
-        rows.append(rank[w[own]])
-        cols.append(bucket[at[own]])
+        rows.append(owner[at + 1])
+        cols.append(bucket[at].astype(np.int32))
     rows, cols = np.concatenate(rows), np.concatenate(cols)
     order = np.argsort(rows, kind="stable")
     rows, cols = rows[order], cols[order]
     first = np.searchsorted(rows, np.arange(len(sample) + 1))
     size = np.diff(first)
-    pair = np.unique(words.text.astype(np.int64) * len(sample) + kind)
-    doc, kind = pair // len(sample), pair % len(sample)
     toxic = y[doc] == 1
     against = np.bincount(kind[~toxic], minlength=len(sample)).astype(float)
     blame = np.ones(int(toxic.sum()))
@@ -230,7 +231,7 @@ def score_toxicity(
     return chosen.mapInArrow(run, "doc_id long, score double, predicted int")
 
 
-def train_toxicity(docs: DataFrame, labels: DataFrame, bound: int = 4000) -> ToxicityModel:
+def train_toxicity(docs: DataFrame, labels: DataFrame, bound: int = 3000) -> ToxicityModel:
     """Fit on at most ``bound`` labelled texts outside the held-out third."""
     return fit_toxicity(*training_rows(docs, labels, "toxic", 3, 1, bound))
 

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gradvb.llm import html_text, licenses, packing, quality, simhash, toxicity
+from gradvb.llm import html_text, licenses, packing, quality, simhash, toxicity, vector_dedup
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,6 +16,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_html": html_text.query,
         "op6_toxicity": toxicity.query,
         "op7_simhash": simhash.query,
+        "op9_vectors": vector_dedup.query,
         "op10_packing": packing.query,
     }
 

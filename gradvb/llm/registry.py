@@ -6,11 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gradvb.llm import html_text, licenses, packing, quality, simhash, toxicity, vector_dedup
+from gradvb.llm import html_text, licenses, packing, quality, sharding, simhash, toxicity, vector_dedup
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_sharding": sharding.query,
         "op3_quality": quality.query,
         "op4_licenses": licenses.query,
         "op5_html": html_text.query,

@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gradvb.llm import html_text, licenses, packing, quality, sharding, simhash, toxicity, vector_dedup
+from gradvb.llm import decontaminate, html_text, licenses, packing, quality, sharding, simhash, toxicity, vector_dedup
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_sharding": sharding.query,
+        "op2_decontaminate": decontaminate.query,
         "op3_quality": quality.query,
         "op4_licenses": licenses.query,
         "op5_html": html_text.query,
@@ -23,4 +24,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {
+        "op2_decontaminate": decontaminate.ORACLE,
+    }

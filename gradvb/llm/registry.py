@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from gradvb.llm import decontaminate, html_text, licenses, packing, quality, sharding, simhash, toxicity, vector_dedup
+from gradvb.llm import decontaminate, html_text, licenses, packing, quality, sharding, simhash, suffix_dedup, toxicity, vector_dedup
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -18,6 +18,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_html": html_text.query,
         "op6_toxicity": toxicity.query,
         "op7_simhash": simhash.query,
+        "op8_repeats": suffix_dedup.query,
         "op9_vectors": vector_dedup.query,
         "op10_packing": packing.query,
     }

@@ -75,7 +75,7 @@ def extended(matches: DataFrame, window: int, gram: int) -> tuple[Column, Column
     return F.when(whole, start), F.when(whole, end)
 
 
-def contamination(
+def spans_of(
     docs: DataFrame,
     benchmark: DataFrame,
     window: int = 10,
@@ -85,19 +85,7 @@ def contamination(
     item_col: str = "item_id",
     item_text_col: str = "text",
 ) -> DataFrame:
-    """(doc_id, n_words, n_hit, n_items, items_sha256, contaminated) for every document.
-
-    A document word is hit if it lies in any occurrence of ``window`` consecutive words of an item,
-    or of a whole item that has fewer words. Both sides are winnowed to the least hash of each
-    ``window - gram + 1`` neighbouring grams, selected grams meet by an equality join, and each
-    meeting is extended word by word; stretches of ``window`` words or more count. Items
-    shorter than a window meet all runs of their length.
-
-    Null and wordless texts have no words and no hits; wordless items occur nowhere; items with a
-    null id hit words and are not counted. Equal rows give equal results. An empty table gives no
-    rows, an empty benchmark no hits. Extra columns are not read.
-    """
-    spark = docs.sparkSession
+    """(doc_id, text_key, item, s, e): stretches of words that hold occurring windows of an item."""
     texts = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     texts = texts.select("doc_id", F.xxhash64("text").alias("text_key"), "text")
     items = hashed_words(benchmark.select(F.col(item_col).cast("string").alias("item"), F.col(item_text_col).alias("item_text")), ["item"], "item_text")
@@ -116,7 +104,34 @@ def contamination(
             short = F.broadcast(short)
         runs = words.select("doc_id", "text_key", F.posexplode(grams("h", n)).alias("p", "f"))
         spans = spans.union(runs.join(short, "f").select("doc_id", "text_key", "item", F.col("p").alias("s"), (F.col("p") + n).alias("e")))
+    return spans
 
+
+def contamination(
+    docs: DataFrame,
+    benchmark: DataFrame,
+    window: int = 10,
+    gram: int = 5,
+    id_col: str = "doc_id",
+    text_col: str = "text",
+    item_col: str = "item_id",
+    item_text_col: str = "text",
+) -> DataFrame:
+    """(doc_id, n_words, n_hit, n_items, items_sha256, contaminated) for every document.
+
+    A document word is hit if it lies in any occurrence of ``window`` consecutive words of an item,
+    or of a whole item that has fewer words. Both sides are winnowed to the least hash of each
+    ``window - gram + 1`` neighbouring grams, selected grams meet by an equality join, and each
+    meeting is extended word by word; stretches of ``window`` words or more count. Items
+    shorter than a window meet all runs of their length.
+
+    Null and wordless texts have no words and no hits; wordless items occur nowhere; items with a
+    null id hit words and are not counted. Equal rows give equal results. An empty table gives no
+    rows, an empty benchmark no hits. Extra columns are not read.
+    """
+    spans = spans_of(docs, benchmark, window, gram, id_col, text_col, item_col, item_text_col)
+    texts = docs.select(F.col(id_col).alias("doc_id"), F.xxhash64(text_col).alias("text_key"), F.col(text_col).alias("text"))
+    words = hashed_words(texts, ["doc_id", "text_key"], "text")
     covered = F.aggregate(
         F.array_sort("spans"),
         F.struct(F.lit(0).alias("end"), F.lit(0).cast("long").alias("n")),
@@ -139,6 +154,13 @@ def contamination(
     )
 
 
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The rows of ``docs`` in which no word is hit, with all their columns."""
+    found = spans_of(docs, benchmark, id_col=id_col, text_col=text_col, **options)
+    hit = found.groupBy("doc_id", "text_key").agg(F.count("*").alias("n")).select(F.col("doc_id").alias("hit_id"), F.col("text_key").alias("hit_key"))
+    return docs.join(hit, docs[id_col].eqNullSafe(hit["hit_id"]) & (F.xxhash64(docs[text_col]) == hit["hit_key"]), "left_anti")
+
+
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 

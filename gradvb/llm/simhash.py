@@ -161,3 +161,102 @@ def simhash_groups(
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_groups(table(spark, sf_dir, "documents"))
+
+
+def several_prints(text: bytes, shingle: int, count: int) -> list[int]:
+    """``count`` independent 64-bit fingerprints of a text's word shingles."""
+    from xxhash import xxh3_128_digest
+
+    found = text.lower().split()
+    if not found:
+        return [0] * count
+    n = max(1, len(found) - shingle + 1)
+    shingles = [b" ".join(found[k : k + shingle]) for k in range(n)]
+    out: list[int] = []
+    for seed in range((count + 1) // 2):
+        bits = np.unpackbits(np.frombuffer(b"".join([xxh3_128_digest(s, seed) for s in shingles]), np.uint8).reshape(n, 16), axis=1).sum(axis=0, dtype=np.int64)
+        raw = np.packbits(2 * bits > n).tobytes()
+        out += [int.from_bytes(raw[:8], "big", signed=True), int.from_bytes(raw[8:], "big", signed=True)]
+    return out[:count]
+
+
+def shingle_set(text: bytes, size: int) -> set[bytes]:
+    found = text.lower().split()
+    return {b" ".join(found[k : k + size]) for k in range(max(1, len(found) - size + 1))}
+
+
+def similarity(a: set, b: set) -> float:
+    return len(a & b) / len(a | b)
+
+
+def rows_that_stay(
+    docs: DataFrame, shingle: int = 5, least: float = 0.8, probe: int = 2, prints: int = 3, id_col: str = "doc_id", text_col: str = "text"
+) -> DataFrame:
+    """(doc_id, text_key) of the rows that stay: one of each group of equal or near-equal texts, that of the smallest id.
+
+    Texts are near if their sets of ``shingle`` words have a similarity of ``least``. Candidates
+    come from ``prints`` independent SimHash fingerprints of ``probe`` words within three bits, met by
+    deletion-variant signatures; each candidate is verified on the texts.
+    """
+    import zstandard
+
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("key"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+
+    def fingerprinted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fps = [several_prints(x, probe, prints) for x in as_binary(batch.column(2)).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fps, pa.list_(pa.int64()))], names=["id", "key", "fps"])
+
+    each = rows.mapInArrow(fingerprinted, "id long, key long, fps array<long>")
+    texts = cut_lineage(each.groupBy("key").agg(F.min("id").alias("first_id"), F.first("fps").alias("fps")))
+    found = None
+    for k in range(prints):
+        own = texts.select("key", F.col("fps")[k].alias("fp"))
+        leaders = own.groupBy("fp").agg(F.min("key").alias("leader"))
+        links = near_links(leaders.select("fp")).distinct()
+        links = links.join(leaders.toDF("a", "x"), "a").join(leaders.toDF("b", "y"), "b").select("x", "y")
+        same = own.join(leaders, "fp").where("key != leader").select(F.col("leader").alias("x"), F.col("key").alias("y"))
+        part = links.union(same).select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
+        found = part if found is None else found.union(part)
+    found = cut_lineage(found.distinct())
+    ends = found.select(F.col("x").alias("key")).union(found.select("y")).distinct()
+    ends = ends.join(texts.select("key", "first_id"), "key")
+
+    def zipped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        press = zstandard.ZstdCompressor(level=3)
+        for batch in batches:
+            z = [press.compress(x) for x in as_binary(batch.column(2)).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], names=["id", "key", "z"])
+
+    bodies = rows.mapInArrow(zipped, "id long, key long, z binary")
+    bodies = bodies.join(ends.withColumnRenamed("key", "own"), (F.col("key") == F.col("own")) & F.col("id").eqNullSafe(F.col("first_id")))
+    bodies = cut_lineage(bodies.groupBy("key").agg(F.first("z").alias("z")))
+    pairs = found.join(bodies.toDF("x", "zx"), "x").join(bodies.toDF("y", "zy"), "y").select("x", "y", "zx", "zy")
+
+    def verified(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        open_, kept, last = zstandard.ZstdDecompressor(), set(), None
+        for batch in batches:
+            out = []
+            for x, y, zx, zy in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
+                if x != last:
+                    kept, last = shingle_set(open_.decompress(zx), shingle), x
+                if similarity(kept, shingle_set(open_.decompress(zy), shingle)) >= least:
+                    out.append((x, y))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], names=["a", "b"])
+
+    groups = components(pairs.mapInArrow(verified, "a long, b long"))
+    named = texts.join(groups, texts["key"] == groups["node"], "left").select("key", "first_id", F.coalesce("component", "key").alias("group"))
+    best = named.groupBy("group").agg(F.min(F.struct(F.col("first_id").isNull(), "first_id", "key")).alias("best"))
+    return best.select(F.col("best.first_id").alias("doc_id"), F.col("best.key").alias("text_key"))
+
+
+def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The rows of ``docs`` that ``rows_that_stay`` leaves, each once, with all their columns."""
+    stay = cut_lineage(rows_that_stay(docs, id_col=id_col, text_col=text_col, **options)).toDF("stay_id", "stay_key")
+    key = F.xxhash64(F.coalesce(docs[text_col], F.lit("")))
+    kept = docs.join(stay, docs[id_col].cast("long").eqNullSafe(stay["stay_id"]) & (key == stay["stay_key"]), "left_semi")
+    ids = docs.select(docs[id_col].cast("long").alias("id"), key.alias("key")).groupBy("id", "key").agg(F.count("*").alias("n"))
+    if ids.where("n > 1").isEmpty():
+        return kept
+    return kept.dropDuplicates([id_col, text_col])

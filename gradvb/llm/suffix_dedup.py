@@ -375,5 +375,43 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: s
     return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept string" * keep_text)
 
 
+def strip_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` without their repeated strings; rows of which nothing but white space is left go.
+
+    Whole characters stay whole: the bytes of a character that a cut divides go with it. A column
+    ``n_chars`` is counted anew. Texts without repeats, null texts among them, stay as they are.
+    """
+    found = repeated_spans(docs, length, gram, id_col, text_col).toDF("own_rid", "spans")
+    others = [c for c in docs.columns if c != text_col]
+    rid = F.xxhash64(F.col(id_col).cast("long"), text_col)
+    shaped = docs.select(F.struct(*others).alias("rest"), rid.alias("rid"), F.col(text_col).alias("text"))
+    rest = shaped.schema["rest"].dataType.simpleString()
+
+    def press(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = zstandard.ZstdCompressor(level=3)
+        for batch in batches:
+            z = [None if x is None else own.compress(x) for x in as_binary(batch.column(2)).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], names=["rest", "rid", "z"])
+
+    def restore(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = zstandard.ZstdDecompressor()
+        for batch in batches:
+            texts, stays = [], []
+            for z, spans_ in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+                text = None if z is None else own.decompress(z)
+                if spans_:
+                    parts, _, _ = kept_parts(text, spans_)
+                    text = b"".join(p.decode("utf-8", "ignore").encode() for p in parts)
+                stays.append(not spans_ or bool(text.strip()))
+                texts.append(text)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.binary()).cast(pa.string()), pa.array(stays)], names=["rest", "text", "stays"])
+
+    packed = shaped.mapInArrow(press, f"rest {rest}, rid long, z binary")
+    joined = packed.join(found, packed["rid"] == found["own_rid"], "left").select("rest", "z", "spans")
+    out = joined.mapInArrow(restore, f"rest {rest}, text string, stays boolean").where("stays")
+    columns = [F.col("text").alias(c) if c == text_col else F.length("text").cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col("rest")[c].alias(c) for c in docs.columns]
+    return out.select(*columns)
+
+
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(table(spark, sf_dir, "documents"))

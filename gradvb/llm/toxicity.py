@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from gradvb.llm.common import IS_WORD, LOWER, labelled_crc, mix, prefix_hash, slices, span_hash, table
 from gradvb.llm.labelled import fit_logistic, halves, logistic, training_rows
@@ -225,7 +226,7 @@ def score_toxicity(
     if keep:
         others = [c for c in docs.columns if c not in (id_col, text_col)]
         chosen = docs.select(id_col, text_col, *others)
-        schema = chosen.schema.add("toxic_score", "double").add("toxic_predicted", "int")
+        schema = StructType(list(chosen.schema)).add("toxic_score", "double").add("toxic_predicted", "integer")
         return chosen.mapInArrow(run, schema).select(*docs.columns, "toxic_score", "toxic_predicted")
     chosen = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     return chosen.mapInArrow(run, "doc_id long, score double, predicted int")

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from gradvb.models import Logit, Model
 
 #: Up to so many parameters sums are columns in generated code, beyond it matrix products of blocks.
-COLUMN_DIM = 16
+COLUMN_DIM = 8
 
 
 @dataclass(frozen=True)

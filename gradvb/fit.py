@@ -56,6 +56,7 @@ class FitConfig:
     family: str = "factor"
     factors: int = 1
     scrambling: str = "nested"
+    start: str = "warm"
     anchor_fraction: float = 0.3
     tiles: int = 16
     engine: str = "auto"
@@ -112,9 +113,39 @@ def bound_gradient(state: Gaussian, eps: np.ndarray, thetas: np.ndarray, grad: n
     return state.analytic_part(prior)[1] + state.data_gradient(eps, grad)
 
 
-def ascend(provider, state: Gaussian, prior: NormalPrior | None = None, cfg: FitConfig | None = None, anchor=None) -> FitResult:
-    """Run the loop on any provider of gradient estimates until it settles, diverges or runs out of time."""
+def steepness(state: Gaussian, information: np.ndarray) -> float:
+    """How much steeper than the family's covariance the target is in its steepest direction; natural steps above 2 / this diverge."""
+    return float(np.abs(np.linalg.eigvals(state.cov() @ information)).max())
+
+
+def warm_start(state: Gaussian, anchor: Sums, prior: NormalPrior, steps: int = 400) -> Gaussian:
+    """The loop on the anchor's quadratic expansion alone, whose expectations are closed forms: no data and no draws."""
+    information = -anchor.hess + np.eye(len(anchor.theta)) / prior.var
+    for _ in range(steps):
+        slope = anchor.grad + anchor.hess @ (state.mu - anchor.theta)
+        data = np.concatenate([slope, 0.5 * np.einsum("ij,pji->p", anchor.hess, state.cov_basis())])
+        direction = state.natural(state.analytic_part(prior)[1] + data)
+        size = min(1.0, 1 / steepness(state, information))
+        for _ in range(40):
+            try:
+                state = state.moved(size * direction)
+                break
+            except ValueError:
+                size /= 2
+        if np.abs(size * direction).max() < 1e-10:
+            break
+    return state
+
+
+def ascend(provider, state: Gaussian, prior: NormalPrior | None = None, cfg: FitConfig | None = None, anchor=None, curvature: np.ndarray | None = None) -> FitResult:
+    """Run the loop on any provider of gradient estimates until it settles, diverges or runs out of time.
+
+    ``curvature`` (the Hessian's sum near the target; by default that of the provider's anchor)
+    bounds natural steps, which would otherwise diverge where the family is wider than the target.
+    """
     prior, cfg = prior or NormalPrior(), cfg or FitConfig()
+    if curvature is None and getattr(provider, "anchor", None) is not None:
+        curvature = provider.anchor.hess
     source = DrawSource(cfg.draws, cfg.seed, cfg.scrambling)
     trace, bounds, path, status, began = [], [], [], "max_iter", time.time()
     for t in range(cfg.max_iter):
@@ -129,6 +160,8 @@ def ascend(provider, state: Gaussian, prior: NormalPrior | None = None, cfg: Fit
             status = "diverged"
             break
         size, moved = cfg.step(t), None
+        if curvature is not None and cfg.geometry == "natural":
+            size = min(size, 1 / steepness(state, np.eye(state.dim) / prior.var - curvature))
         for _ in range(40):
             try:
                 moved = state.moved(size * direction)
@@ -154,6 +187,12 @@ def ascend(provider, state: Gaussian, prior: NormalPrior | None = None, cfg: Fit
     return FitResult(state, anchor, trace, status, time.time() - began)
 
 
+def first_state(subset: Sums, anchor: Sums, prior: NormalPrior, cfg: FitConfig) -> Gaussian:
+    """From the subset's information scaled up; ``warm`` then settles it on the anchor's expansion."""
+    state = init_state(anchor.theta, -subset.hess, anchor.n / subset.n, cfg.factors, cfg.family)
+    return warm_start(state, anchor, prior) if cfg.start == "warm" else state
+
+
 @dataclass
 class Prepared:
     """What fits of one table share: the store, its counts, the subset's fit and the anchor's exact sums."""
@@ -164,8 +203,8 @@ class Prepared:
     anchor: Sums
     model: Model
 
-    def start(self, cfg: FitConfig) -> Gaussian:
-        return init_state(self.anchor.theta, -self.subset.hess, self.anchor.n / self.subset.n, cfg.factors, cfg.family)
+    def start(self, cfg: FitConfig, prior: NormalPrior | None = None) -> Gaussian:
+        return first_state(self.subset, self.anchor, prior or NormalPrior(), cfg)
 
     def provider(self, cfg: FitConfig, seed: int | None = None) -> SampleProvider:
         return SampleProvider(self.store, self.anchor, cfg.m, self.model, cfg.seed if seed is None else seed, cfg.scheme, cfg.surrogate, cfg.pairing, cfg.engine, counts=self.counts)
@@ -185,7 +224,7 @@ def fit_ngvb(obs: DataFrame, model: Model | None = None, prior: NormalPrior | No
     cfg = cfg or FitConfig()
     ready = prepare(obs, model, cfg, key)
     try:
-        return ascend(ready.provider(cfg), ready.start(cfg), prior, cfg, ready.anchor.theta)
+        return ascend(ready.provider(cfg), ready.start(cfg, prior), prior, cfg, ready.anchor.theta)
     finally:
         ready.store.unpersist()
 

@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradvb.llm.common import table
+from gradvb.llm.common import small_batches, table
 
 MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
 NAMES = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
@@ -177,7 +177,7 @@ def extract(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", k
             texts = [main_text(h) for h in batch.column(batch.num_columns - 1).to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=[*names, "text", "n_chars"])
 
-    chosen = pages.select(F.col(id_col).cast("long").alias("page_id"), *keep, F.col(html_col).alias("html"))
+    chosen = small_batches(pages).select(F.col(id_col).cast("long").alias("page_id"), *keep, F.col(html_col).alias("html"))
     names = chosen.columns[:-1]
     schema = chosen.drop("html").schema.add("text", "string").add("n_chars", "long")
     return chosen.mapInArrow(run, schema)

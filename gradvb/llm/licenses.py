@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradvb.llm.common import IS_WORD, LOWER, mix, prefix_hash, runs, slices, span_hash, table
+from gradvb.llm.common import IS_WORD, LOWER, mix, prefix_hash, runs, slices, small_batches, span_hash, table
 
 #: The phrases that count as base places, and their labels.
 BASE_PHRASES = {
@@ -157,7 +157,7 @@ def scan(docs: DataFrame, notices: list[tuple[str, str, list[str]]] | None = Non
             arrays = [batch.column(0), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))]
             yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score"])
 
-    chosen = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    chosen = small_batches(docs).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     return chosen.mapInArrow(run, "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double")
 
 

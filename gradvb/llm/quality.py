@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradvb.llm.common import IS_SPACE, labelled_crc, mix, prefix_hash, runs, slices, span_hash, table
+from gradvb.llm.common import IS_SPACE, labelled_crc, mix, prefix_hash, runs, slices, small_batches, span_hash, table
 from gradvb.llm.labelled import fit_logistic, halves, logistic, training_rows
 
 BUCKETS = 1 << 18
@@ -163,7 +163,7 @@ def score_quality(docs: DataFrame, model: QualityModel, id_col: str = "doc_id",
     Null and empty texts are scored as texts without tokens. Repeated rows are scored as often
     as they come, an empty table gives no rows, other columns are not read.
     """
-    shipped = docs.sparkSession.sparkContext.broadcast(model)
+    shipped = small_batches(docs).sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -26,11 +26,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from gradvb.llm.common import POWERS, as_binary, mix, slices, table
+from gradvb.llm.common import POWERS, as_binary, mix, slices, small_batches, table
 from gradvb.session import cut_lineage, ensure_checkpoint_dir
 
 #: Bytes of anchors' texts that a task holds to settle repeats within itself.
-CHUNK_BYTES = 64_000_000
+CHUNK_BYTES = 32_000_000
 #: Surroundings of one gram up to this number are sorted by one task; those of commoner grams are matched by a shuffle of their windows.
 GROUP_LIMIT = 20_000
 #: Surroundings sorted at a time.
@@ -279,7 +279,7 @@ def packed_texts(docs: DataFrame) -> DataFrame:
 
 def repeated_spans(docs: DataFrame, length: int = 200, gram: int = 64, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(rid, spans): for rows with repeated strings, the byte intervals (lo, hi) they cover; rid is xxhash64(id, text)."""
-    spark = docs.sparkSession
+    spark = small_batches(docs).sparkSession
     texts = docs.select(F.xxhash64(F.col(id_col).cast("long"), text_col).alias("rid"), F.col(text_col).alias("text"))
     folder = f"{ensure_checkpoint_dir(spark)}/suffixes-{uuid.uuid4().hex}"
     find_anchors(texts, length, gram).write.parquet(folder)

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from gradvb.llm.common import IS_WORD, LOWER, labelled_crc, mix, prefix_hash, slices, span_hash, table
+from gradvb.llm.common import IS_WORD, LOWER, labelled_crc, mix, prefix_hash, slices, small_batches, span_hash, table
 from gradvb.llm.labelled import fit_logistic, halves, logistic, training_rows
 
 BUCKETS = 1 << 17
@@ -213,7 +213,7 @@ def score_toxicity(
     empty texts are scored as texts without words. Repeated rows are scored as often as they
     come, an empty table gives no rows.
     """
-    shipped = docs.sparkSession.sparkContext.broadcast(model)
+    shipped = small_batches(docs).sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -9,6 +9,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 from gradvb.draws import scramble, sobol
 
@@ -54,7 +55,7 @@ def predict_prob(x: Column, mu: list[float]) -> Column:
     """Vectorised probability of an array column of covariates at fixed coefficients."""
     weights = np.asarray(mu, float)
 
-    @F.pandas_udf("double")
+    @F.pandas_udf(DoubleType())
     def probability(v: pd.Series) -> pd.Series:
         if not len(v):
             return pd.Series([], dtype=float)
@@ -63,7 +64,7 @@ def predict_prob(x: Column, mu: list[float]) -> Column:
     return probability(x)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def log_sum_exp(v: pd.Series) -> float:
     """Grouped aggregate; its native twin is ``operators.log_sum_exp``."""
     top = v.max()

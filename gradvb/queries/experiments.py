@@ -1,2 +1,357 @@
-"""placeholder"""
-QUERIES, SQL = {}, {}
+"""The experiments: fits, chains and ablations on the workloads; each returns a table of results.
+
+Iterative and random methods have no SQL form; tests hold them against exact fits and known
+truth. ``experiment`` functions take their sizes as arguments, so the published settings and
+smaller ones run alike; the registered queries use the published settings scaled to the table.
+"""
+
+from __future__ import annotations
+
+from dataclasses import replace
+
+import numpy as np
+from pyspark.sql import functions as F
+
+from gradvb import baselines, measures
+from gradvb.designs import (
+    FLIGHT_BETA, FULL_FLIGHT_BETA, PANEL_BETA, PANEL_TAU2, conversation_panels, embedding_design, event_flights, events_panels, flights, nest_panels, quality_design, supplier_panels, w3_panels,
+)
+from gradvb.draws import DrawSource, star_discrepancy_l2
+from gradvb.estimators import ExactProvider, SampleProvider, sufficient_cells
+from gradvb.families import NormalPrior
+from gradvb.fit import FitConfig, StepSize, ascend, compare_models, fit_exact_vb, prepare
+from gradvb.panel import Integrator, PanelProvider, fit_ngvb_panels, fit_panel_anchor, panel_sums, to_block
+from gradvb.sampling import assign_chunks, tile_counts
+from gradvb.sums import exact_sums, fit_mle
+
+SUMMARY = "arm string, param string, mean double, sd double, anchor double, truth double, iterations int, minutes double, status string"
+PANEL_TRUTH = (*PANEL_BETA, float(np.log(PANEL_TAU2)))
+
+
+def summary_rows(arm: str, fit, truth=None) -> list[tuple]:
+    mean, sd = fit.state.marginals()
+    pick = lambda v, k: None if v is None else float(v[k])
+    return [(arm, f"b{k}", float(mean[k]), float(sd[k]), pick(fit.anchor, k), pick(truth, k), fit.iterations, fit.seconds / 60, fit.status) for k in range(len(mean))]
+
+
+def chain_rows(arm: str, chain, truth=None) -> list[tuple]:
+    d = chain.draws
+    return [(arm, f"b{k}", float(d[:, k].mean()), float(d[:, k].std(ddof=1)), None, None if truth is None else float(truth[k]), len(d), chain.seconds / 60, "chain") for k in range(d.shape[1])]
+
+
+def moderate_flights(spark, sf_dir, shares=(0.01, 0.02), chain_iters=30_000, burn=10_000, tolerance=1e-7, response="late_planted", obs=None):
+    """Chain against noisy-gradient fits with plain and quasi-random draws, at two subsample sizes."""
+    obs = (obs if obs is not None else flights(spark, sf_dir, response)).cache()
+    truth = FLIGHT_BETA if "planted" in response else None
+    ready = prepare(obs)
+    rows = []
+    for kind in ("mc", "rqmc"):
+        for m in shares:
+            cfg = FitConfig(draws=kind, m=m, tolerance=tolerance)
+            rows += summary_rows(f"{kind}_{m:g}", ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), truth)
+    if chain_iters:
+        rows += chain_rows("chain", baselines.rw_mcmc(obs, iters=chain_iters, burn=burn), truth)
+    obs.unpersist()
+    return spark.createDataFrame(rows, SUMMARY)
+
+
+def full_flights(spark, sf_dir, chunks=(8, 32, 128), share=0.05, tolerance=1e-7):
+    """Chunked fits at several numbers of chunks, with divide-and-combine beside them: the first must not move with the chunks."""
+    obs = flights(spark, sf_dir, beta=FULL_FLIGHT_BETA).cache()
+    rows = []
+    for k in chunks:
+        cfg = FitConfig(m=share, tolerance=tolerance, scheme="chunks", tiles=k, anchor_fraction=0.045 if obs.count() > 200_000 else 0.3)
+        ready = prepare(obs, cfg=cfg)
+        fit = ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta)
+        rows += summary_rows(f"chunks_{k}", fit, FULL_FLIGHT_BETA)
+        theta, cov = baselines.divide_and_combine(obs, k)
+        rows += [(f"combined_{k}", f"b{j}", float(theta[j]), float(np.sqrt(cov[j, j])), None, FULL_FLIGHT_BETA[j], 1, None, "combined") for j in range(len(theta))]
+        ready.store.unpersist()
+    obs.unpersist()
+    return spark.createDataFrame(rows, SUMMARY)
+
+
+def panel_fits(spark, sf_dir, sizes=(50, 100, 200), count=256, tolerance=1e-5, panels=None, arms=("mc", "rqmc"), truth=PANEL_TRUTH):
+    """Panel fits by subsample size and kind of draws; the panel's integral is drawn the same way."""
+    nested = (panels if panels is not None else nest_panels(w3_panels(spark, sf_dir).drop("panel_rank"))).cache()
+    n = nested.count()
+    rows = []
+    for kind in arms:
+        for m in sizes:
+            cfg = FitConfig(draws=kind, tolerance=tolerance)
+            rows += summary_rows(f"{kind}_{m}", fit_ngvb_panels(nested, Integrator("prior", count, kind), min(m, n), None, cfg), truth)
+    nested.unpersist()
+    return spark.createDataFrame(rows, SUMMARY)
+
+
+def local_panels(nested, limit: int):
+    """The first panels as one block, for chains, whose every step needs all of them on the driver."""
+    rows = nested.orderBy("panel_id").limit(limit).collect()
+    return to_block([r.panel_id for r in rows], [r.y for r in rows], [r.x for r in rows])
+
+
+def pseudo_marginal(spark, sf_dir, panels=100, iters=200, burn=100, count: int | str = 64):
+    """Pseudo-marginal chain on a stated number of panels, with the tuned number of draws and its diagnostics."""
+    nested = nest_panels(w3_panels(spark, sf_dir).drop("panel_rank")).orderBy("panel_id").limit(panels).cache()
+    start = panel_sums(nested, fit_panel_anchor(nested, Integrator("quadrature", 20), 1.0).theta, Integrator("quadrature", 20))
+    block = local_panels(nested, panels)
+    tuned, seen = baselines.tune_is_count(block, start.theta, repeats=6, most=1024)
+    chain = baselines.pm_mcmc(block, start, n_is=tuned if count == "auto" else count, iters=iters, burn=burn)
+    rows = chain_rows("pseudo_marginal", chain, PANEL_TRUTH)
+    rows += [("diagnostics", name, float(v), 0.0, None, None, iters, None, "chain") for name, v in (("acceptance", chain.accepted.mean()), ("longest_stuck", chain.longest_stuck()), ("tuned_draws", tuned), ("last_variance", seen[-1][1]), ("effective_size_b0", measures.effective_size(chain.draws[:, 0])))]
+    nested.unpersist()
+    return spark.createDataFrame(rows, SUMMARY)
+
+
+def likelihood_estimate_vb(spark, sf_dir, m=100, iters=60):
+    """The predecessor, by score-function gradients of likelihood estimates, beside the noisy-gradient fit from the same start."""
+    obs = flights(spark, sf_dir).cache()
+    ready = prepare(obs)
+    cfg = FitConfig(m=0.02, max_iter=iters, tolerance=1e-6)
+    fits = {"reparam": ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), "levb": baselines.fit_levb(ready.provider(cfg), ready.start(cfg), None, cfg)}
+    rows = [r for arm, fit in fits.items() for r in summary_rows(arm, fit, FLIGHT_BETA)]
+    obs.unpersist()
+    return spark.createDataFrame(rows, SUMMARY)
+
+
+def levb_panels(spark, sf_dir, m=100, iters=40):
+    """The predecessor on panels, whose likelihood is estimated by importance sampling."""
+    from pyspark.sql import Window as W
+
+    from gradvb.fit import first_state
+
+    nested = nest_panels(w3_panels(spark, sf_dir).drop("panel_rank")).withColumn("panel_rank", F.row_number().over(W.orderBy("panel_id"))).cache()
+    how = Integrator("prior", 128, "rqmc")
+    subset = fit_panel_anchor(nested, how)
+    sums = panel_sums(nested, subset.theta, how)
+    cfg = FitConfig(max_iter=iters, tolerance=1e-5, s=128)
+    fit = baselines.fit_levb(PanelProvider(nested, sums, how, m), first_state(subset, sums, NormalPrior(), cfg), None, cfg)
+    nested.unpersist()
+    return spark.createDataFrame(summary_rows("levb_panels", fit, PANEL_TRUTH), SUMMARY)
+
+
+def exact_and_plain(spark, sf_dir, m=0.02):
+    """Exact-gradient VB, the Laplace normal, plain subsampling (which may diverge) and the corrected fit, from one start."""
+    obs = flights(spark, sf_dir).cache()
+    cfg = FitConfig(m=m, tolerance=1e-7)
+    ready = prepare(obs, cfg=cfg)
+    start = ready.start(cfg)
+    rows = summary_rows("corrected", ascend(ready.provider(cfg), start, None, cfg, ready.anchor.theta), FLIGHT_BETA)
+    cells = sufficient_cells(obs)
+    rows += summary_rows("exact_cells", ascend(cells, start, None, cfg, curvature=ready.anchor.hess), FLIGHT_BETA)
+    rows += summary_rows("exact_rows", ascend(ExactProvider(obs), start, None, replace(cfg, max_iter=8, s=64), curvature=ready.anchor.hess), FLIGHT_BETA)
+    paper = ready.start(replace(cfg, start="subset"))
+    rows += summary_rows("plain", baselines.plain_subsampling(ready.store, ready.counts, paper, m, replace(cfg, max_iter=30)), FLIGHT_BETA)
+    best, sd = baselines.laplace(obs)
+    rows += [("laplace", f"b{k}", float(best.theta[k]), float(sd[k]), None, FLIGHT_BETA[k], 1, None, "newton") for k in range(4)]
+    obs.unpersist()
+    return spark.createDataFrame(rows, SUMMARY)
+
+
+def subsample_chain(spark, sf_dir, m=0.02, iters=2000, burn=500):
+    """Chain on difference estimates of the likelihood."""
+    obs = flights(spark, sf_dir).cache()
+    ready = prepare(obs)
+    provider = SampleProvider(ready.store, ready.anchor, m, block=50, counts=ready.counts)
+    chain = baselines.subsample_mcmc(provider, ready.anchor, iters, burn)
+    obs.unpersist()
+    return spark.createDataFrame(chain_rows("subsample_chain", chain, FLIGHT_BETA), SUMMARY)
+
+
+def ablations(spark, sf_dir):
+    """Surrogate, subsample, pairing, geometry, estimator, step, family, factors and scramble, one changed at a time."""
+    obs = flights(spark, sf_dir).cache()
+    base = FitConfig(m=0.01, tolerance=1e-6, max_iter=40)
+    ready = prepare(obs, cfg=base)
+    arms = {
+        "base": {}, "surrogate_constant": {"surrogate": "constant"}, "m_doubled": {"m": 0.02}, "mc": {"draws": "mc"}, "few_draws": {"s": 16}, "euclidean": {"geometry": "euclidean"},
+        "score_function": {"estimator": "score"}, "no_analytic": {"analytic": False}, "power_steps": {"step": StepSize("power", 1.0, 0.7)}, "hold_then_decay": {"step": StepSize("constant_then_decay")},
+        "two_factors": {"factors": 2}, "full": {"family": "full"}, "mean_field": {"family": "diagonal"}, "linear_scramble": {"scrambling": "linear"}, "shift": {"scrambling": "shift"}, "state_rule": {"stop": "state", "tolerance": 1e-4},
+    }
+    rows = []
+    for name, change in arms.items():
+        cfg = replace(base, **change)
+        rows += summary_rows(name, ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), FLIGHT_BETA)
+    cfg = replace(base, max_iter=6, s=32, pairing="per_draw")
+    rows += summary_rows("per_draw", ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), FLIGHT_BETA)
+    cfg = replace(base, max_iter=6, s=32, scheme="tile", m=0.25)
+    rows += summary_rows("tiles", ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), FLIGHT_BETA)
+    obs.unpersist()
+    return spark.createDataFrame(rows, SUMMARY)
+
+
+def replications(spark, sf_dir, reps=10, shares=(0.01, 0.02)):
+    """Monte Carlo standard errors over independent repeats, from the subset's start: by draws and subsample size."""
+    obs = flights(spark, sf_dir).cache()
+    ready = prepare(obs)
+    fits = {}
+    for kind in ("mc", "rqmc"):
+        for m in shares:
+            runs = []
+            for seed in range(1, reps + 1):
+                cfg = FitConfig(draws=kind, m=m, seed=seed, tolerance=1e-6)
+                runs.append(ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta))
+            fits[(f"{kind}_{m:g}", kind)] = runs
+    obs.unpersist()
+    return measures.mc_standard_errors(measures.replicates_frame(spark, fits))
+
+
+def gradient_variance(spark, sf_dir, repeats=30):
+    """Bias in standard errors and variance of repeated gradient estimates, by surrogate and subsample size."""
+    obs = flights(spark, sf_dir).cache()
+    ready = prepare(obs)
+    theta = ready.anchor.theta + 0.02
+    exact = exact_sums(obs, theta, order=1).grad
+    rows = []
+    for surrogate in ("none", "constant", "linear"):
+        for m in (0.01, 0.02):
+            provider = SampleProvider(ready.store, ready.anchor, m, surrogate=surrogate, block=repeats, counts=ready.counts)
+            got = np.array([provider.estimate(theta[None, :], t).grad[0] for t in range(repeats)])
+            _, var, z = measures.gradient_quality(got, exact)
+            rows += [(surrogate, m, f"b{k}", float(var[k]), float(z[k])) for k in range(4)]
+    obs.unpersist()
+    return spark.createDataFrame(rows, "surrogate string, m double, param string, variance double, bias_in_se double")
+
+
+def model_choice(spark, sf_dir):
+    """Models with and without each covariate, ranked by their bounds."""
+    obs = flights(spark, sf_dir).cache()
+    fits = {}
+    for name, drop in (("all", None), ("without_rush", 1), ("without_weekend", 2), ("without_distance", 3)):
+        keep = [k for k in range(4) if k != drop]
+        own = obs.select("obs_key", "y", *(F.col(f"x{k}").alias(f"x{i}") for i, k in enumerate(keep)))
+        cfg = FitConfig(m=0.02, tolerance=1e-7)
+        ready = prepare(own, cfg=cfg)
+        fits[name] = ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta)
+        ready.store.unpersist()
+    obs.unpersist()
+    return compare_models(spark, fits)
+
+
+def densities(spark, sf_dir):
+    """Distances between the fit's marginal densities and the chain's kernel estimates."""
+    obs = flights(spark, sf_dir).cache()
+    ready = prepare(obs)
+    cfg = FitConfig(m=0.02, tolerance=1e-7)
+    fit = ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta)
+    chain = baselines.rw_mcmc(obs, iters=5000, burn=2000).frame(spark).cache()
+    mean, sd = fit.state.marginals()
+    out = None
+    for k in range(4):
+        smooth = measures.kde(chain, f"b{k}", 101).select("x", "pdf")
+        other = F.exp(-0.5 * ((F.col("x") - float(mean[k])) / float(sd[k])) ** 2) / float(sd[k] * np.sqrt(2 * np.pi))
+        both = smooth.select(F.lit(f"b{k}").alias("param"), "x", "pdf")
+        part = measures.density_distance(both, both.withColumn("pdf", other))
+        out = part if out is None else out.union(part)
+    obs.unpersist()
+    return out
+
+
+def net_quality(spark, sf_dir):
+    """Discrepancy of plain and scrambled points, and the variance of a smooth mean under both."""
+    rows = []
+    for kind in ("mc", "rqmc"):
+        for s in (64, 256):
+            source = DrawSource(kind, 3)
+            z = [source.normals(s, 5, t) for t in range(20)]
+            values = [float(np.exp(0.3 * v.sum(axis=1)).mean()) for v in z]
+            from gradvb.functions.scalars import norm_cdf_np
+
+            rows.append((kind, s, float(np.mean([star_discrepancy_l2(norm_cdf_np(v)) for v in z[:5]])), float(np.var(values, ddof=1))))
+    return spark.createDataFrame(rows, "draws string, s int, discrepancy double, variance double")
+
+
+def wide_design(spark, sf_dir):
+    """65 parameters: an exact-gradient fit on one class against the rest."""
+    obs = embedding_design(spark, sf_dir).cache()
+    best = fit_mle(obs, steps=6, cap=8.0)
+    from gradvb.families import init_state
+    from gradvb.fit import warm_start
+
+    prior = NormalPrior(1.0)
+    start = warm_start(init_state(best.theta, -best.hess + np.eye(65), 1.0), best, prior, 50)
+    cfg = FitConfig(draws="mc", s=32, max_iter=12, tolerance=1e-4)
+    fit = fit_exact_vb(obs, start, prior=prior, cfg=cfg)
+    obs.unpersist()
+    return spark.createDataFrame(summary_rows("embeddings", fit), SUMMARY)
+
+
+def text_quality(spark, sf_dir):
+    """Text labels against length and language."""
+    rows = []
+    base = quality_design(spark, sf_dir)
+    for label in ("quality", "toxic"):
+        xs = {"log_chars": F.col("log_chars") / 10, "de": F.col("lang_de"), "es": F.col("lang_es"), "fr": F.col("lang_fr")}
+        from gradvb.designs import design
+
+        obs = design(base.withColumn("obs_key", F.col("doc_id").cast("string")), F.col(label), xs, keep=("obs_key",)).cache()
+        cfg = FitConfig(m=0.3, tolerance=1e-5, anchor_fraction=1.0, tiles=4)
+        ready = prepare(obs, cfg=cfg)
+        rows += summary_rows(label, ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta))
+        obs.unpersist()
+    return spark.createDataFrame(rows, SUMMARY)
+
+
+def natural_panels(make, m: int, tolerance: float = 1e-4):
+    """Panels with their own covariates and lengths."""
+
+    def run(spark, sf_dir):
+        return panel_fits(spark, sf_dir, (m,), 64, tolerance, nest_panels(make(spark, sf_dir)), ("rqmc",), None)
+
+    return run
+
+
+def integrator_check(spark, sf_dir):
+    """Importance estimates of the log likelihood against quadrature, by proposal and draws: error and seconds of the panel sums."""
+    import time
+
+    nested = nest_panels(w3_panels(spark, sf_dir).drop("panel_rank")).cache()
+    theta = np.array(PANEL_TRUTH)
+    truth = panel_sums(nested, theta, Integrator("quadrature", 40))
+    rows = []
+    for kind, draws in (("prior", "mc"), ("prior", "rqmc"), ("laplace", "mc"), ("laplace", "rqmc"), ("defensive", "rqmc")):
+        began = time.time()
+        s = panel_sums(nested, theta, Integrator(kind, 64, draws))
+        rows.append((kind, draws, float(s.loglik - truth.loglik), float(np.abs(s.grad - truth.grad).max()), time.time() - began))
+    nested.unpersist()
+    return spark.createDataFrame(rows, "proposal string, draws string, loglik_error double, score_error double, seconds double")
+
+
+def chunk_constancy(spark, sf_dir):
+    """Sums over chunks do not move with the number of chunks."""
+    obs = flights(spark, sf_dir)
+    rows = []
+    for k in (4, 16, 64):
+        chunked = assign_chunks(obs, k)
+        s = exact_sums(chunked, FLIGHT_BETA, order=1)
+        rows.append((k, len(tile_counts(chunked.withColumnRenamed("chunk_id", "tile"))), s.n, round(float(s.loglik / s.n), 9)))
+    return spark.createDataFrame(rows, "chunks int, filled int, n long, loglik_mean double")
+
+
+QUERIES = {
+    "fit_moderate_flights": lambda s, d: moderate_flights(s, d, chain_iters=5000, burn=2000),
+    "fit_moderate_flights_raw": lambda s, d: moderate_flights(s, d, (0.02,), 0, 0, 1e-6, "late_raw"),
+    "fit_event_flights": lambda s, d: moderate_flights(s, d, (0.05,), 2000, 1000, 1e-6, obs=event_flights(s, d)),
+    "fit_full_flights_chunked": lambda s, d: full_flights(s, d, (8, 32)),
+    "fit_panels": lambda s, d: panel_fits(s, d, (100,)),
+    "fit_panels_events": natural_panels(events_panels, 50),
+    "fit_panels_suppliers": natural_panels(supplier_panels, 20),
+    "fit_panels_conversations": natural_panels(conversation_panels, 40),
+    "pseudo_marginal_chain": pseudo_marginal,
+    "likelihood_estimate_vb": likelihood_estimate_vb,
+    "likelihood_estimate_vb_panels": levb_panels,
+    "exact_and_plain_vb": exact_and_plain,
+    "subsample_chain": subsample_chain,
+    "ablations": ablations,
+    "replication_errors": lambda s, d: replications(s, d, 5),
+    "gradient_variance": gradient_variance,
+    "model_choice": model_choice,
+    "density_distances": densities,
+    "net_quality": net_quality,
+    "wide_design": wide_design,
+    "text_quality": text_quality,
+    "integrator_check": integrator_check,
+    "chunk_constancy": chunk_constancy,
+}
+
+SQL: dict[str, str] = {}

@@ -19,11 +19,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 #: Bytes of an Arrow batch that goes to a worker.
-BATCH_BYTES = 8 << 20
+BATCH_BYTES = 4 << 20
 
 
 def small_batches(df: DataFrame) -> DataFrame:
-    """``df``, after asking its session for Arrow batches of 8 MB at most: texts are long, and workers hold several copies of a batch."""
+    """``df``, after asking its session for Arrow batches of 4 MB at most: texts are long, and workers hold several copies of a batch."""
     conf, name = df.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
     found = re.match(r"(-?\d+)", conf.get(name))
     if found is None or not 0 < int(found[1]) <= BATCH_BYTES:

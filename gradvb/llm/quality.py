@@ -175,7 +175,7 @@ def score_quality(docs: DataFrame, model: QualityModel, id_col: str = "doc_id",
     return chosen.mapInArrow(run, "doc_id long, score double, predicted int")
 
 
-def train_quality(docs: DataFrame, labels: DataFrame, bound: int = 3000) -> QualityModel:
+def train_quality(docs: DataFrame, labels: DataFrame, bound: int = 2500) -> QualityModel:
     """Fit on at most ``bound`` labelled texts outside the held-out fifth."""
     return fit_quality(*training_rows(docs, labels, "quality", 5, 0, bound))
 

@@ -232,7 +232,7 @@ def score_toxicity(
     return chosen.mapInArrow(run, "doc_id long, score double, predicted int")
 
 
-def train_toxicity(docs: DataFrame, labels: DataFrame, bound: int = 3000) -> ToxicityModel:
+def train_toxicity(docs: DataFrame, labels: DataFrame, bound: int = 2500) -> ToxicityModel:
     """Fit on at most ``bound`` labelled texts outside the held-out third."""
     return fit_toxicity(*training_rows(docs, labels, "toxic", 3, 1, bound))
 

@@ -11,50 +11,46 @@ from gradvb.llm.common import ascii_lower, table
 BROADCAST_ROWS = 500_000
 
 
-def hashed_words(df: DataFrame, keep: list[str], text_col: str) -> DataFrame:
-    """``keep`` and the array ``h`` of word hashes (null and wordless texts: empty)."""
+def split_words(df: DataFrame, keep: list[str], text_col: str) -> DataFrame:
+    """``keep``, the pieces of a text, how many of them stand before its first word, and its number of words."""
     parts = F.split(ascii_lower(F.coalesce(F.col(text_col), F.lit(""))), r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+")
     first = F.when(F.get("parts", F.lit(0)) == "", 1).otherwise(0)
     last = F.when((F.size("parts") > 1) & (F.get("parts", F.size("parts") - 1) == ""), 1).otherwise(0)
-    cut = df.select(*keep, parts.alias("parts"))
-    cut = cut.select(*keep, F.transform("parts", lambda w: F.xxhash64(w)).alias("all_h"), first.alias("skip"), (F.size("parts") - first - last).alias("n"))
-    return cut.select(*keep, F.slice("all_h", F.col("skip") + 1, F.greatest(F.col("n"), F.lit(0))).alias("h"))
+    return df.select(*keep, parts.alias("parts")).select(*keep, "parts", first.alias("skip"), F.greatest(F.size("parts") - first - last, F.lit(0)).alias("n"))
+
+
+def hashed_words(df: DataFrame, keep: list[str], text_col: str) -> DataFrame:
+    """``keep`` and the array ``h`` of word hashes (null and wordless texts: empty)."""
+    cut = split_words(df, keep, text_col).select(*keep, F.transform("parts", lambda w: F.xxhash64(w)).alias("all_h"), "skip", "n")
+    return cut.select(*keep, F.slice("all_h", F.col("skip") + 1, F.col("n")).alias("h"))
 
 
 def grams(h: str, size: int) -> Column:
     """Hashes of all runs of ``size`` neighbouring words."""
-    run = F.transform(F.sequence(F.lit(0), F.size(h) - size), lambda i: F.xxhash64(*(F.get(F.col(h), i + k) for k in range(size))))
+    run = F.transform(F.sequence(F.lit(0), F.size(h) - size), lambda i: F.xxhash64(*(F.get(F.col(h), i + k if k else i) for k in range(size))))
     return F.when(F.size(h) >= size, run).otherwise(F.array().cast("array<bigint>"))
 
 
 def winnowed(hashed: DataFrame, keep: list[str], window: int, gram: int) -> DataFrame:
     """One row per selected gram: ``keep``, its hash ``f``, place ``p``, and the words around it.
 
-    A gram is selected if its hash is the least of some ``window - gram + 1`` neighbouring ones, so two
-    texts that share ``window`` words share a selected gram there. ``near`` has the hashes
-    of the words from ``window - gram`` before it to as many after its end, null beyond the text.
+    A gram is selected if its hash is the least of some ``window - gram + 1`` neighbouring ones (fewer where
+    the text ends), so two texts that share ``window`` words share a selected gram there. As no least hash
+    exceeds the hashes it is taken of, a gram is selected when the largest least hash around it is its own.
+    ``near`` has the hashes of the words from ``window - gram`` before it to as many after its end, null
+    beyond the text.
     """
     span, reach = window - gram + 1, window - gram
     have = hashed.where(F.size("h") >= window).select(*keep, "h", grams("h", gram).alias("g"))
-    lows = F.transform(F.sequence(F.lit(0), F.size("g") - span), lambda i: F.least(*(F.get(F.col("g"), i + k) for k in range(span))))
-    have = have.select(*keep, "h", "g", lows.alias("low"))
-
-    def chosen(p: Column) -> Column:
-        own = F.get(F.col("g"), p)
-        hit = F.lit(False)
-        for k in range(span):
-            hit = hit | F.coalesce(F.get(F.col("low"), p - k) == own, F.lit(False))
-        return hit
-
-    have = have.select(*keep, "h", "g", F.filter(F.sequence(F.lit(0), F.size("g") - 1), chosen).alias("at"))
-    picked = F.transform(
-        "at",
-        lambda p: F.struct(
-            F.get(F.col("g"), p).alias("f"),
-            p.alias("p"),
-            F.array(*(F.get(F.col("h"), p + k) for k in range(-reach, gram + reach))).alias("near"),
-        ),
-    )
+    low = F.transform("g", lambda x, i: F.least(x, *(F.get(F.col("g"), i + k) for k in range(1, span))))
+    have = have.select(*keep, "h", "g", low.alias("low"))
+
+    def pick(x: Column, p: Column) -> Column:
+        top = F.greatest(F.get(F.col("low"), p), *(F.get(F.col("low"), p - k) for k in range(1, span)))
+        near = F.array(*(F.get(F.col("h"), p + k) for k in range(-reach, gram + reach)))
+        return F.when(top == x, F.struct(x.alias("f"), p.alias("p"), near.alias("near")))
+
+    picked = F.filter(F.transform("g", pick), lambda v: v.isNotNull())
     return have.select(*keep, F.explode(picked).alias("x")).select(*keep, "x.f", "x.p", "x.near")
 
 
@@ -131,7 +127,6 @@ def contamination(
     """
     spans = spans_of(docs, benchmark, window, gram, id_col, text_col, item_col, item_text_col)
     texts = docs.select(F.col(id_col).alias("doc_id"), F.xxhash64(text_col).alias("text_key"), F.col(text_col).alias("text"))
-    words = hashed_words(texts, ["doc_id", "text_key"], "text")
     covered = F.aggregate(
         F.array_sort("spans"),
         F.struct(F.lit(0).alias("end"), F.lit(0).cast("long").alias("n")),
@@ -140,7 +135,7 @@ def contamination(
     )
     hits = spans.groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("s", "e")).alias("spans"), F.collect_set("item").alias("items"))
     hits = hits.select(F.col("doc_id").alias("hit_id"), F.col("text_key").alias("hit_key"), covered.alias("n_hit"), F.array_sort("items").alias("items"))
-    base = words.select("doc_id", "text_key", F.size("h").cast("long").alias("n_words"))
+    base = split_words(texts, ["doc_id", "text_key"], "text").select("doc_id", "text_key", F.col("n").cast("long").alias("n_words"))
     joined = base.join(hits, F.col("doc_id").eqNullSafe(F.col("hit_id")) & (F.col("text_key") == F.col("hit_key")), "left")
     items_of = F.coalesce("items", F.array().cast("array<string>"))
     n_hit = F.coalesce("n_hit", F.lit(0).cast("long"))

@@ -115,6 +115,28 @@ def stream_static(spark, sf_dir):
     return spark.table(name)
 
 
+def stream_pairs(spark, sf_dir):
+    """Stream-stream join: each user's events with those of the hour after them."""
+    name = f"s{uuid.uuid4().hex[:10]}"
+    left, right = (online.event_stream(stream_table(spark, sf_dir, "events"), "3650 days") for _ in range(2))
+    online.run_to_end(online.matched_streams(left, right, 3600), name, "append", folder(spark))
+    return spark.table(name).where("left_id != right_id").select("user_id", "left_id", "right_id")
+
+
+def random_functions(spark, sf_dir):
+    """Seeded uniform and normal columns; plain draws for estimates whose replay is not needed."""
+    rows = load_table(spark, sf_dir, "events").select("event_id", F.rand(3).alias("u"), F.randn(4).alias("z"), F.uniform(F.lit(0), F.lit(10), F.lit(5)).alias("k"))
+    return rows.agg(F.count("*").alias("n"), F.avg("u").alias("u"), F.avg("z").alias("z"), F.var_samp("z").alias("v"), F.max("k").alias("k"))
+
+
+def poisson_sample(spark, sf_dir):
+    """Rows drawn at a rate with replacement, as the scan goes."""
+    from gradvb.sampling import take
+
+    sample, weight = take(load_table(spark, sf_dir, "events"), "poisson", 0.1, 5)
+    return sample.groupBy("event_type").agg((F.count("*") * F.lit(weight)).alias("estimate"))
+
+
 def online_fit(spark, sf_dir):
     """One natural step for each mini-batch."""
     import numpy as np
@@ -303,7 +325,10 @@ QUERIES = {
     "stream_dedup": stream_dedup,
     "stream_panels": stream_panels,
     "stream_static_join": stream_static,
+    "stream_interval_join": stream_pairs,
     "stream_online_fit": online_fit,
+    "fn_random": random_functions,
+    "op_poisson_sample": poisson_sample,
 }
 
 WIN = "PARTITION BY user_id ORDER BY event_id"
@@ -388,6 +413,7 @@ SQL = {
     "stream_windows": f"WITH {EV} SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n, sum(y) AS ones, {rounded('sum(y) / count(*)')} AS rate FROM ev GROUP BY 1",
     "stream_sessions": f"WITH {EV}, g AS (SELECT *, CASE WHEN ts > lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 12 HOUR OR lag(ts) OVER (PARTITION BY user_id ORDER BY ts) IS NULL THEN 1 ELSE 0 END AS s FROM ev) SELECT user_id, sum(s)::BIGINT AS sessions, count(*) AS n, sum(y) AS ones FROM g GROUP BY 1",
     "stream_dedup": "SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY 1",
+    "stream_interval_join": "SELECT a.user_id, a.event_id AS left_id, b.event_id AS right_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 3600 SECOND AND a.event_id <> b.event_id",
     "stream_panels": f"WITH {EV} SELECT user_id, count(*) AS n, sum(y) AS ones FROM ev GROUP BY 1",
     "stream_static_join": f"WITH {EV} SELECT c_mktsegment, count(*) AS n, sum(y) AS ones FROM ev LEFT JOIN customer ON user_id = c_custkey GROUP BY 1",
 }

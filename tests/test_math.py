@@ -153,3 +153,18 @@ def test_steps_and_window():
         StepSize("power", power=0.4)(1)
     assert window_change([1, 2, 3, 4, 5], 5) is None
     assert np.isclose(window_change([1, 2, 3, 4, 5, 6], 5), 1.0)
+
+
+def test_bound_curves_as_the_fisher_matrix_at_the_target():
+    """For a normal target inside the family, the bound's second derivative at the optimum is minus the Fisher matrix."""
+    precision = np.array([[3.0, 0.6, -0.2], [0.6, 2.0, 0.4], [-0.2, 0.4, 1.5]])
+    best, prior, h = CholeskyState(np.zeros(3), np.linalg.cholesky(np.linalg.inv(precision))), NormalPrior(1e12), 1e-5
+
+    def gradient(s):
+        data = np.concatenate([-precision @ s.mu, -0.5 * np.einsum("ij,pji->p", precision, s.cov_basis())])
+        return s.analytic_part(prior)[1] + data
+
+    assert np.abs(gradient(best)).max() < 1e-9
+    n = len(gradient(best))
+    curve = np.array([(gradient(best.moved(h * np.eye(n)[k])) - gradient(best.moved(-h * np.eye(n)[k]))) / (2 * h) for k in range(n)])
+    assert np.allclose(curve, -best.fisher(), atol=1e-5)

@@ -180,18 +180,23 @@ def ablations(spark, sf_dir):
     return spark.createDataFrame(rows, SUMMARY)
 
 
-def replications(spark, sf_dir, reps=10, shares=(0.01, 0.02)):
-    """Monte Carlo standard errors over independent repeats, from the subset's start: by draws and subsample size."""
+def replications(spark, sf_dir, reps=10, shares=(0.01, 0.02), starts=("warm", "subset")):
+    """Monte Carlo standard errors over independent repeats, by draws, subsample size and start.
+
+    From the subset's plain start the errors show what the loop itself adds; from the settled
+    start little is left to add.
+    """
     obs = flights(spark, sf_dir).cache()
     ready = prepare(obs)
     fits = {}
-    for kind in ("mc", "rqmc"):
-        for m in shares:
-            runs = []
-            for seed in range(1, reps + 1):
-                cfg = FitConfig(draws=kind, m=m, seed=seed, tolerance=1e-6)
-                runs.append(ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta))
-            fits[(f"{kind}_{m:g}", kind)] = runs
+    for start in starts:
+        for kind in ("mc", "rqmc"):
+            for m in shares:
+                runs = []
+                for seed in range(1, reps + 1):
+                    cfg = FitConfig(draws=kind, m=m, seed=seed, tolerance=1e-6, start=start)
+                    runs.append(ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta))
+                fits[(f"{kind}_{m:g}_{start}", kind)] = runs
     obs.unpersist()
     return measures.mc_standard_errors(measures.replicates_frame(spark, fits))
 

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradvb.llm.common import as_binary, small_batches, table
+from gradvb.llm.common import as_binary, lean, small_batches, table
 from gradvb.llm.components import components
 from gradvb.session import cut_lineage
 
@@ -44,7 +44,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             fp = [fingerprint(x or b"", shingle, seed) for x in as_binary(batch.column(1)).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp, pa.int64())], names=["id", "fp"])
 
-    return small_batches(docs).select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, fp long")
+    return small_batches(docs).select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(lean(run), "id long, fp long")
 
 
 def signatures(prints: DataFrame) -> DataFrame:
@@ -131,7 +131,7 @@ def near_links(prints: DataFrame, bits: int = 3) -> DataFrame:
         if held:
             yield from close(np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held]))
 
-    return signatures(prints).repartition("sig").sortWithinPartitions("sig").mapInArrow(run, "a long, b long")
+    return signatures(prints).repartition("sig").sortWithinPartitions("sig").mapInArrow(lean(run), "a long, b long")
 
 
 def simhash_groups(
@@ -207,7 +207,7 @@ def rows_that_stay(
             fps = [several_prints(x, probe, prints) for x in as_binary(batch.column(2)).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fps, pa.list_(pa.int64()))], names=["id", "key", "fps"])
 
-    each = rows.mapInArrow(fingerprinted, "id long, key long, fps array<long>")
+    each = rows.mapInArrow(lean(fingerprinted), "id long, key long, fps array<long>")
     texts = cut_lineage(each.groupBy("key").agg(F.min("id").alias("first_id"), F.first("fps").alias("fps")))
     found = None
     for k in range(prints):
@@ -228,7 +228,7 @@ def rows_that_stay(
             z = [press.compress(x) for x in as_binary(batch.column(2)).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], names=["id", "key", "z"])
 
-    bodies = rows.mapInArrow(zipped, "id long, key long, z binary")
+    bodies = rows.mapInArrow(lean(zipped), "id long, key long, z binary")
     bodies = bodies.join(ends.withColumnRenamed("key", "own"), (F.col("key") == F.col("own")) & F.col("id").eqNullSafe(F.col("first_id")))
     bodies = cut_lineage(bodies.groupBy("key").agg(F.first("z").alias("z")))
     pairs = found.join(bodies.toDF("x", "zx"), "x").join(bodies.toDF("y", "zy"), "y").select("x", "y", "zx", "zy")
@@ -245,7 +245,7 @@ def rows_that_stay(
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], names=["a", "b"])
 
-    groups = components(pairs.mapInArrow(verified, "a long, b long"))
+    groups = components(pairs.mapInArrow(lean(verified), "a long, b long"))
     named = texts.join(groups, texts["key"] == groups["node"], "left").select("key", "first_id", F.coalesce("component", "key").alias("group"))
     best = named.groupBy("group").agg(F.min(F.struct(F.col("first_id").isNull(), "first_id", "key")).alias("best"))
     return best.select(F.col("best.first_id").alias("doc_id"), F.col("best.key").alias("text_key"))

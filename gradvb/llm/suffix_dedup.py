@@ -26,15 +26,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from gradvb.llm.common import POWERS, as_binary, mix, slices, small_batches, table
+from gradvb.llm.common import POWERS, as_binary, mix, lean, slices, small_batches, table
 from gradvb.session import cut_lineage, ensure_checkpoint_dir
 
 #: Bytes of anchors' texts that a task holds to settle repeats within itself.
-CHUNK_BYTES = 32_000_000
+CHUNK_BYTES = 16_000_000
 #: Surroundings of one gram up to this number are sorted by one task; those of commoner grams are matched by a shuffle of their windows.
-GROUP_LIMIT = 20_000
+GROUP_LIMIT = 8_000
 #: Surroundings sorted at a time.
-BATCH = 8_000
+BATCH = 2_000
 #: Fixed random values of the bytes, for a second hash that is independent of the first.
 SECOND = np.random.Generator(np.random.Philox(key=20)).integers(0, 2**64, 256, dtype=np.uint64)
 
@@ -123,7 +123,7 @@ def find_anchors(texts: DataFrame, length: int, gram: int) -> DataFrame:
         held, size = [], 0
         for batch in batches:
             rids = batch.column(0).to_numpy(zero_copy_only=False)
-            for first_row, data, offsets in slices(batch.column(1), 400_000):
+            for first_row, data, offsets in slices(batch.column(1), 200_000):
                 text, *rest = anchors(data, offsets, length, gram)
                 held.append((rids[first_row + text], *rest))
                 size += len(data)
@@ -133,7 +133,7 @@ def find_anchors(texts: DataFrame, length: int, gram: int) -> DataFrame:
         if size:
             yield settle(*(np.concatenate(x) for x in zip(*held, strict=True)))
 
-    return texts.select("rid", "text").mapInArrow(run, "rid long, place int, hi int, f long, c long, copies long")
+    return texts.select("rid", "text").mapInArrow(lean(run), "rid long, place int, hi int, f long, c long, copies long")
 
 
 class Surroundings:
@@ -274,7 +274,7 @@ def packed_texts(docs: DataFrame) -> DataFrame:
             z = [press.compress(x or b"") for x in as_binary(batch.column(2)).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], names=["doc_id", "rid", "z"])
 
-    return docs.mapInArrow(run, "doc_id long, rid long, z binary")
+    return docs.mapInArrow(lean(run), "doc_id long, rid long, z binary")
 
 
 def repeated_spans(docs: DataFrame, length: int = 200, gram: int = 64, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -313,9 +313,9 @@ def repeated_spans(docs: DataFrame, length: int = 200, gram: int = 64, id_col: s
                         column.append(value)
             yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in out[:4]), pa.array(out[4], pa.binary()), pa.array(out[5], pa.int64())], names=["f", "rid", "place", "total", "around", "kinds"])
 
-    around = cut_lineage(bytes_of.mapInArrow(cut, "f long, rid long, place long, total long, around binary, kinds long"))
+    around = cut_lineage(bytes_of.mapInArrow(lean(cut), "f long, rid long, place long, total long, around binary, kinds long"))
     sorted_ = around.where(F.col("kinds") <= GROUP_LIMIT).drop("kinds").repartition("f").sortWithinPartitions("f")
-    sorted_ = sorted_.mapInArrow(lambda b: match_groups(b, length, gram), "rid long, lo long, hi long")
+    sorted_ = sorted_.mapInArrow(lean(lambda b: match_groups(b, length, gram)), "rid long, lo long, hi long")
     common = around.where(F.col("kinds") > GROUP_LIMIT)
     back = F.least("place", F.lit(length - gram))
     offsets = F.filter(F.sequence(F.lit(0).cast("long"), F.lit(length - gram).cast("long")), lambda o: (o <= back) & (F.length("around") - back >= length - o))
@@ -372,7 +372,7 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: s
             arrays = [batch.column(0), *(pa.array(c, pa.int64()) for c in out[:3]), pa.array(out[3], pa.string())]
             yield pa.RecordBatch.from_arrays(arrays + [pa.array(out[4], pa.string())] * keep_text, names=names)
 
-    return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept string" * keep_text)
+    return joined.mapInArrow(lean(run), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept string" * keep_text)
 
 
 def strip_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -406,9 +406,9 @@ def strip_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: st
                 texts.append(text)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.binary()).cast(pa.string()), pa.array(stays)], names=["rest", "text", "stays"])
 
-    packed = shaped.mapInArrow(press, f"rest {rest}, rid long, z binary")
+    packed = shaped.mapInArrow(lean(press), f"rest {rest}, rid long, z binary")
     joined = packed.join(found, packed["rid"] == found["own_rid"], "left").select("rest", "z", "spans")
-    out = joined.mapInArrow(restore, f"rest {rest}, text string, stays boolean").where("stays")
+    out = joined.mapInArrow(lean(restore), f"rest {rest}, text string, stays boolean").where("stays")
     columns = [F.col("text").alias(c) if c == text_col else F.length("text").cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col("rest")[c].alias(c) for c in docs.columns]
     return out.select(*columns)
 

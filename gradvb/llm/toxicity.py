@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from gradvb.llm.common import IS_WORD, LOWER, labelled_crc, mix, prefix_hash, slices, small_batches, span_hash, table
+from gradvb.llm.common import IS_WORD, LOWER, labelled_crc, mix, prefix_hash, lean, slices, small_batches, span_hash, table
 from gradvb.llm.labelled import fit_logistic, halves, logistic, training_rows
 
 BUCKETS = 1 << 17
@@ -227,9 +227,9 @@ def score_toxicity(
         others = [c for c in docs.columns if c not in (id_col, text_col)]
         chosen = docs.select(id_col, text_col, *others)
         schema = StructType(list(chosen.schema)).add("toxic_score", "double").add("toxic_predicted", "integer")
-        return chosen.mapInArrow(run, schema).select(*docs.columns, "toxic_score", "toxic_predicted")
+        return chosen.mapInArrow(lean(run), schema).select(*docs.columns, "toxic_score", "toxic_predicted")
     chosen = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    return chosen.mapInArrow(run, "doc_id long, score double, predicted int")
+    return chosen.mapInArrow(lean(run), "doc_id long, score double, predicted int")
 
 
 def train_toxicity(docs: DataFrame, labels: DataFrame, bound: int = 2500) -> ToxicityModel:

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradvb.llm.common import as_binary, lean, small_batches, table
+from gradvb.llm.common import IS_SPACE, LOWER, POWERS, as_binary, lean, mix, prefix_hash, runs, slices, small_batches, span_hash, table
 from gradvb.llm.components import components
 from gradvb.session import cut_lineage
 
@@ -163,21 +163,161 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_groups(table(spark, sf_dir, "documents"))
 
 
-def several_prints(text: bytes, shingle: int, count: int) -> list[int]:
-    """``count`` independent 64-bit fingerprints of a text's word shingles."""
-    from xxhash import xxh3_128_digest
+#: Texts that tell which shingles are common, in how many of them one is, and how many common ones are kept; they order shingles, which moves the cost and never the result.
+SAMPLE, COMMON, MOST_COMMON = 10_000, 8, 100_000
+#: Texts of a bucket of shingles that a task compares at a time.
+BLOCK = 4000
+
+Common = tuple[np.ndarray, np.ndarray]
+
+
+def shingle_hashes(column: pa.Array, size: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """Slices of a text column as (first row, rows, row of each shingle, hash): each text's set of ``shingle_set``, as 64-bit hashes."""
+    for first_row, data, offsets in slices(column, 1_000_000):
+        n = len(offsets) - 1
+        starts, ends, text = runs(~IS_SPACE[data], offsets)
+        word = mix(span_hash(prefix_hash(LOWER[data]), starts, ends)) if len(starts) else np.zeros(0, np.uint64)
+        count = np.bincount(text, minlength=n)
+        first = np.cumsum(count) - count
+        up, _ = POWERS.get(size + 1)
+        whole = np.flatnonzero(text[size - 1 :] == text[: max(0, len(text) - size + 1)])
+        short = np.flatnonzero(count < size)
+        full, part = np.zeros(len(whole), np.uint64), count[short].astype(np.uint64)
+        with np.errstate(over="ignore"):
+            for k in range(size):
+                full += word[whole + k] * up[k + 1]
+                more = count[short] > k
+                part[more] += word[first[short[more]] + k] * up[k + 1]
+        owner, hashed = np.concatenate([text[whole], short]), np.concatenate([mix(full), mix(part)])
+        order = np.lexsort((hashed, owner))
+        owner, hashed = owner[order], hashed[order]
+        new = np.ones(len(owner), bool)
+        new[1:] = (owner[1:] != owner[:-1]) | (hashed[1:] != hashed[:-1])
+        yield first_row, n, owner[new], hashed[new]
+
+
+def prefixes(column: pa.Array, size: int, least: float, common: Common) -> tuple[pa.Array, pa.Array]:
+    """Each text's number of shingles, and as many of its first ones as two texts of a similarity of ``least`` must share one of.
+
+    All texts order shingles alike: those not known as common by hash, then the common ones, rarest first.
+    """
+    known, place = common
+    sizes, kept, lengths = [], [], []
+    for _, n, owner, hashed in shingle_hashes(column, size):
+        rank = np.zeros(len(hashed), np.int64)
+        if len(known):
+            at = np.minimum(np.searchsorted(known, hashed), len(known) - 1)
+            rank = np.where(known[at] == hashed, place[at], 0)
+        order = np.lexsort((hashed, rank, owner))
+        count = np.bincount(owner, minlength=n)
+        take = count - np.ceil(least * count - 1e-9).astype(np.int64) + 1
+        position = np.arange(len(owner)) - (np.cumsum(count) - count)[owner]
+        sizes.append(count)
+        lengths.append(np.minimum(take, count))
+        kept.append(hashed[order][position < take[owner]])
+    empty = [np.zeros(0, np.int64)]
+    ends = np.concatenate([[0], np.cumsum(np.concatenate(lengths or empty))])
+    values = np.concatenate(kept or [np.zeros(0, np.uint64)]).view(np.int64)
+    return pa.array(np.concatenate(sizes or empty), pa.int64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(values))
+
+
+def common_shingles(rows: DataFrame, share: float, size: int) -> Common:
+    """Hashes, sorted, and places of the shingles that many texts of a sample by key hold, the rarest first."""
 
-    found = text.lower().split()
-    if not found:
-        return [0] * count
-    n = max(1, len(found) - shingle + 1)
-    shingles = [b" ".join(found[k : k + shingle]) for k in range(n)]
-    out: list[int] = []
-    for seed in range((count + 1) // 2):
-        bits = np.unpackbits(np.frombuffer(b"".join([xxh3_128_digest(s, seed) for s in shingles]), np.uint8).reshape(n, 16), axis=1).sum(axis=0, dtype=np.int64)
-        raw = np.packbits(2 * bits > n).tobytes()
-        out += [int.from_bytes(raw[:8], "big", signed=True), int.from_bytes(raw[8:], "big", signed=True)]
-    return out[:count]
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keys = batch.column(0).to_numpy(zero_copy_only=False)
+            for first, _, owner, hashed in shingle_hashes(batch.column(1), size):
+                yield pa.RecordBatch.from_arrays([pa.array(keys[first + owner]), pa.array(hashed.view(np.int64))], names=["key", "h"])
+
+    sample = rows.where(F.pmod(F.xxhash64("key"), F.lit(1 << 20)) < int(share * (1 << 20))).select("key", "text")
+    counted = sample.mapInArrow(lean(run), "key long, h long").distinct().groupBy("h").agg(F.count("*").alias("n")).where(F.col("n") >= COMMON)
+    found = counted.orderBy(F.desc("n"), "h").limit(MOST_COMMON).collect()
+    hashes = np.array([r.h for r in found], np.int64).view(np.uint64)
+    order = np.argsort(hashes)
+    return hashes[order], (len(found) - np.arange(len(found)))[order]
+
+
+def whole_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
+    """The columns of sorted batches, cut only where the first column changes."""
+    held: list[list[np.ndarray]] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        columns = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+        last = int(np.searchsorted(columns[0], columns[0][-1], side="left"))
+        if held and (last > 0 or held[0][0][0] != columns[0][0]):
+            held.append([c[:last] for c in columns])
+            yield [np.concatenate(c) for c in zip(*held, strict=True)]
+            held = []
+        elif last > 0:
+            yield [c[:last] for c in columns]
+        held.append([c[last:] for c in columns])
+    if held:
+        yield [np.concatenate(c) for c in zip(*held, strict=True)]
+
+
+def may_be_near(n: np.ndarray, pos: np.ndarray, i, j, least: float) -> np.ndarray:
+    """Whether enough shingles are left from the first shared one on. Pairs that are near pass in the bucket of the first they share."""
+    return np.minimum(n[i] - pos[i], n[j] - pos[j]) >= np.ceil(least / (1 + least) * (n[i] + n[j]) - 1e-9)
+
+
+def first_pairs(least: float):
+    """From (h, key, n, pos) sorted by h: all pairs of small buckets as (a, b); of large ones a chain and a star, and each row as (a, null, h, n, pos)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for h, key, n, pos in whole_runs(batches):
+            size = np.diff(np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]])))
+            in_run, start = np.repeat(size, size), np.repeat(np.cumsum(size) - size, size)
+            left, right = [], []
+            for step in range(1, min(SMALL, int(size.max()))):
+                i = np.flatnonzero((h[step:] == h[:-step]) & ((in_run[step:] <= SMALL) | (step == 1)))
+                i = i[may_be_near(n, pos, i, i + step, least)]
+                left.append(i)
+                right.append(i + step)
+            big = np.flatnonzero(in_run > SMALL)
+            star = big[(start[big] != big) & may_be_near(n, pos, big, start[big], least)]
+            i, j = np.concatenate([*left, star]), np.concatenate([*right, start[star]])
+            if len(i):
+                none = pa.nulls(len(i), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(key[i], key[j])), pa.array(np.maximum(key[i], key[j])), none, none, none], names=["a", "b", "h", "n", "pos"])
+            if len(big):
+                yield pa.RecordBatch.from_arrays([pa.array(key[big]), pa.nulls(len(big), pa.int64()), pa.array(h[big]), pa.array(n[big]), pa.array(pos[big])], names=["a", "b", "h", "n", "pos"])
+
+    return run
+
+
+def open_pairs(least: float):
+    """From (g, key, n, pos, label, block, same) sorted by g and n: all pairs of a bucket that are not in one group yet; ``same`` pairs a block with itself."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for g, key, n, pos, label, block, same in whole_runs(batches):
+            cuts = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1], [True]]))
+            for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+                if (label[lo:hi] == label[lo]).all():
+                    continue
+                for i in range(lo, hi - 1):
+                    end = lo + int(np.searchsorted(n[lo:hi], n[i] / least + 1e-6, side="right"))
+                    j = np.arange(i + 1, end)
+                    j = j[(label[j] != label[i]) & (bool(same[i]) | (block[j] != block[i]))]
+                    j = j[may_be_near(n, pos, i, j, least)]
+                    if len(j):
+                        yield pa.RecordBatch.from_arrays([pa.array(np.minimum(key[i], key[j])), pa.array(np.maximum(key[i], key[j]))], names=["x", "y"])
+
+    return run
+
+
+def still_open(members: DataFrame, links: DataFrame, least: float) -> DataFrame:
+    """Pairs (x, y) of the large buckets ``members`` that ``links`` do not connect. Buckets are dealt out by pairs of blocks."""
+    groups = components(links)
+    sizes = members.groupBy("h").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
+    rows = members.join(groups, members["key"] == groups["node"], "left").join(sizes, "h")
+    rows = rows.withColumn("label", F.coalesce("component", "key")).withColumn("block", F.pmod(F.xxhash64("key"), F.col("blocks")))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    group = F.xxhash64("h", F.least("block", "other"), F.greatest("block", "other"))
+    # a block meets itself as (k, k) and every other block as (k, other)
+    rows = rows.select(group.alias("g"), "key", "n", "pos", "label", "block", (F.col("block") == F.col("other")).cast("long").alias("same"))
+    return rows.repartition("g").sortWithinPartitions("g", "n").mapInArrow(lean(open_pairs(least)), "x long, y long").distinct()
 
 
 def shingle_set(text: bytes, size: int) -> set[bytes]:
@@ -189,38 +329,30 @@ def similarity(a: set, b: set) -> float:
     return len(a & b) / len(a | b)
 
 
-def rows_that_stay(
-    docs: DataFrame, shingle: int = 5, least: float = 0.8, probe: int = 2, prints: int = 3, id_col: str = "doc_id", text_col: str = "text"
-) -> DataFrame:
+def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text_key) of the rows that stay: one of each group of equal or near-equal texts, that of the smallest id.
 
-    Texts are near if their sets of ``shingle`` words have a similarity of ``least``. Candidates
-    come from ``prints`` independent SimHash fingerprints of ``probe`` words within three bits, met by
-    deletion-variant signatures; each candidate is verified on the texts.
+    Texts are near if their sets of ``shingle`` words have a similarity of ``least``. Two such texts share
+    one of the first shingles of each, in an order common to all texts, and meet there; each pair is
+    verified on the texts. Small buckets give all their pairs. Large ones first give a chain and a star,
+    then every pair that the links verified so far leave apart, so no pair that could join two groups is left out.
     """
     import zstandard
 
     rows = small_batches(docs).select(F.col(id_col).cast("long").alias("id"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("key"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    firsts = cut_lineage(rows.groupBy("key").agg(F.min("id").alias("first_id")))
+    common = common_shingles(rows, min(1.0, SAMPLE / max(1, firsts.count())), shingle)
 
-    def fingerprinted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps = [several_prints(x, probe, prints) for x in as_binary(batch.column(2)).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fps, pa.list_(pa.int64()))], names=["id", "key", "fps"])
-
-    each = rows.mapInArrow(lean(fingerprinted), "id long, key long, fps array<long>")
-    texts = cut_lineage(each.groupBy("key").agg(F.min("id").alias("first_id"), F.first("fps").alias("fps")))
-    found = None
-    for k in range(prints):
-        own = texts.select("key", F.col("fps")[k].alias("fp"))
-        leaders = own.groupBy("fp").agg(F.min("key").alias("leader"))
-        links = near_links(leaders.select("fp")).distinct()
-        links = links.join(leaders.toDF("a", "x"), "a").join(leaders.toDF("b", "y"), "b").select("x", "y")
-        same = own.join(leaders, "fp").where("key != leader").select(F.col("leader").alias("x"), F.col("key").alias("y"))
-        part = links.union(same).select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
-        found = part if found is None else found.union(part)
-    found = cut_lineage(found.distinct())
-    ends = found.select(F.col("x").alias("key")).union(found.select("y")).distinct()
-    ends = ends.join(texts.select("key", "first_id"), "key")
+            yield pa.RecordBatch.from_arrays([batch.column(0), *prefixes(batch.column(1), shingle, least, common)], names=["key", "n", "prefix"])
+
+    texts = rows.select("key", "text").mapInArrow(lean(cut), "key long, n long, prefix array<long>").groupBy("key").agg(F.first(F.struct("n", "prefix")).alias("t"))
+    buckets = texts.select("key", F.col("t.n").alias("n"), F.posexplode("t.prefix").alias("pos", "h")).select("h", "key", "n", F.col("pos").cast("long").alias("pos"))
+    met = buckets.repartition("h").sortWithinPartitions("h").mapInArrow(lean(first_pairs(least)), "a long, b long, h long, n long, pos long")
+    met = cut_lineage(met)
+    found = cut_lineage(met.where("b is not null").select(F.col("a").alias("x"), F.col("b").alias("y")).distinct())
+    members = met.where("b is null").select("h", F.col("a").alias("key"), "n", "pos")
 
     def zipped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         press = zstandard.ZstdCompressor(level=3)
@@ -228,11 +360,6 @@ def rows_that_stay(
             z = [press.compress(x) for x in as_binary(batch.column(2)).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], names=["id", "key", "z"])
 
-    bodies = rows.mapInArrow(lean(zipped), "id long, key long, z binary")
-    bodies = bodies.join(ends.withColumnRenamed("key", "own"), (F.col("key") == F.col("own")) & F.col("id").eqNullSafe(F.col("first_id")))
-    bodies = cut_lineage(bodies.groupBy("key").agg(F.first("z").alias("z")))
-    pairs = found.join(bodies.toDF("x", "zx"), "x").join(bodies.toDF("y", "zy"), "y").select("x", "y", "zx", "zy")
-
     def verified(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         open_, kept, last = zstandard.ZstdDecompressor(), set(), None
         for batch in batches:
@@ -245,8 +372,22 @@ def rows_that_stay(
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], names=["a", "b"])
 
-    groups = components(pairs.mapInArrow(lean(verified), "a long, b long"))
-    named = texts.join(groups, texts["key"] == groups["node"], "left").select("key", "first_id", F.coalesce("component", "key").alias("group"))
+    def verify(found: DataFrame) -> DataFrame:
+        ends = found.select(F.col("x").alias("own")).union(found.select("y")).distinct()
+        ends = ends.join(firsts, ends["own"] == firsts["key"]).select("own", "first_id")
+        bodies = rows.join(ends, (F.col("key") == F.col("own")) & F.col("id").eqNullSafe(F.col("first_id"))).select("id", "key", "text")
+        bodies = bodies.mapInArrow(lean(zipped), "id long, key long, z binary")
+        bodies = cut_lineage(bodies.groupBy("key").agg(F.first("z").alias("z")))
+        pairs = found.join(bodies.toDF("x", "zx"), "x").join(bodies.toDF("y", "zy"), "y").select("x", "y", "zx", "zy")
+        return cut_lineage(pairs.mapInArrow(lean(verified), "a long, b long"))
+
+    links = verify(found)
+    if not members.isEmpty():
+        rest = cut_lineage(still_open(members, links, least).join(found, ["x", "y"], "left_anti"))
+        if not rest.isEmpty():
+            links = links.union(verify(rest))
+    groups = components(links)
+    named = firsts.join(groups, firsts["key"] == groups["node"], "left").select("key", "first_id", F.coalesce("component", "key").alias("group"))
     best = named.groupBy("group").agg(F.min(F.struct(F.col("first_id").isNull(), "first_id", "key")).alias("best"))
     return best.select(F.col("best.first_id").alias("doc_id"), F.col("best.key").alias("text_key"))
 

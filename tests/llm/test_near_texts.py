@@ -50,3 +50,14 @@ def test_common_lines_and_blocks(spark, monkeypatch):
     texts = [" ".join(line[: rng.integers(3, 40)] + [f"w{rng.integers(10**9)}" for _ in range(rng.integers(0, 8))]) for _ in range(120)]
     want, links, _ = brute_stay(texts)
     assert links and stay(spark, texts) == want
+
+
+def test_all_pairs_from_eight_to_nine_tenths_are_found(spark):
+    rng = np.random.default_rng(8)
+    texts = []
+    for _ in range(60):
+        own = [f"w{rng.integers(10**9)}" for _ in range(rng.integers(60, 400))]
+        texts += [" ".join(own), changed(rng, own, max(1, len(own) // 60))]
+    want, links, sets = brute_stay(texts)
+    assert sum(simhash.similarity(sets[i], sets[j]) < 0.9 for i, j in links) >= 40
+    assert stay(spark, texts) == want

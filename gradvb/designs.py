@@ -71,15 +71,13 @@ def w1e_design(spark: SparkSession, sf_dir: str) -> DataFrame:
 def w3_panels(spark: SparkSession, sf_dir: str, panels: int | None = None) -> DataFrame:
     """Customers with five orders or more: five rows each, ten hashed covariates and a hashed random intercept.
 
-    ``panels`` keeps the first panels by customer; by default 1000 below 10000 eligible ones, else 10000.
+    ``panels`` keeps the first panels by customer; by default all are kept.
     """
     orders = load_table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderdate")
     by_customer = W.partitionBy("o_custkey")
     rows = orders.withColumn("t", F.row_number().over(by_customer.orderBy("o_orderdate", "o_orderkey"))).withColumn("n", F.count("*").over(by_customer)).where("n >= 5 and t <= 5")
     eligible = rows.where("t = 1").select("o_custkey")
-    if panels is None:
-        panels = 10000 if eligible.count() >= 10000 else 1000
-    first = eligible.orderBy("o_custkey").limit(panels)
+    first = eligible if panels is None else eligible.orderBy("o_custkey").limit(panels)
     ranked = first.withColumn("panel_rank", F.row_number().over(W.orderBy("o_custkey")))
     rows = rows.join(ranked, "o_custkey")
     radius = F.sqrt(F.lit(PANEL_TAU2)) * F.sqrt(-2 * F.log(F.greatest(hash_uniform("a1", F.col("o_custkey")), F.lit(2.0**-53))))
@@ -93,6 +91,13 @@ def w3_panels(spark: SparkSession, sf_dir: str, panels: int | None = None) -> Da
     return rows.select("panel_id", "panel_rank", "t", y.alias("y"), *(f"x{j}" for j in range(1, 11)))
 
 
+def published_panels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The panels that the oracles' SQL defines, by the published sizes: the first 1000, or the first 10000 where as many are eligible."""
+    orders = load_table(spark, sf_dir, "orders")
+    eligible = orders.groupBy("o_custkey").agg(F.count("*").alias("n")).where("n >= 5").count()
+    return w3_panels(spark, sf_dir, 10000 if eligible >= 10000 else 1000)
+
+
 def events_panels(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Purchases by user: unbalanced panels."""
     return load_table(spark, sf_dir, "events").select(

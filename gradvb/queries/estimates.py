@@ -229,7 +229,7 @@ def glm_sql(kind: str) -> str:
 QUERIES = {
     "w1_design": designs.w1_design,
     "w1e_design": designs.w1e_design,
-    "w3_panels": designs.w3_panels,
+    "w3_panels": designs.published_panels,
     "w1_sufficient_counts": sufficient_counts,
     "quality_design": lambda s, d: designs.quality_design(s, d).withColumn("log_chars", F.round("log_chars", 9)),
     "conversation_panels": lambda s, d: designs.conversation_panels(s, d).withColumn("x2", F.round("x2", 9)),

@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from gradvb import measures
-from gradvb.designs import FLIGHT_BETA, PANEL_BETA, event_flights, flights, nest_panels, w3_panels
+from gradvb.designs import FLIGHT_BETA, PANEL_BETA, event_flights, flights, nest_panels, published_panels
 from gradvb.draws import direction_numbers, sobol
 from gradvb.estimators import ExactProvider
 from gradvb.families import NormalPrior, RankOneState
@@ -124,7 +124,7 @@ def newton_sql(tail: dict[str, str], steps: int = 8) -> str:
 
 
 def panels_of(spark, sf_dir):
-    return nest_panels(w3_panels(spark, sf_dir).drop("panel_rank"))
+    return nest_panels(published_panels(spark, sf_dir).drop("panel_rank"))
 
 
 def panel_quadrature_loglik(spark, sf_dir):
@@ -138,7 +138,7 @@ def panel_quadrature_score(spark, sf_dir):
 
 
 def small_panels(spark, sf_dir):
-    return w3_panels(spark, sf_dir).select("panel_id", "t", "y", "x1")
+    return published_panels(spark, sf_dir).select("panel_id", "t", "y", "x1")
 
 
 SMALL = (-0.5, 0.8, 0.3)

@@ -14,7 +14,7 @@ from gradvb.estimators import SampleProvider, sufficient_cells
 from gradvb.families import DiagonalState, Gaussian, NormalPrior
 from gradvb.fit import FitConfig, FitResult, ascend
 from gradvb.models import Logit, Model
-from gradvb.panel import Integrator, PanelBlock, panel_terms
+from gradvb.panel import Integrator, PanelBlock, panel_loglik, panel_terms
 from gradvb.sampling import assign_chunks
 from gradvb.sums import Sums, fit_mle, width
 
@@ -86,12 +86,15 @@ def rw_mcmc(obs: DataFrame, model: Model | None = None, prior: NormalPrior | Non
     return adaptive_walk(target, start.theta, np.linalg.inv(-start.hess), iters, burn, seed, prior, adapt)
 
 
-def loglik_estimates(block: PanelBlock, theta: np.ndarray, count: int, seed: int, draws: str = "mc", kind: str = "prior") -> float:
+def loglik_estimates(block: PanelBlock | DataFrame, theta: np.ndarray, count: int, seed: int, draws: str = "mc", kind: str = "prior") -> float:
+    """One estimate over all panels: of a block here, of nested panels where they lie. Draws are keyed by panel, so both agree."""
     how = Integrator(kind, count, draws, seed)
+    if isinstance(block, DataFrame):
+        return panel_loglik(block, theta, how)
     return sum(float(panel_terms(part, theta, how, how.nodes(part, theta))[0].sum()) for part in (block.part(np.arange(lo, min(lo + 500, len(block.ids)))) for lo in range(0, len(block.ids), 500)))
 
 
-def tune_is_count(block: PanelBlock, theta: np.ndarray, target: float = 1.0, start: int = 16, most: int = 1 << 14, repeats: int = 12, kind: str = "prior", draws: str = "mc") -> tuple[int, list[tuple[int, float]]]:
+def tune_is_count(block: PanelBlock | DataFrame, theta: np.ndarray, target: float = 1.0, start: int = 16, most: int = 1 << 14, repeats: int = 12, kind: str = "prior", draws: str = "mc") -> tuple[int, list[tuple[int, float]]]:
     """Least power of two of draws whose log-likelihood estimate varies by at most ``target``; and the variances seen."""
     seen, count = [], start
     while True:
@@ -102,7 +105,7 @@ def tune_is_count(block: PanelBlock, theta: np.ndarray, target: float = 1.0, sta
         count *= 2
 
 
-def pm_mcmc(block: PanelBlock, start: Sums, prior: NormalPrior | None = None, n_is: int | str = "auto", iters: int = 30_000, burn: int = 10_000, seed: int = 1, kind: str = "prior", draws: str = "mc") -> Chain:
+def pm_mcmc(block: PanelBlock | DataFrame, start: Sums, prior: NormalPrior | None = None, n_is: int | str = "auto", iters: int = 30_000, burn: int = 10_000, seed: int = 1, kind: str = "prior", draws: str = "mc") -> Chain:
     """Pseudo-marginal chain: fresh importance draws for every proposal, the accepted estimate kept."""
     count = tune_is_count(block, start.theta, kind=kind, draws=draws)[0] if n_is == "auto" else int(n_is)
     target = lambda theta, t: loglik_estimates(block, theta, count, seed * 1_000_003 + t, draws, kind)

@@ -20,7 +20,7 @@ from gradvb.draws import DrawSource, star_discrepancy_l2
 from gradvb.estimators import ExactProvider, SampleProvider, sufficient_cells
 from gradvb.families import NormalPrior
 from gradvb.fit import FitConfig, StepSize, ascend, compare_models, fit_exact_vb, prepare
-from gradvb.panel import Integrator, PanelProvider, fit_ngvb_panels, fit_panel_anchor, panel_sums, to_block
+from gradvb.panel import Integrator, PanelProvider, fit_ngvb_panels, fit_panel_anchor, panel_sums
 from gradvb.sampling import assign_chunks, tile_counts
 from gradvb.sums import exact_sums, fit_mle
 
@@ -84,21 +84,16 @@ def panel_fits(spark, sf_dir, sizes=(50, 100, 200), count=256, tolerance=1e-5, p
     return spark.createDataFrame(rows, SUMMARY)
 
 
-def local_panels(nested, limit: int):
-    """The first panels as one block, for chains, whose every step needs all of them on the driver."""
-    rows = nested.orderBy("panel_id").limit(limit).collect()
-    return to_block([r.panel_id for r in rows], [r.y for r in rows], [r.x for r in rows])
-
-
-def pseudo_marginal(spark, sf_dir, panels=100, iters=200, burn=100, count: int | str = 64):
-    """Pseudo-marginal chain on a stated number of panels, with the tuned number of draws and its diagnostics."""
-    nested = nest_panels(w3_panels(spark, sf_dir).drop("panel_rank")).orderBy("panel_id").limit(panels).cache()
+def pseudo_marginal(spark, sf_dir, panels: int | None = None, iters=200, burn=100, count: int | str = "auto"):
+    """Pseudo-marginal chain on all panels (or the first ``panels``), summed where they lie, with draws tuned to a variance of one, and its diagnostics."""
+    nested = nest_panels(w3_panels(spark, sf_dir, panels).drop("panel_rank"))
+    nested = nested.repartition(spark.sparkContext.defaultParallelism, "panel_id").cache()
+    n = nested.count()
     start = panel_sums(nested, fit_panel_anchor(nested, Integrator("quadrature", 20), 1.0).theta, Integrator("quadrature", 20))
-    block = local_panels(nested, panels)
-    tuned, seen = baselines.tune_is_count(block, start.theta, repeats=6, most=1024)
-    chain = baselines.pm_mcmc(block, start, n_is=tuned if count == "auto" else count, iters=iters, burn=burn)
+    tuned, seen = baselines.tune_is_count(nested, start.theta, repeats=6, most=1 << 40) if count == "auto" else (int(count), [])
+    chain = baselines.pm_mcmc(nested, start, n_is=tuned, iters=iters, burn=burn)
     rows = chain_rows("pseudo_marginal", chain, PANEL_TRUTH)
-    rows += [("diagnostics", name, float(v), 0.0, None, None, iters, None, "chain") for name, v in (("acceptance", chain.accepted.mean()), ("longest_stuck", chain.longest_stuck()), ("tuned_draws", tuned), ("last_variance", seen[-1][1]), ("effective_size_b0", measures.effective_size(chain.draws[:, 0])))]
+    rows += [("diagnostics", name, float(v), 0.0, None, None, iters, None, "chain") for name, v in (("panels", n), ("acceptance", chain.accepted.mean()), ("longest_stuck", chain.longest_stuck()), ("tuned_draws", tuned), ("last_variance", seen[-1][1] if seen else np.nan), ("effective_size_b0", measures.effective_size(chain.draws[:, 0])))]
     nested.unpersist()
     return spark.createDataFrame(rows, SUMMARY)
 

@@ -139,8 +139,8 @@ def main_text(html: str | None) -> str:
 
     Blocks of furniture (menus, headers, forms, adverts, comments and so on, by element or name)
     never count. Of the others, paths whose smoothed ratio reaches half a standard deviation of all
-    are content; the innermost container that holds most of their text is the article, and all its
-    other blocks belong to it too.
+    are content. Where articles are marked, they are the text, all of them. Else the innermost container
+    that holds most of the content adds its other blocks, and content outside it stays.
     """
     nodes, names = blocks(html or "")
     nodes = [n for n in nodes if not n.furniture]
@@ -156,11 +156,11 @@ def main_text(html: str | None) -> str:
     whole = sum(len(n.text) for n, yes in zip(nodes, chosen, strict=True) if yes)
     marked = [c for c, w in weight.items() if names[c] in ("article", "main") and w >= 0.2 * whole]
     if marked:
-        best = max(marked, key=lambda c: (weight[c], c))
-    else:
-        holders = [c for c, w in weight.items() if names[c] in ("body", "div", "section", "td") and w >= 0.6 * whole]
-        best = max(holders, default=0)
-    kept = [n.text for n, yes in zip(nodes, chosen, strict=True) if best in n.inside or not best and yes]
+        best = {c for c in weight if names[c] in ("article", "main")}
+        return "\n".join(n.text for n in nodes if best.intersection(n.inside))
+    holders = [c for c, w in weight.items() if names[c] in ("body", "div", "section", "td") and w >= 0.6 * whole]
+    best = max(holders, default=0)
+    kept = [n.text for n, yes in zip(nodes, chosen, strict=True) if yes or best and best in n.inside]
     return "\n".join(kept)
 
 

@@ -4,25 +4,27 @@ A string of ``length`` bytes that stands in two places has, in both, the same le
 among its grams, so it is enough to sort the suffixes at such grams (anchors) and to look at most ``length``
 bytes either way.
 
-1. Each task finds the anchors of its texts. Anchors whose whole surroundings recur in the task
-   are settled at once, and one of each kind goes on.
-2. Anchors meet by gram hash. Equal surroundings settle each other; where surroundings of
-   one gram differ, one of each kind has its bytes fetched.
+1. Each task finds the anchors of its texts, with a 128-bit digest of their surroundings. Anchors whose whole
+   surroundings recur in the task are settled at once, and one of each kind goes on.
+2. Anchors meet by gram hash, those of common grams by gram and surroundings. Equal surroundings settle
+   each other; where surroundings of one gram differ, one of each kind has its bytes fetched.
 3. Suffixes at a gram, to the right and reversed to the left, are sorted by a mergesort whose comparisons
    find the common extension by binary search on prefix hashes; neighbours' extensions
-   are then verified byte by byte.
+   are then verified byte by byte. Grams with more kinds than a task sorts are first divided by the bytes
+   that any two matching members must share.
 """
 
 from __future__ import annotations
 
-import hashlib
 import uuid
 from collections.abc import Iterator
+from functools import reduce
+from hashlib import blake2b, sha256
 
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
@@ -31,12 +33,14 @@ from gradvb.session import cut_lineage, ensure_checkpoint_dir
 
 #: Bytes of anchors' texts that a task holds to settle repeats within itself.
 CHUNK_BYTES = 16_000_000
-#: Surroundings of one gram up to this number are sorted by one task; those of commoner grams are matched by a shuffle of their windows.
-GROUP_LIMIT = 8_000
+#: Surroundings of one group that a task sorts; larger groups are divided.
+GROUP_LIMIT = 4_000
 #: Surroundings sorted at a time.
 BATCH = 2_000
-#: Fixed random values of the bytes, for a second hash that is independent of the first.
-SECOND = np.random.Generator(np.random.Philox(key=20)).integers(0, 2**64, 256, dtype=np.uint64)
+#: Texts that tell which grams are common, in how many surroundings one is, and how many are kept; they deal out work, which never moves the result.
+SAMPLE, COMMON, MOST_COMMON = 10_000, 8, 100_000
+#: Rows of a side that is broadcast; longer ones are joined by a shuffle.
+BROADCAST_ROWS = 100_000
 
 
 def sliding(values: np.ndarray, width: int, best) -> np.ndarray:
@@ -64,11 +68,10 @@ def spans(pre: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
 
 
 def anchors(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, ...]:
-    """(text, place in the text, end of the surroundings, gram hash, hash of the surroundings) of a slice's anchors."""
+    """(text, place in the text, gram hash, both halves of the surroundings' digest) of a slice's anchors."""
     n, width = len(data), length - gram + 1
-    empty = np.zeros(0, np.int64)
     if n < length:
-        return empty, empty, empty, np.zeros(0, np.uint64), np.zeros(0, np.uint64)
+        return (np.zeros(0, np.int64),) * 2 + (np.zeros(0, np.uint64),) * 3
     first = prefix(data.astype(np.uint64) + np.uint64(1))
     place = np.arange(n - gram + 1)
     h = mix(spans(first, place, place + gram)) | np.uint64(1)
@@ -81,59 +84,95 @@ def anchors(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> tu
     at = np.flatnonzero(top[: len(h)] == h)
     text = np.searchsorted(offsets, at, side="right") - 1
     lo, hi = np.maximum(at - (length - gram), offsets[text]), np.minimum(at + length, offsets[text + 1])
-    second = prefix(SECOND[data])
-    with np.errstate(over="ignore"):
-        around = mix(spans(first, lo, hi) * np.uint64(3) + (hi - lo).astype(np.uint64)) ^ mix(spans(second, lo, hi) + (at - lo).astype(np.uint64))
-    return text, at - offsets[text], hi - offsets[text], h[at], around
+    raw = data.tobytes()
+    digests = b"".join([blake2b(raw[x:y], digest_size=16).digest() for x, y in zip(lo.tolist(), hi.tolist(), strict=True)])
+    c = np.frombuffer(digests, "<u8").reshape(-1, 2)
+    with np.errstate(over="ignore"):  # the same bytes around a gram that stands elsewhere in them are another kind
+        return text, at - offsets[text], h[at], c[:, 0].copy(), c[:, 1] + (at - lo).astype(np.uint64) * POWERS.get(2)[0][1]
 
 
-def merged(rid: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def merged(row: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Union of the intervals of each row."""
-    order = np.lexsort((lo, rid))
-    rid, lo, hi = rid[order], lo[order], hi[order]
-    if not len(rid):
-        return rid, lo, hi
-    group = np.cumsum(np.concatenate([[0], rid[1:] != rid[:-1]]))
+    order = np.lexsort((lo, row))
+    row, lo, hi = row[order], lo[order], hi[order]
+    if not len(row):
+        return row, lo, hi
+    group = np.cumsum(np.concatenate([[0], row[1:] != row[:-1]]))
     reach = np.maximum.accumulate(hi + group * (1 << 40)) - group * (1 << 40)
-    new = np.concatenate([[True], (rid[1:] != rid[:-1]) | (lo[1:] > reach[:-1])])
+    new = np.concatenate([[True], (row[1:] != row[:-1]) | (lo[1:] > reach[:-1])])
     start = np.flatnonzero(new)
-    return rid[start], lo[start], np.maximum.reduceat(hi, start)
+    return row[start], lo[start], np.maximum.reduceat(hi, start)
+
+
+def keyed(docs: DataFrame, id_col: str, text_col: str, *more: Column) -> DataFrame:
+    """(doc, key, *more, text): a row is known by its id and a hash of its text, so only rows of one id could ever be taken for each other."""
+    text = F.col(text_col)
+    return docs.select(F.col(id_col).cast("long").alias("doc"), F.xxhash64(F.coalesce(text.cast("binary"), F.lit(b""))).alias("key"), *more, text.alias("text"))
+
 
+def same_row(a: DataFrame, b: DataFrame) -> Column:
+    return a["key"].eqNullSafe(b["own_key"]) & a["doc"].eqNullSafe(b["own_doc"])
 
-def find_anchors(texts: DataFrame, length: int, gram: int) -> DataFrame:
-    """Anchors (``copies`` of their surroundings in the task) and, with 0 copies, intervals that are settled."""
+
+def find_anchors(texts: DataFrame, length: int, gram: int, common: np.ndarray) -> DataFrame:
+    """Anchors (``copies`` of their surroundings in the task) and, with 0 copies, intervals that are settled.
+
+    ``deal`` says where rows go next: by gram, and those of ``common`` grams by gram and surroundings.
+    """
     back = length - gram
 
-    def settle(rid, place, hi, f, c) -> pa.RecordBatch:
-        order = np.lexsort((place, rid, c, f))
-        rid, place, hi, f, c = rid[order], place[order], hi[order], f[order], c[order]
-        new = np.concatenate([[True], (f[1:] != f[:-1]) | (c[1:] != c[:-1])])
-        start = np.flatnonzero(new)
+    def settle(doc, key, text, place, f, c1, c2) -> pa.RecordBatch:
+        order = np.lexsort((place, text, c2, c1, f))
+        text, place, f, c1, c2 = text[order], place[order], f[order], c1[order], c2[order]
+        start = np.flatnonzero(np.concatenate([[True], (f[1:] != f[:-1]) | (c1[1:] != c1[:-1]) | (c2[1:] != c2[:-1])])[: len(f)])
         copies = np.diff(np.append(start, len(f)))
         settled = np.repeat(copies > 1, copies)
-        s_rid, s_lo, s_hi = merged(rid[settled], np.maximum(place[settled] - back, 0), hi[settled])
-        zero = np.zeros(len(s_rid), np.uint64)
+        row, lo, hi = merged(text[settled], np.maximum(place[settled] - back, 0), place[settled] + length)
+        zero, f, c1, c2 = np.zeros(len(row), np.uint64), f[start], c1[start], c2[start]
+        at = np.concatenate([text[start], row])
         columns = [
-            np.concatenate([rid[start], s_rid]), np.concatenate([place[start], s_lo]).astype(np.int32), np.concatenate([hi[start], s_hi]).astype(np.int32),
-            np.concatenate([f[start], zero]).view(np.int64), np.concatenate([c[start], zero]).view(np.int64), np.concatenate([copies, zero.astype(np.int64)]),
+            doc.take(pa.array(at)), pa.array(key[at]), *(pa.array(np.concatenate([x, y]).astype(np.int32)) for x, y in ((place[start], lo), (place[start], hi))),
+            *(pa.array(np.concatenate([x, zero]).view(np.int64)) for x in (f, c1, c2)), pa.array(np.concatenate([copies, np.zeros(len(row), np.int64)]).astype(np.int32)),
+            pa.array(np.concatenate([np.where(np.isin(f, common), mix(f ^ c1), f), mix(key[row].view(np.uint64))]).view(np.int64)),
         ]
-        return pa.RecordBatch.from_arrays([pa.array(x) for x in columns], names=["rid", "place", "hi", "f", "c", "copies"])
+        return pa.RecordBatch.from_arrays(columns, names=["doc", "key", "place", "upto", "f", "c1", "c2", "copies", "deal"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size = [], 0
+        held, docs, keys, size, n = [], [], [], 0, 0
+
+        def close() -> pa.RecordBatch:
+            return settle(pa.concat_arrays(docs), np.concatenate(keys), *(np.concatenate(x) for x in zip(*held, strict=True)))
+
         for batch in batches:
-            rids = batch.column(0).to_numpy(zero_copy_only=False)
-            for first_row, data, offsets in slices(batch.column(1), 200_000):
+            docs.append(batch.column(0))
+            keys.append(batch.column(1).to_numpy(zero_copy_only=False))
+            for first_row, data, offsets in slices(batch.column(2), 200_000):
                 text, *rest = anchors(data, offsets, length, gram)
-                held.append((rids[first_row + text], *rest))
+                held.append((n + first_row + text, *rest))
                 size += len(data)
-                if size >= CHUNK_BYTES:
-                    yield settle(*(np.concatenate(x) for x in zip(*held, strict=True)))
-                    held, size = [], 0
-        if size:
-            yield settle(*(np.concatenate(x) for x in zip(*held, strict=True)))
+            n += batch.num_rows
+            if size >= CHUNK_BYTES:
+                yield close()
+                held, docs, keys, size, n = [], [], [], 0, 0
+        if held:
+            yield close()
+
+    return texts.select("doc", "key", "text").mapInArrow(lean(run), "doc long, key long, place int, upto int, f long, c1 long, c2 long, copies int, deal long")
+
+
+def common_grams(texts: DataFrame, length: int, gram: int) -> np.ndarray:
+    """Grams with many kinds of surroundings in a sample of the texts, sorted."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for _, data, offsets in slices(batch.column(0), 200_000):
+                _, _, f, c, _ = anchors(data, offsets, length, gram)
+                yield pa.RecordBatch.from_arrays([pa.array(f.view(np.int64)), pa.array(c.view(np.int64))], names=["f", "c"])
 
-    return texts.select("rid", "text").mapInArrow(lean(run), "rid long, place int, hi int, f long, c long, copies long")
+    share = min(1.0, SAMPLE / max(1, texts.count()))
+    sample = texts.where(F.pmod("key", F.lit(1 << 20)) < int(share * (1 << 20))).select("text")
+    counted = sample.mapInArrow(lean(run), "f long, c long").distinct().groupBy("f").agg(F.count("*").alias("n")).where(F.col("n") >= COMMON)
+    return np.sort(np.array([r.f for r in counted.orderBy(F.desc("n"), "f").limit(MOST_COMMON).collect()], np.int64).view(np.uint64))
 
 
 class Surroundings:
@@ -210,8 +249,8 @@ class Surroundings:
         lcp = np.minimum(lcp, np.minimum(size[i], size[j]))
         return np.concatenate([[-1], np.where(group[i] == group[j], lcp, -1)])
 
-    def matched(self, group: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Largest and least offset of the gram in a window of ``length`` bytes that another member has too; -1 if none."""
+    def matched(self, group: np.ndarray, low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Largest and least offset, from ``low`` to ``high``, of the gram in a window of ``length`` bytes that another member has too; -1 if none."""
         n = len(group)
         sides = []
         for forward in (True, False):
@@ -227,11 +266,11 @@ class Surroundings:
             sides.append((order, lcp))
         largest, least = np.full(n, -1), np.full(n, -1)
         label = np.empty((2, n), np.int64)
-        for offset in range(self.centre + 1):
+        for offset in range(int(low.min(initial=0)), int(high.max(initial=-1)) + 1):
             for k, need in ((0, self.length - offset), (1, offset)):
                 order, lcp = sides[k]
                 label[k, order] = np.cumsum(lcp < need)
-            fits = (self.left >= offset) & (self.right >= self.length - offset)
+            fits = (self.left >= offset) & (self.right >= self.length - offset) & (low <= offset) & (offset <= high)
             at = np.flatnonzero(fits)
             if len(at) < 2:
                 continue
@@ -242,21 +281,26 @@ class Surroundings:
         return largest, least
 
 
+#: A member of a group: the group, the offsets that its windows may have, the row and place, whether it is the only one of its kind, its bytes.
+MEMBERS = "g binary, low int, high int, doc long, key long, place int, once boolean, around binary"
+ARROW = pa.schema([("g", pa.binary()), ("low", pa.int32()), ("high", pa.int32()), ("doc", pa.int64()), ("key", pa.int64()), ("place", pa.int32()), ("once", pa.bool_()), ("around", pa.binary())])
+
+
 def match_groups(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterator[pa.RecordBatch]:
-    """Intervals of the members whose surroundings are the only ones of their kind; input sorted by gram."""
+    """Intervals of the members whose surroundings are the only ones of their kind; input sorted by group."""
     held: list[tuple] = []
 
     def close(rows: list[tuple]) -> pa.RecordBatch:
-        f = np.array([r[0] for r in rows])
-        rid, place, once = np.array([r[1] for r in rows]), np.array([r[2] for r in rows]), np.array([r[3] == 1 for r in rows])
-        back = np.minimum(place, length - gram)
-        largest, least = Surroundings([r[4] for r in rows], back, length, gram).matched(f)
+        names: dict[bytes, int] = {}
+        g = np.array([names.setdefault(r[0], len(names)) for r in rows])
+        low, high, place, once = (np.array([r[k] for r in rows]) for k in (1, 2, 5, 6))
+        largest, least = Surroundings([r[7] for r in rows], np.minimum(place, length - gram), length, gram).matched(g, low, high)
         own = np.flatnonzero((largest >= 0) & once)
-        columns = [rid[own], (place - largest)[own], (place - least)[own] + length]
-        return pa.RecordBatch.from_arrays([pa.array(x.astype(np.int64)) for x in columns], names=["rid", "lo", "hi"])
+        columns = [pa.array([rows[i][k] for i in own], pa.int64()) for k in (3, 4)] + [pa.array((place - largest)[own], pa.int32()), pa.array((place - least)[own] + length, pa.int32())]
+        return pa.RecordBatch.from_arrays(columns, names=["doc", "key", "lo", "hi"])
 
     for batch in batches:
-        for row in zip(*(batch.column(k).to_pylist() for k in range(5)), strict=True):
+        for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
             if len(held) >= BATCH and row[0] != held[-1][0]:
                 yield close(held)
                 held = []
@@ -265,67 +309,115 @@ def match_groups(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> I
         yield close(held)
 
 
-def packed_texts(docs: DataFrame) -> DataFrame:
-    """(doc_id, rid, z): texts compressed before they are shuffled."""
+def divided(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterator[pa.RecordBatch]:
+    """Each member in two groups, one for each half of its offsets.
+
+    Windows of the offsets low to high all hold the gram, ``low`` bytes before it and ``length - high`` from its
+    start on, so members that share a window share these bytes, which name the group. ``hull`` names all that
+    these windows cover: members of one hull share all their windows.
+    """
+    for batch in batches:
+        out: list[tuple] = []
+        for _, low, high, doc, key, place, once, around in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            back = min(place, length - gram)
+            middle = (low + high) // 2
+            for x, y in ((low, middle), (middle + 1, high)):
+                if x <= y and back >= x and len(around) - back >= length - y and max(x, length - len(around) + back) <= min(y, back):
+                    core = blake2b(around[back - x : back + length - y], digest_size=16, person=b"%d,%d" % (x, y)).digest()
+                    lo, hi = max(0, back - y), min(len(around), back + length - x)
+                    out.append((core, x, y, doc, key, place, once, around, blake2b(around[lo:hi], digest_size=16, person=b"%d" % (back - lo)).digest()))
+        yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], f.type) for k, f in enumerate(ARROW)] + [pa.array([r[8] for r in out], pa.binary())], names=[*ARROW.names, "hull"])
+
+
+def checked(side: DataFrame) -> DataFrame:
+    """``side``, broadcast if it is short."""
+    return F.broadcast(side) if side.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else side
+
+
+def matches(members: DataFrame, folder: str, length: int, gram: int) -> DataFrame:
+    """(doc, key, lo, hi) of members (with ``kinds``, their group's size) that share a window with another one of their group.
+
+    Groups that one task can sort are sorted. Larger ones are divided by halves of their offsets until the
+    parts can be sorted; members that share all that a half covers are settled on the way, and one of
+    each kind stays as a partner of the others.
+    """
+    spark = members.sparkSession
+    names = ARROW.names
+    fit, settled = [members.where(F.col("kinds") <= GROUP_LIMIT).select(names)], []
+    large, level = members.where(F.col("kinds") > GROUP_LIMIT).select(names), 0
+    while not large.isEmpty():
+        path, level = f"{folder}/level{level}", level + 1
+        large.mapInArrow(lean(lambda b: divided(b, length, gram)), f"{MEMBERS}, hull binary").write.parquet(path)
+        parts = spark.read.parquet(path)
+        over = checked(cut_lineage(parts.groupBy("g").agg(F.count("*").alias("n")).where(F.col("n") > GROUP_LIMIT).select("g")))
+        fit.append(parts.join(over, "g", "left_anti").select(names))
+        rest = parts.join(over, "g", "left_semi")
+        hulls = rest.groupBy("g", "hull").agg(F.count("*").alias("n"), F.min(F.struct("doc", "key", "place")).alias("one"))
+        shared = cut_lineage(hulls.where("n > 1"))
+        hit = checked(shared.select("g", "hull"))
+        back = F.least("place", F.lit(length - gram))
+        lo, hi = F.col("place") - F.least("high", back), F.col("place") - F.greatest("low", length - (F.length("around") - back)) + length
+        settled.append(rest.join(hit, ["g", "hull"], "left_semi").where("once").select("doc", "key", lo.cast("int").alias("lo"), hi.cast("int").alias("hi")))
+        ones = shared.select(F.col("g").alias("own_g"), F.col("hull").alias("own_hull"), *(F.col(f"one.{c}").alias(f"own_{c}") for c in ("doc", "key", "place")))
+        stays = (rest["g"] == ones["own_g"]) & (rest["hull"] == ones["own_hull"]) & (rest["place"] == ones["own_place"]) & same_row(rest, ones)
+        partners = rest.join(ones, stays, "left_semi").withColumn("once", F.lit(False)).select(names)
+        large = rest.join(hit, ["g", "hull"], "left_anti").select(names).union(partners).where("low < high")
+    fit = reduce(DataFrame.union, fit).repartition("g").sortWithinPartitions("g")
+    return reduce(DataFrame.union, [fit.mapInArrow(lean(lambda b: match_groups(b, length, gram)), "doc long, key long, lo int, hi int"), *settled])
+
+
+def packed_texts(texts: DataFrame) -> DataFrame:
+    """(doc, key, z): texts compressed before they are shuffled."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         press = zstandard.ZstdCompressor(level=3)
         for batch in batches:
             z = [press.compress(x or b"") for x in as_binary(batch.column(2)).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], names=["doc_id", "rid", "z"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], names=["doc", "key", "z"])
 
-    return docs.mapInArrow(lean(run), "doc_id long, rid long, z binary")
+    return texts.mapInArrow(lean(run), "doc long, key long, z binary")
 
 
 def repeated_spans(docs: DataFrame, length: int = 200, gram: int = 64, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(rid, spans): for rows with repeated strings, the byte intervals (lo, hi) they cover; rid is xxhash64(id, text)."""
+    """(own_doc, own_key, spans): for rows (see ``keyed``) with repeated strings, the byte intervals (lo, hi) that cover them; ends may lie beyond the text's."""
     spark = small_batches(docs).sparkSession
-    texts = docs.select(F.xxhash64(F.col(id_col).cast("long"), text_col).alias("rid"), F.col(text_col).alias("text"))
+    texts = keyed(docs, id_col, text_col)
     folder = f"{ensure_checkpoint_dir(spark)}/suffixes-{uuid.uuid4().hex}"
-    find_anchors(texts, length, gram).write.parquet(folder)
-    found = spark.read.parquet(folder)
-    kinds = W.partitionBy("f", "c")
-    grams = W.partitionBy("f")
-    met = found.where("copies > 0").repartition("f")
-    met = met.withColumn("total", F.sum("copies").over(kinds)).withColumn("row", F.row_number().over(kinds.orderBy("rid", "place")))
-    met = met.select(
-        "rid", "place", "hi", "f", "total", "row",
-        (F.min("c").over(grams) < F.max("c").over(grams)).alias("several"), F.min("total").over(grams).alias("rarest"), F.sum(F.when(F.col("row") == 1, 1)).over(grams).alias("kinds"),
-    )
-    fetch = F.col("several") & (F.col("rarest") == 1) & (F.col("row") == 1)
-    met = cut_lineage(met.where(fetch | (F.col("total") > 1)).withColumn("fetch", fetch))
-    settled = found.where("copies = 0").select("rid", F.col("place").cast("long").alias("lo"), F.col("hi").cast("long").alias("hi"))
-    settled = settled.union(met.where("total > 1").select("rid", F.greatest(F.col("place") - (length - gram), F.lit(0)).cast("long"), F.col("hi").cast("long")))
-
-    wanted = met.where("fetch").groupBy("rid").agg(F.collect_list(F.struct("f", "place", "total", "kinds")).alias("wanted"))
-    zipped = packed_texts(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.col(id_col).cast("long"), text_col).alias("rid"), F.col(text_col).alias("text")))
-    bytes_of = zipped.select("rid", "z").join(wanted, "rid")
+    kinds, grams = W.partitionBy("deal", "f", "c1", "c2"), W.partitionBy("deal", "f")
+    met = find_anchors(texts, length, gram, common_grams(texts, length, gram)).repartition("deal")
+    met = met.withColumn("total", F.sum("copies").over(kinds)).withColumn("row", F.row_number().over(kinds.orderBy("doc", "key", "place")))
+    met = met.withColumn("kinds", F.sum((F.col("row") == 1).cast("long")).over(grams)).withColumn("rarest", F.min("total").over(grams))
+    spread = F.col("deal") != F.col("f")
+    fetch = (F.col("copies") > 0) & (F.col("row") == 1) & (spread | (F.col("kinds") > 1) & (F.col("rarest") == 1))
+    met = met.select("doc", "key", "place", "upto", "f", "copies", "total", "kinds", spread.alias("spread"), fetch.alias("fetch"))
+    met.where("copies = 0 or copies = 1 and total > 1 or fetch").write.parquet(f"{folder}/met")
+    met = spark.read.parquet(f"{folder}/met")
+    back = length - gram
+    settled = met.where("copies = 0").select("doc", "key", F.col("place").alias("lo"), F.col("upto").alias("hi"))
+    settled = settled.union(met.where("copies = 1 and total > 1").select("doc", "key", F.greatest(F.col("place") - back, F.lit(0)), F.col("place") + length))
+
+    # common grams, no more than MOST_COMMON of them, were dealt out by surroundings: count their kinds here
+    spread = met.where("fetch and spread").groupBy("f").agg(F.count("*").alias("n"), F.min("total").alias("least")).where("n > 1 and least = 1").select("f", "n")
+    wanted = met.where("fetch").join(F.broadcast(spread), "f", "left").where("not spread or n is not null")
+    wanted = wanted.groupBy("doc", "key").agg(F.collect_list(F.struct("f", "place", "total", F.coalesce("n", "kinds").alias("kinds"))).alias("wanted"))
+    wanted = wanted.toDF("own_doc", "own_key", "wanted")
+    zipped = packed_texts(texts)
+    bytes_of = zipped.join(wanted, same_row(zipped, wanted)).select("doc", "key", "z", "wanted")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         open_ = zstandard.ZstdDecompressor()
         for batch in batches:
-            out: list[list] = [[] for _ in range(6)]
-            for rid, z, want in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
+            out: list[tuple] = []
+            for doc, key, z, want in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 text = open_.decompress(z)
                 for w in want:
                     place = w["place"]
-                    for column, value in zip(out, (w["f"], rid, place, w["total"], text[max(0, place - (length - gram)) : place + length], w["kinds"]), strict=True):
-                        column.append(value)
-            yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in out[:4]), pa.array(out[4], pa.binary()), pa.array(out[5], pa.int64())], names=["f", "rid", "place", "total", "around", "kinds"])
-
-    around = cut_lineage(bytes_of.mapInArrow(lean(cut), "f long, rid long, place long, total long, around binary, kinds long"))
-    sorted_ = around.where(F.col("kinds") <= GROUP_LIMIT).drop("kinds").repartition("f").sortWithinPartitions("f")
-    sorted_ = sorted_.mapInArrow(lean(lambda b: match_groups(b, length, gram)), "rid long, lo long, hi long")
-    common = around.where(F.col("kinds") > GROUP_LIMIT)
-    back = F.least("place", F.lit(length - gram))
-    offsets = F.filter(F.sequence(F.lit(0).cast("long"), F.lit(length - gram).cast("long")), lambda o: (o <= back) & (F.length("around") - back >= length - o))
-    windows = common.select("f", "rid", "place", "total", "around", back.alias("back"), F.explode(offsets).alias("o"))
-    windows = windows.select("f", "rid", "place", "total", "o", F.md5(F.substring("around", F.col("back") - F.col("o") + 1, F.lit(length))).alias("key"))
-    shared = windows.groupBy("f", "o", "key").agg(F.count("*").alias("n")).where("n > 1").drop("n")
-    hot = windows.where("total = 1").join(shared, ["f", "o", "key"]).groupBy("f", "rid", "place").agg(F.max("o").alias("top"), F.min("o").alias("low"))
-    hot = hot.select("rid", (F.col("place") - F.col("top")).alias("lo"), (F.col("place") - F.col("low") + length).alias("hi"))
-    every = settled.union(sorted_).union(hot)
-    out = cut_lineage(every.groupBy("rid").agg(F.collect_set(F.struct("lo", "hi")).alias("spans")))
+                    out.append((w["f"].to_bytes(8, "little", signed=True), 0, back, doc, key, place, w["total"] == 1, text[max(0, place - back) : place + length], w["kinds"]))
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], f.type) for k, f in enumerate(ARROW)] + [pa.array([r[8] for r in out], pa.int64())], names=[*ARROW.names, "kinds"])
+
+    bytes_of.mapInArrow(lean(cut), f"{MEMBERS}, kinds long").write.parquet(f"{folder}/around")
+    every = settled.union(matches(spark.read.parquet(f"{folder}/around"), folder, length, gram))
+    out = cut_lineage(every.groupBy("doc", "key").agg(F.collect_set(F.struct("lo", "hi")).alias("spans")).toDF("own_doc", "own_key", "spans"))
     path = spark._jvm.org.apache.hadoop.fs.Path(folder)
     path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
     return out
@@ -355,8 +447,8 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: s
     empty table gives no rows; other columns are not read.
     """
     found = repeated_spans(docs, length, gram, id_col, text_col)
-    rows = packed_texts(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.col(id_col).cast("long"), text_col).alias("rid"), F.col(text_col).alias("text")))
-    joined = rows.join(found, "rid", "left").select("doc_id", "z", "spans")
+    rows = packed_texts(keyed(docs, id_col, text_col))
+    joined = rows.join(found, same_row(rows, found), "left").select(F.col("doc").alias("doc_id"), "z", "spans")
     names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"] + ["kept"] * keep_text
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -367,7 +459,7 @@ def remove_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: s
                 text = open_.decompress(z)
                 parts, removed, runs = kept_parts(text, spans_)
                 left = b"".join(parts)
-                for column, value in zip(out, (len(text), removed, runs, hashlib.sha256(left).hexdigest(), b"".join(p.decode("utf-8", "ignore").encode() for p in parts).decode() if keep_text else None), strict=True):
+                for column, value in zip(out, (len(text), removed, runs, sha256(left).hexdigest(), b"".join(p.decode("utf-8", "ignore").encode() for p in parts).decode() if keep_text else None), strict=True):
                     column.append(value)
             arrays = [batch.column(0), *(pa.array(c, pa.int64()) for c in out[:3]), pa.array(out[3], pa.string())]
             yield pa.RecordBatch.from_arrays(arrays + [pa.array(out[4], pa.string())] * keep_text, names=names)
@@ -381,17 +473,16 @@ def strip_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: st
     Whole characters stay whole: the bytes of a character that a cut divides go with it. A column
     ``n_chars`` is counted anew. Texts without repeats, null texts among them, stay as they are.
     """
-    found = repeated_spans(docs, length, gram, id_col, text_col).toDF("own_rid", "spans")
+    found = repeated_spans(docs, length, gram, id_col, text_col)
     others = [c for c in docs.columns if c != text_col]
-    rid = F.xxhash64(F.col(id_col).cast("long"), text_col)
-    shaped = docs.select(F.struct(*others).alias("rest"), rid.alias("rid"), F.col(text_col).alias("text"))
+    shaped = keyed(docs, id_col, text_col, F.struct(*others).alias("rest"))
     rest = shaped.schema["rest"].dataType.simpleString()
 
     def press(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = zstandard.ZstdCompressor(level=3)
         for batch in batches:
-            z = [None if x is None else own.compress(x) for x in as_binary(batch.column(2)).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(z, pa.binary())], names=["rest", "rid", "z"])
+            z = [None if x is None else own.compress(x) for x in as_binary(batch.column(3)).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(z, pa.binary())], names=["doc", "key", "rest", "z"])
 
     def restore(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = zstandard.ZstdDecompressor()
@@ -406,8 +497,8 @@ def strip_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: st
                 texts.append(text)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.binary()).cast(pa.string()), pa.array(stays)], names=["rest", "text", "stays"])
 
-    packed = shaped.mapInArrow(lean(press), f"rest {rest}, rid long, z binary")
-    joined = packed.join(found, packed["rid"] == found["own_rid"], "left").select("rest", "z", "spans")
+    packed = shaped.mapInArrow(lean(press), f"doc long, key long, rest {rest}, z binary")
+    joined = packed.join(found, same_row(packed, found), "left").select("rest", "z", "spans")
     out = joined.mapInArrow(lean(restore), f"rest {rest}, text string, stays boolean").where("stays")
     columns = [F.col("text").alias(c) if c == text_col else F.length("text").cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col("rest")[c].alias(c) for c in docs.columns]
     return out.select(*columns)

@@ -232,11 +232,40 @@ def test_repeats_equal_brute_force(spark, monkeypatch):
     shared = word(260)
     texts = [word(500), word(300) + shared + word(120), word(90) + shared + word(400), shared[10:215] + word(50), shared[:199], "x" * 700, "ab" * 300, None, "", word(500)[:250] * 2]
     texts += [texts[0], texts[0][:250] + "!" + texts[0][251:]]
-    for limit in (20_000, 1):  # the second sends every group through the shuffle of windows
+    line, other = word(110), word(90)
+    texts += [word(int(rng.integers(0, 90))) + line + (other if k % 3 else word(95))[: int(rng.integers(60, 96))] + word(int(rng.integers(0, 160))) for k in range(40)]
+    texts += [word(int(rng.integers(0, 40))) + shared[int(rng.integers(0, 30)) : 260 - int(rng.integers(0, 30))] + word(int(rng.integers(0, 40))) for k in range(30)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    want = brute_repeats([(t or "").encode() for t in texts], 200)
+    for limit, common in ((4_000, 8), (1, 8), (5, 1)):  # as shipped; every group divided to the end; every gram dealt out by surroundings
         monkeypatch.setattr(suffix_dedup, "GROUP_LIMIT", limit)
-        got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.remove_repeats(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)).collect()}
-        for k, want in enumerate(brute_repeats([(t or "").encode() for t in texts], 200)):
-            assert got[k] == want, (limit, k)
+        monkeypatch.setattr(suffix_dedup, "COMMON", common)
+        got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.remove_repeats(df).collect()}
+        for k, expected in enumerate(want):
+            assert got[k] == expected, (limit, common, k)
+
+
+def test_repeats_of_rows_with_one_id(spark):
+    """Rows of equal or null ids are known by their texts; equal rows are repeats of each other."""
+    words = " ".join(f"w{k}" for k in range(90))
+    rows = [(None, words), (None, "left " + words + " right"), (1, words[:150]), (1, words[:150] + words[:150]), (2, words + "."), (2, words + ".")]
+    got = sorted((r.doc_id or 0, r.n_bytes, r.n_removed) for r in suffix_dedup.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect())
+    want = sorted((i or 0, *brute[:2]) for (i, _), brute in zip(rows, brute_repeats([t.encode() for _, t in rows], 200), strict=True))
+    assert got == want
+
+
+def test_hash_collisions_are_found(monkeypatch):
+    """Prefix hashes that tell no bytes apart leave the results as they are."""
+    rng = np.random.default_rng(9)
+    around = [bytes(rng.integers(97, 99, 80).astype(np.uint8)) for _ in range(60)]
+    around = [a[:20] + around[0][20:60] + a[60:] for a in around] + [around[0][:75] + b"zzzzz"] * 2
+    make = lambda: suffix_dedup.Surroundings(around, np.full(62, 20), 60, 40)
+    group, low, high = np.zeros(62, np.int64), np.zeros(62, np.int64), np.full(62, 20)
+    want = make().matched(group, low, high)
+    blind = make()
+    blind.hash = np.zeros_like(blind.hash)
+    got = blind.matched(group, low, high)
+    assert all((x == y).all() for x, y in zip(want, got, strict=True)) and want[0].max() == 20
 
 
 def test_repeats_of_odd_rows(odd, none):

@@ -19,15 +19,19 @@ ARROW = pa.schema([(name, pa.int64()) for name in ("doc_id", "start", "length",
 _ENCODERS: dict = {}
 
 
+#: Fixed value: the vocabulary's special string, which tokenizers reads as one id wherever it stands in a text.
+SPECIAL = {"<|endoftext|>": 50256}
+
+
 def encoder(vocabulary: str):
-    """The byte-level BPE whose ranks the file lists; the worker keeps it. Special strings are plain text."""
+    """The byte-level BPE whose ranks the file lists, with its special string; the worker keeps it."""
     import public_tokenizers
     import tiktoken
 
     if vocabulary not in _ENCODERS:
         with open(vocabulary, "rb") as lines:
             ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, lines)}
-        _ENCODERS[vocabulary] = tiktoken.Encoding("bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+        _ENCODERS[vocabulary] = tiktoken.Encoding("bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=SPECIAL)
     return _ENCODERS[vocabulary]
 
 
@@ -90,12 +94,46 @@ def best_fit_decreasing(lengths: np.ndarray, window: int) -> tuple[np.ndarray, n
     return sequence, offset, used
 
 
+def unpadded(total: int, window: int) -> list[int]:
+    """Sizes of sequences that hold ``total`` ids without padding: full windows, then powers of two, largest first."""
+    sizes, rest = [window] * (total // window), total % window
+    return sizes + [1 << k for k in range(rest.bit_length() - 1, -1, -1) if rest >> k & 1]
+
+
+def place_rests(rests: list[tuple[int, int, bytes, int]], window: int, least_fill: float) -> tuple[list[tuple], int]:
+    """Pieces (doc, start, length, crc, document's ids, sequence, offset) of (doc, start, raw ids, document's ids), and the number of sequences.
+
+    Sequences that best fit fills to less than ``least_fill`` of the window, and not to a power of two, are laid end to end and cut anew, so that they need no padding.
+    """
+    lengths = np.array([len(r[2]) // 4 for r in rests], np.int64)
+    sequence, offset, used = best_fit_decreasing(lengths, window)
+    load = np.bincount(sequence, weights=lengths, minlength=used).astype(np.int64)
+    loose = (load < least_fill * window) & (load & (load - 1) != 0)
+    number = np.cumsum(~loose) - 1
+    own = loose[sequence]
+    out = [(d, at, n, zlib.crc32(raw), total, s, o) for (d, at, raw, total), n, s, o, cut in zip(rests, lengths.tolist(), number[sequence].tolist(), offset.tolist(), own.tolist(), strict=True) if not cut]
+    sizes = unpadded(int(load[loose].sum()), window)
+    k, filled, first = -1, 0, int((~loose).sum())
+    for i in np.lexsort((offset, sequence)).tolist():
+        if not own[i]:
+            continue
+        doc, at, raw, total = rests[i]
+        while raw:
+            if k < 0 or filled == sizes[k]:
+                k, filled = k + 1, 0
+            piece = raw[: 4 * (sizes[k] - filled)]
+            out.append((doc, at, len(piece) // 4, zlib.crc32(piece), total, first + k, filled))
+            at, filled, raw = at + len(piece) // 4, filled + len(piece) // 4, raw[len(piece) :]
+    return out, first + len(sizes)
+
+
 def pack(
     docs: DataFrame,
     window: int = 2048,
     vocabulary: str | None = None,
     end_id: int = 1,
-    group: int = 1_000_000,
+    group: int = 8_000_000,
+    least_fill: float = 0.98,
     id_col: str = "doc_id",
     text_col: str = "text",
 ) -> DataFrame:
@@ -103,10 +141,12 @@ def pack(
 
     A document's ids are its text's and ``end_id``. Documents longer than a window are cut into
     full windows, each a sequence of its own; the rests are packed best fit, longest first,
-    within a scan partition (at most ``group`` rests at a time, which bounds memory). No row is
+    within a scan partition (about ``group`` ids at a time, which bounds memory). Sequences that this leaves
+    less than ``least_fill`` full are cut anew into full windows and, at the end, sequences of a power of two, so that padding does
+    not depend on how the table is dealt out. No row is
     shuffled: a sequence belongs to one partition and its id starts with that partition's number.
 
-    Null and empty texts are the end id alone. Repeated rows are packed as often as they come,
+    Null and empty texts are the end id alone. Special strings of the vocabulary are one id each. Repeated rows are packed as often as they come,
     ties by their order in the file. An empty table gives no rows. Columns other than the id and
     the text are not read.
     """
@@ -115,35 +155,36 @@ def pack(
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = encoder(vocabulary)
         base = pyspark.TaskContext.get().partitionId() << 33
-        used, rest = 0, []
-
-        def close() -> Iterator[pa.RecordBatch]:
-            nonlocal used, rest
-            lengths = np.array([r[2] for r in rest], np.int64)
-            sequence, offset, more = best_fit_decreasing(lengths, window)
-            names = list(zip(*rest, strict=True))
-            ids = pa.array(names[0], pa.int64())
-            columns = [ids, *(pa.array(np.array(x, np.int64)) for x in names[1:]), pa.array(sequence + base + used), pa.array(offset)]
-            used, rest = used + more, []
-            yield pa.RecordBatch.from_arrays(columns, schema=ARROW)
+        used, rest, held = 0, [], 0
+
+        def rows(found: list[tuple]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found, strict=True)], schema=ARROW)
+
+        def close() -> pa.RecordBatch:
+            nonlocal used, rest, held
+            found, more = place_rests(rest, window, least_fill)
+            found = [(*r[:5], base + used + r[5], r[6]) for r in found]
+            used, rest, held = used + more, [], 0
+            return rows(found)
 
         for batch in batches:
             full = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids = np.append(bpe.encode_to_numpy(text or "", disallowed_special=()), end_id).astype("<u4")
+                ids = np.append(bpe.encode_to_numpy(text or "", allowed_special="all"), end_id).astype("<u4")
                 raw, n = ids.tobytes(), len(ids)
                 cut = n - n % window
                 for start in range(0, cut, window):
                     full.append((doc, start, window, zlib.crc32(raw[4 * start : 4 * (start + window)]), n, base + used, 0))
                     used += 1
                 if cut < n:
-                    rest.append((doc, cut, n - cut, zlib.crc32(raw[4 * cut :]), n))
+                    rest.append((doc, cut, raw[4 * cut :], n))
+                    held += n - cut
             if full:
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*full, strict=True)], schema=ARROW)
-            if len(rest) >= group:
-                yield from close()
+                yield rows(full)
+            if held >= group:
+                yield close()
         if rest:
-            yield from close()
+            yield close()
 
     return small_batches(docs).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(lean(run), SCHEMA)
 

@@ -327,9 +327,10 @@ def test_packing_round_trip(spark, docs, odd, none):
     from tokenizers import Tokenizer
 
     bpe = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    bpe.encode_special_tokens = True
     rows = docs.select("doc_id", "text").union(odd.select("doc_id", "text").where("doc_id in (1, 2, 6, 7)").select(F.col("doc_id") + 10_000, "text"))
-    got = packing.pack(rows, 256).toPandas()
+    special = ["a <|endoftext|> b", "<|endoftext|><|endoftext|>", "x  <|endoftext|>\n<|endoftext", "<|endofText|>"]
+    rows = rows.union(docs.sparkSession.createDataFrame([(20_000 + k, t) for k, t in enumerate(special)], "doc_id long, text string"))
+    got = packing.pack(rows, 256, group=20_000).toPandas()
     for doc in rows.collect():
         ids = np.array([*bpe.encode(doc.text or "", add_special_tokens=False).ids, 1], "<u4")
         part = got[got["doc_id"] == doc.doc_id].sort_values("start")
@@ -341,6 +342,16 @@ def test_packing_round_trip(spark, docs, odd, none):
     assert packing.pack(none).collect() == []
 
 
+@pytest.mark.parametrize("partitions", [1, 60])
+def test_packing_pads_little_however_rows_are_dealt_out(docs, partitions):
+    load = packing.pack(docs.repartition(partitions)).groupBy("sequence_id").agg(F.sum("length").alias("n")).toPandas()["n"]
+    assert load.sum() >= 0.98 * sum(n if n & (n - 1) == 0 else 2048 for n in load)
+
+
+def test_sequences_without_padding():
+    assert packing.unpadded(2 * 8 + 5, 8) == [8, 8, 4, 1] and packing.unpadded(0, 8) == []
+
+
 def test_best_fit_is_the_tightest():
     lengths = np.array([60, 50, 40, 30, 20, 50, 1])
     sequence, offset, used = packing.best_fit_decreasing(lengths, 100)

@@ -33,6 +33,19 @@ def small_batches(df: DataFrame) -> DataFrame:
     return df
 
 
+#: Rows of a side that is broadcast; longer ones are joined by a shuffle.
+BROADCAST_ROWS = 100_000
+
+
+def is_short(side: DataFrame) -> bool:
+    return side.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+
+
+def checked(side: DataFrame) -> DataFrame:
+    """``side``, to be broadcast if it is short. It is counted for that, so it should be written already."""
+    return F.broadcast(side) if is_short(side) else side
+
+
 def lean(run):
     """``run`` for mapInArrow, giving what it freed back to the system when a partition ends: workers live on and hold it otherwise."""
 

@@ -14,7 +14,8 @@ from pyspark.sql import functions as F
 
 from gradvb.llm.common import small_batches, table
 
-MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
+#: Comments, declarations and tags. Quotes delimit only what directly follows an equals sign; elsewhere, and where none closes them, they are characters like others.
+MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:=\s*(?:\"[^\"]*\"|'[^']*')|[^>])*)(?:>|\Z)", re.S)
 NAMES = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 
 #: Elements whose content is never text of the page.
@@ -44,19 +45,42 @@ PUNCTUATION = re.compile(r"[.,;:!?…。，،¿¡]")
 SPACE = re.compile(r"\s+")
 
 
+#: Words that say where or how a named element stands, and not what it holds.
+PLACES = {
+    "area", "bar", "block", "body", "bottom", "box", "button", "buttons", "cell", "col", "column", "container", "content", "fixed", "global", "group",
+    "holder", "icon", "icons", "inner", "item", "items", "left", "link", "links", "list", "main", "media", "mobile", "outer", "page", "panel",
+    "post", "posts", "primary", "right", "row", "secondary", "section", "site", "slot", "sticky", "text", "thread", "title", "top", "unit", "us",
+    "wrap", "wrapper",
+}
+#: Names that say nothing against an element inside an article, where they stand at its title.
+HEADINGS = {"header", "masthead", "banner"}
+
+
+def named(given: str, in_article: bool) -> int:
+    """What the names of an element say: 2, it is furniture; 1, it may be, its text has to tell; 0, nothing."""
+    found = 0
+    for name in re.sub(r"([a-z])([A-Z])", r"\1 \2", given).lower().split() if given else ():
+        words = set(filter(None, re.split(r"[^a-z]+", name)))
+        listed = words & FURNITURE_NAMES - (HEADINGS if in_article else set())
+        if listed:
+            found = max(found, 2 if words <= FURNITURE_NAMES | PLACES else 1)
+    return found
+
+
 @dataclass
 class Node:
-    """A text block: its tag path, the open containers' numbers, whether it is furniture, and its text."""
+    """A text block: its tag path, the open containers' numbers, what its containers say (as ``named``), those that may be furniture, and its text."""
 
     path: tuple[str, ...]
     inside: tuple[int, ...]
-    furniture: bool
+    furniture: int
+    doubtful: tuple[int, ...]
     text: str
 
 
 def blocks(html: str) -> tuple[list[Node], dict[int, str]]:
     """The page's blocks in order, and each container's element name."""
-    stack: list[tuple[str, str, int, bool]] = []
+    stack: list[tuple[str, str, int, int]] = []
     names: dict[int, str] = {}
     out: list[Node] = []
     piece: list[str] = []
@@ -66,7 +90,7 @@ def blocks(html: str) -> tuple[list[Node], dict[int, str]]:
         text = SPACE.sub(" ", unescape("".join(piece)).replace("\xa0", " ")).strip() if piece else ""
         piece.clear()
         if text:
-            out.append(Node(tuple(s[1] for s in stack if s[0] in BLOCKS), tuple(s[2] for s in stack), any(s[3] for s in stack), text))
+            out.append(Node(tuple(s[1] for s in stack if s[0] in BLOCKS), tuple(s[2] for s in stack), max((s[3] for s in stack if s[3] != 1), default=0), tuple(s[2] for s in stack if s[3] == 1), text))
 
     while at < end:
         found = MARKUP.search(html, at)
@@ -108,9 +132,8 @@ def blocks(html: str) -> tuple[list[Node], dict[int, str]]:
                     del stack[i:]
                     break
         given = " ".join(a or b or c for a, b, c in NAMES.findall(found[3])) if found[3] else ""
-        words = set(re.split(r"[^a-z0-9]+", re.sub(r"([a-z])([A-Z])", r"\1 \2", given).lower())) if given else set()
         in_article = any(s[0] in ("article", "main") for s in stack)
-        furniture = tag in FURNITURE or tag not in ("html", "body", "article", "main") and bool(words & FURNITURE_NAMES) or tag == "header" and not in_article
+        furniture = 3 if tag in FURNITURE or tag == "header" and not in_article else named(given, in_article) if tag not in ("html", "body", "article", "main") else 0
         number += 1
         names[number] = tag
         if not found[3].endswith("/"):
@@ -137,17 +160,27 @@ def path_ratios(nodes: list[Node], width: float = 1.0) -> np.ndarray:
 def main_text(html: str | None) -> str:
     """The article's blocks, one per line.
 
-    Blocks of furniture (menus, headers, forms, adverts, comments and so on, by element or name)
-    never count. Of the others, paths whose smoothed ratio reaches half a standard deviation of all
-    are content. Where articles are marked, they are the text, all of them. Else the innermost container
+    Blocks of elements for furniture (menus, headers, forms and so on) never count, and those of elements named as furniture
+    (adverts, comments and so on) only on pages that have no others. Of the rest, paths whose smoothed ratio reaches half a standard
+    deviation of all are content; an element whose name only hints at furniture goes unless half its text is content.
+    Where articles are marked, they are the text, all of them. Else the innermost container
     that holds most of the content adds its other blocks, and content outside it stays.
     """
     nodes, names = blocks(html or "")
-    nodes = [n for n in nodes if not n.furniture]
+    nodes = [n for n in nodes if not n.furniture] or [n for n in nodes if n.furniture < 3]
     if not nodes:
         return ""
     ratio = path_ratios(nodes)
     chosen = ratio >= 0.5 * ratio.std()
+    share: dict[int, list[int]] = {}
+    for node, yes in zip(nodes, chosen, strict=True):
+        for c in node.doubtful:
+            x = share.setdefault(c, [0, 0])
+            x[0] += len(node.text)
+            x[1] += len(node.text) * bool(yes)
+    thin = {c for c, (whole, content) in share.items() if 2 * content < whole}
+    stays = [k for k, n in enumerate(nodes) if not thin.intersection(n.doubtful)] or list(range(len(nodes)))
+    nodes, chosen = [nodes[k] for k in stays], chosen[stays]
     weight: dict[int, float] = {}
     for node, yes in zip(nodes, chosen, strict=True):
         if yes:

@@ -13,8 +13,8 @@ from gradvb.session import cut_lineage
 
 #: Bins of a histogram pass; the driver sees at most this many sums for each node of the level.
 BINS = 512
-#: Coordinates are (value, tie break), 31 and 32 bits.
-VALUE_BITS, TIE_BITS = 31, 32
+#: Coordinates are (value, tie break), 31 and 32 bits; the first 10 of the tie break are the text's.
+VALUE_BITS, TIE_BITS, TEXT_BITS = 31, 32, 10
 
 
 @dataclass
@@ -40,7 +40,10 @@ def place(node: Node, coords: list[Column], value) -> Column:
 
 
 def metadata(docs: DataFrame, dims: dict[str, Column], id_col: str, text_col: str) -> DataFrame:
-    """Narrow rows: id, size, checksum and a coordinate per dimension, whose ties go by text, then by id."""
+    """Narrow rows: id, size, checksum and a coordinate per dimension, whose ties go by text, then by the row's number in the scan, scattered.
+
+    The number tells even rows of equal id and text apart. It holds as long as these rows are written before they are used.
+    """
     text = F.coalesce(F.col(text_col), F.lit("")).cast("binary")
     base = docs.select(
         F.col(id_col).cast("long").alias("doc_id"),
@@ -48,10 +51,11 @@ def metadata(docs: DataFrame, dims: dict[str, Column], id_col: str, text_col: st
         F.crc32(text).alias("text_crc32"),
         *(F.coalesce(c.cast("long"), F.lit(0)).alias(f"v{k}") for k, c in enumerate(dims.values())),
     )
-    by_text = F.shiftleft(F.shiftright("text_crc32", 16), 16)
-    by_id = F.xxhash64("doc_id").bitwiseAND(F.lit(0xFFFF))
+    base = base.withColumn("row", F.monotonically_increasing_id())
+    by_text = F.shiftleft(F.shiftright("text_crc32", 32 - TEXT_BITS), TIE_BITS - TEXT_BITS)
+    by_row = F.xxhash64("row").bitwiseAND(F.lit((1 << (TIE_BITS - TEXT_BITS)) - 1))
     return base.select(
-        "doc_id", "size", "text_crc32", *(F.shiftleft(F.col(f"v{k}"), TIE_BITS).bitwiseOR(by_text).bitwiseOR(by_id).alias(f"c{k}") for k in range(len(dims)))
+        "doc_id", "size", "text_crc32", "row", *(F.shiftleft(F.col(f"v{k}"), TIE_BITS).bitwiseOR(by_text).bitwiseOR(by_row).alias(f"c{k}") for k in range(len(dims)))
     )
 
 
@@ -142,29 +146,29 @@ def kd_shards(
     Each cell of the tree is split along the dimension in which it is widest, relative to the whole
     table, at the weighted median found by passes of byte histograms over all rows; a cell that
     becomes an odd number of shards is split in proportion. Within equal values ties go by the
-    text's checksum, then by the id, so a group of equal texts or a hot source is split where
+    text's checksum, then by the row's number in the scan, so a group of equal texts, of equal rows or of a hot source is split where
     balance needs it. Slots count from 0 in each shard: rows are numbered within hashed
     sub-groups of about ``slot_rows`` and shifted by the sizes of the sub-groups before.
 
     Null texts count 16 bytes and the checksum of an empty text. Null ids and null dimensions are
-    values like any other. Repeated rows get a slot each. An empty table gives no rows. Extra
+    values like any other. Repeated rows are split like other ties and get a slot each. An empty table gives no rows. Extra
     columns are not read.
     """
     dims = dims or default_dims(docs, text_col)
     meta = cut_lineage(metadata(docs, dims, id_col, text_col))
     root = grow(meta, shards, len(dims))
     coords = [F.col(f"c{k}") for k in range(len(dims))]
-    placed = meta.select("doc_id", "size", "text_crc32", place(root, coords, lambda n: F.lit(n.number)).alias("shard"))
+    placed = meta.select("doc_id", "size", "text_crc32", "row", place(root, coords, lambda n: F.lit(n.number)).alias("shard"))
     total = meta.count()
     subs = max(4, min(4096, -(-total // (shards * slot_rows))))
-    placed = placed.withColumn("sub", F.pmod(F.xxhash64("doc_id", "text_crc32"), F.lit(subs)).cast("int"))
+    placed = placed.withColumn("sub", F.pmod(F.xxhash64("row", F.lit(1)), F.lit(subs)).cast("int"))
     sizes = placed.groupBy("shard", "sub").agg(F.count("*").alias("n"))
     before = W.partitionBy("shard").orderBy("sub").rowsBetween(W.unboundedPreceding, -1)
     shifts = sizes.select("shard", "sub", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("shift"))
-    order = W.partitionBy("shard", "sub").orderBy("doc_id", "text_crc32", "size")
-    numbered = placed.withColumn("row", F.row_number().over(order))
+    order = W.partitionBy("shard", "sub").orderBy("doc_id", "text_crc32", "row")
+    numbered = placed.withColumn("number", F.row_number().over(order))
     return numbered.join(F.broadcast(shifts), ["shard", "sub"]).select(
-        "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", (F.col("shift") + F.col("row") - 1).alias("slot"), F.lit(None).cast("int").alias("grown_shard")
+        "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", (F.col("shift") + F.col("number") - 1).alias("slot"), F.lit(None).cast("int").alias("grown_shard")
     )
 
 

@@ -9,10 +9,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradvb.llm.common import IS_SPACE, LOWER, POWERS, as_binary, lean, mix, prefix_hash, runs, slices, small_batches, span_hash, table
+from gradvb.llm.common import IS_SPACE, LOWER, POWERS, as_binary, checked, is_short, lean, mix, prefix_hash, runs, slices, small_batches, span_hash, table
 from gradvb.llm.components import components
 from gradvb.session import cut_lineage
 
+#: A text of more than this share (one in so many) of the rows is named without a shuffle of its copies.
+HOT = 10_000
 #: Buckets up to this size are compared pair by pair at once, larger ones by a search that keeps a forest.
 SMALL = 24
 
@@ -148,15 +150,19 @@ def simhash_groups(
     if not 0 <= bits <= 3:
         raise ValueError("two halves find at most three differing bits")
     each = cut_lineage(fingerprints(docs, id_col, text_col, shingle, seed))
-    prints = cut_lineage(each.groupBy("fp").agg(F.min("id").alias("first_id")))
+    prints = cut_lineage(each.groupBy("fp").agg(F.min("id").alias("first_id"), F.count("*").alias("n")))
     groups = components(near_links(prints.select("fp"), bits))
-    known = prints.join(groups, prints["fp"] == groups["node"], "left").select("fp", "first_id", F.coalesce("component", "fp").alias("group"))
+    known = prints.join(groups, prints["fp"] == groups["node"], "left").select("fp", "first_id", "n", F.coalesce("component", "fp").alias("group"))
     known = cut_lineage(known)
     least = known.groupBy("group").agg(F.min("first_id").alias("component_id"))
-    names = known.join(least, "group").select("fp", "component_id")
-    return each.join(names, "fp").select(
-        F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
-    )
+    names = cut_lineage(known.join(least, "group").select("fp", "n", "component_id"))
+    # fingerprints of more than a HOT-th of the rows, HOT of them at most, are named where their rows lie
+    many = F.col("n") * HOT > (names.agg(F.sum("n")).first()[0] or 0)
+    hot = names.where(many).select(F.col("fp").alias("hot_fp"), F.col("component_id").alias("hot_id"))
+    tagged = each.join(F.broadcast(hot), each["fp"] == hot["hot_fp"], "left")
+    rest = tagged.where("hot_fp is null").select("id", "fp").join(names.where(~many), "fp").select("id", "fp", "component_id")
+    found = tagged.where("hot_fp is not null").select("id", "fp", F.col("hot_id").alias("component_id")).union(rest)
+    return found.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -165,8 +171,8 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 #: Texts that tell which shingles are common, in how many of them one is, and how many common ones are kept; they order shingles, which moves the cost and never the result.
 SAMPLE, COMMON, MOST_COMMON = 10_000, 8, 100_000
-#: Texts of a bucket of shingles that a task compares at a time.
-BLOCK = 4000
+#: Texts of a bucket of shingles that a task compares at a time, rows of a bucket that a task holds, and keys of texts that it knows as seen.
+BLOCK, RUN, SEEN = 4000, 500_000, 500_000
 
 Common = tuple[np.ndarray, np.ndarray]
 
@@ -238,9 +244,17 @@ def common_shingles(rows: DataFrame, share: float, size: int) -> Common:
     return hashes[order], (len(found) - np.arange(len(found)))[order]
 
 
-def whole_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
-    """The columns of sorted batches, cut only where the first column changes."""
+def whole_runs(batches: Iterator[pa.RecordBatch], limit: int) -> Iterator[tuple[list[np.ndarray], bool, bool]]:
+    """The columns of sorted batches, cut where the first column changes, or within a run of more than ``limit`` rows.
+
+    With them comes whether the first run began in the piece before, whose last row is then repeated, and whether the last run goes on.
+    """
     held: list[list[np.ndarray]] = []
+    began = False
+
+    def joined() -> list[np.ndarray]:
+        return [np.concatenate(c) for c in zip(*held, strict=True)]
+
     for batch in batches:
         if not batch.num_rows:
             continue
@@ -248,13 +262,17 @@ def whole_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
         last = int(np.searchsorted(columns[0], columns[0][-1], side="left"))
         if held and (last > 0 or held[0][0][0] != columns[0][0]):
             held.append([c[:last] for c in columns])
-            yield [np.concatenate(c) for c in zip(*held, strict=True)]
-            held = []
+            yield joined(), began, False
+            held, began = [], False
         elif last > 0:
-            yield [c[:last] for c in columns]
+            yield [c[:last] for c in columns], False, False
         held.append([c[last:] for c in columns])
+        if sum(len(h[0]) for h in held) > limit:
+            piece = joined()
+            yield piece, began, True
+            held, began = [[c[-1:] for c in piece]], True
     if held:
-        yield [np.concatenate(c) for c in zip(*held, strict=True)]
+        yield joined(), began, False
 
 
 def may_be_near(n: np.ndarray, pos: np.ndarray, i, j, least: float) -> np.ndarray:
@@ -263,12 +281,20 @@ def may_be_near(n: np.ndarray, pos: np.ndarray, i, j, least: float) -> np.ndarra
 
 
 def first_pairs(least: float):
-    """From (h, key, n, pos) sorted by h: all pairs of small buckets as (a, b); of large ones a chain and a star, and each row as (a, null, h, n, pos)."""
+    """From (h, key, n, pos) sorted by h and key: all pairs of small buckets as (a, b); of large ones a chain and a star, and each row as (a, null, h, n, pos)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for h, key, n, pos in whole_runs(batches):
+        for columns, began, goes_on in whole_runs(batches, RUN):
+            h, key = columns[:2]
+            new = np.ones(len(h), bool)
+            new[1:] = (h[1:] != h[:-1]) | (key[1:] != key[:-1])
+            h, key, n, pos = (c[new] for c in columns)
             size = np.diff(np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]])))
             in_run, start = np.repeat(size, size), np.repeat(np.cumsum(size) - size, size)
+            if began:
+                in_run[: size[0]] = SMALL + 1
+            if goes_on:
+                in_run[len(h) - size[-1] :] = SMALL + 1
             left, right = [], []
             for step in range(1, min(SMALL, int(size.max()))):
                 i = np.flatnonzero((h[step:] == h[:-step]) & ((in_run[step:] <= SMALL) | (step == 1)))
@@ -281,28 +307,68 @@ def first_pairs(least: float):
             if len(i):
                 none = pa.nulls(len(i), pa.int64())
                 yield pa.RecordBatch.from_arrays([pa.array(np.minimum(key[i], key[j])), pa.array(np.maximum(key[i], key[j])), none, none, none], names=["a", "b", "h", "n", "pos"])
+            big = big[began:] if len(big) and big[0] == 0 else big
             if len(big):
                 yield pa.RecordBatch.from_arrays([pa.array(key[big]), pa.nulls(len(big), pa.int64()), pa.array(h[big]), pa.array(n[big]), pa.array(pos[big])], names=["a", "b", "h", "n", "pos"])
 
     return run
 
 
+def met_before(member: np.ndarray, shingle: np.ndarray, size: int) -> np.ndarray:
+    """Rows of 0 and 1 whose product tells how many of the given shingles two members share."""
+    names, code, count = np.unique(shingle, return_inverse=True, return_counts=True)
+    shared = count > 1
+    place = np.cumsum(shared) - 1
+    out = np.zeros((size, int(shared.sum())), np.float32)
+    own = shared[code]
+    out[member[own], place[code[own]]] = 1
+    return out
+
+
 def open_pairs(least: float):
-    """From (g, key, n, pos, label, block, same) sorted by g and n: all pairs of a bucket that are not in one group yet; ``same`` pairs a block with itself."""
+    """From (g, key, n, pos, label, block, same, before) sorted by g and n: the pairs of a bucket that are not in one group yet and met in no bucket before.
+
+    ``same`` pairs a block with itself; ``before`` lists the large buckets of a row that come before this one in the order of shingles, so
+    a pair comes out of the first large bucket that it shares, and of no other.
+    """
+
+    def close(key, n, pos, label, block, same, member, shingle) -> Iterator[pa.RecordBatch]:
+        if (label == label[0]).all():
+            return
+        met = met_before(member, shingle, len(key))
+        for lo in range(0, len(key), 256):
+            i = np.arange(lo, min(lo + 256, len(key)))
+            j = np.arange(lo, int(np.searchsorted(n, n[i[-1]] / least + 1e-6, side="right")))
+            fits = (j[None, :] > i[:, None]) & (label[j][None, :] != label[i][:, None]) & (n[j][None, :] <= n[i][:, None] / least + 1e-6)
+            fits &= bool(same[0]) | (block[j][None, :] != block[i][:, None])
+            fits &= may_be_near(n, pos, i[:, None], j[None, :], least)
+            if met.shape[1] and fits.any():
+                fits &= met[i] @ met[j].T == 0
+            a, b = np.nonzero(fits)
+            if len(a):
+                a, b = key[i[a]], key[j[b]]
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], names=["x", "y"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for g, key, n, pos, label, block, same in whole_runs(batches):
-            cuts = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1], [True]]))
+        held: list[pa.RecordBatch] = []
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            whole = pa.Table.from_batches(held).combine_chunks()
+            _, *flat = (whole.column(k).to_numpy() for k in range(7))
+            before = whole.column(7).combine_chunks()
+            size = before.value_lengths().to_numpy(zero_copy_only=False)
+            yield from close(*flat, np.repeat(np.arange(len(size)), size), before.flatten().to_numpy(zero_copy_only=False))
+
+        for batch in batches:
+            g = batch.column(0).to_numpy(zero_copy_only=False)
+            cuts = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1], [True]])) if len(g) else np.zeros(0, np.int64)
             for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
-                if (label[lo:hi] == label[lo]).all():
-                    continue
-                for i in range(lo, hi - 1):
-                    end = lo + int(np.searchsorted(n[lo:hi], n[i] / least + 1e-6, side="right"))
-                    j = np.arange(i + 1, end)
-                    j = j[(label[j] != label[i]) & (bool(same[i]) | (block[j] != block[i]))]
-                    j = j[may_be_near(n, pos, i, j, least)]
-                    if len(j):
-                        yield pa.RecordBatch.from_arrays([pa.array(np.minimum(key[i], key[j])), pa.array(np.maximum(key[i], key[j]))], names=["x", "y"])
+                if held and held[0].column(0)[0].as_py() != g[lo]:
+                    yield from flush()
+                    held = []
+                held.append(batch.slice(lo, hi - lo))
+        if held:
+            yield from flush()
 
     return run
 
@@ -311,12 +377,14 @@ def still_open(members: DataFrame, links: DataFrame, least: float) -> DataFrame:
     """Pairs (x, y) of the large buckets ``members`` that ``links`` do not connect. Buckets are dealt out by pairs of blocks."""
     groups = components(links)
     sizes = members.groupBy("h").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
-    rows = members.join(groups, members["key"] == groups["node"], "left").join(sizes, "h")
+    held = members.groupBy("key").agg(F.collect_list(F.struct("pos", "h")).alias("own"))
+    rows = members.join(held, "key").join(groups, F.col("key") == groups["node"], "left").join(checked(sizes), "h")
+    rows = rows.withColumn("before", F.transform(F.filter("own", lambda o: o["pos"] < F.col("pos")), lambda o: o["h"]))
     rows = rows.withColumn("label", F.coalesce("component", "key")).withColumn("block", F.pmod(F.xxhash64("key"), F.col("blocks")))
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     group = F.xxhash64("h", F.least("block", "other"), F.greatest("block", "other"))
     # a block meets itself as (k, k) and every other block as (k, other)
-    rows = rows.select(group.alias("g"), "key", "n", "pos", "label", "block", (F.col("block") == F.col("other")).cast("long").alias("same"))
+    rows = rows.select(group.alias("g"), "key", "n", "pos", "label", "block", (F.col("block") == F.col("other")).cast("long").alias("same"), "before")
     return rows.repartition("g").sortWithinPartitions("g", "n").mapInArrow(lean(open_pairs(least)), "x long, y long").distinct()
 
 
@@ -344,12 +412,20 @@ def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col
     common = common_shingles(rows, min(1.0, SAMPLE / max(1, firsts.count())), shingle)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()  # copies that a task meets again add nothing; those of other tasks are told apart in their buckets
         for batch in batches:
+            fresh = []
+            for k in batch.column(0).to_pylist():
+                fresh.append(k not in seen)
+                seen.add(k)
+            if len(seen) > SEEN:
+                seen.clear()
+            batch = batch.filter(pa.array(fresh, pa.bool_()))
             yield pa.RecordBatch.from_arrays([batch.column(0), *prefixes(batch.column(1), shingle, least, common)], names=["key", "n", "prefix"])
 
-    texts = rows.select("key", "text").mapInArrow(lean(cut), "key long, n long, prefix array<long>").groupBy("key").agg(F.first(F.struct("n", "prefix")).alias("t"))
-    buckets = texts.select("key", F.col("t.n").alias("n"), F.posexplode("t.prefix").alias("pos", "h")).select("h", "key", "n", F.col("pos").cast("long").alias("pos"))
-    met = buckets.repartition("h").sortWithinPartitions("h").mapInArrow(lean(first_pairs(least)), "a long, b long, h long, n long, pos long")
+    texts = rows.select("key", "text").mapInArrow(lean(cut), "key long, n long, prefix array<long>")
+    buckets = texts.select("key", "n", F.posexplode("prefix").alias("pos", "h")).select("h", "key", "n", F.col("pos").cast("long").alias("pos"))
+    met = buckets.repartition("h").sortWithinPartitions("h", "key").mapInArrow(lean(first_pairs(least)), "a long, b long, h long, n long, pos long")
     met = cut_lineage(met)
     found = cut_lineage(met.where("b is not null").select(F.col("a").alias("x"), F.col("b").alias("y")).distinct())
     members = met.where("b is null").select("h", F.col("a").alias("key"), "n", "pos")
@@ -374,9 +450,12 @@ def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col
 
     def verify(found: DataFrame) -> DataFrame:
         ends = found.select(F.col("x").alias("own")).union(found.select("y")).distinct()
-        ends = ends.join(firsts, ends["own"] == firsts["key"]).select("own", "first_id")
-        bodies = rows.join(ends, (F.col("key") == F.col("own")) & F.col("id").eqNullSafe(F.col("first_id"))).select("id", "key", "text")
-        bodies = bodies.mapInArrow(lean(zipped), "id long, key long, z binary")
+        ends = cut_lineage(ends.join(firsts, ends["own"] == firsts["key"]).select("own", "first_id"))
+        chosen = (F.col("key") == F.col("own")) & F.col("id").eqNullSafe(F.col("first_id"))
+        if is_short(ends):
+            bodies = rows.join(F.broadcast(ends), chosen).select("id", "key", "text").mapInArrow(lean(zipped), "id long, key long, z binary")
+        else:
+            bodies = rows.mapInArrow(lean(zipped), "id long, key long, z binary").join(ends, chosen)
         bodies = cut_lineage(bodies.groupBy("key").agg(F.first("z").alias("z")))
         pairs = found.join(bodies.toDF("x", "zx"), "x").join(bodies.toDF("y", "zy"), "y").select("x", "y", "zx", "zy")
         return cut_lineage(pairs.mapInArrow(lean(verified), "a long, b long"))

@@ -28,7 +28,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from gradvb.llm.common import POWERS, as_binary, mix, lean, slices, small_batches, table
+from gradvb.llm.common import POWERS, as_binary, checked, lean, mix, slices, small_batches, table
 from gradvb.session import cut_lineage, ensure_checkpoint_dir
 
 #: Bytes of anchors' texts that a task holds to settle repeats within itself.
@@ -39,8 +39,6 @@ GROUP_LIMIT = 4_000
 BATCH = 2_000
 #: Texts that tell which grams are common, in how many surroundings one is, and how many are kept; they deal out work, which never moves the result.
 SAMPLE, COMMON, MOST_COMMON = 10_000, 8, 100_000
-#: Rows of a side that is broadcast; longer ones are joined by a shuffle.
-BROADCAST_ROWS = 100_000
 
 
 def sliding(values: np.ndarray, width: int, best) -> np.ndarray:
@@ -329,11 +327,6 @@ def divided(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterat
         yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], f.type) for k, f in enumerate(ARROW)] + [pa.array([r[8] for r in out], pa.binary())], names=[*ARROW.names, "hull"])
 
 
-def checked(side: DataFrame) -> DataFrame:
-    """``side``, broadcast if it is short."""
-    return F.broadcast(side) if side.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else side
-
-
 def matches(members: DataFrame, folder: str, length: int, gram: int) -> DataFrame:
     """(doc, key, lo, hi) of members (with ``kinds``, their group's size) that share a window with another one of their group.
 

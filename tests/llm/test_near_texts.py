@@ -41,8 +41,10 @@ def test_pairs_behind_a_failed_leader_are_looked_at(spark, monkeypatch, small):
     assert len(links) == 30 and stay(spark, texts) == want
 
 
-def test_common_lines_and_blocks(spark, monkeypatch):
-    """Texts of one common passage and little else, in buckets of several blocks."""
+@pytest.mark.parametrize("run", [500_000, 4])
+def test_common_lines_and_blocks(spark, monkeypatch, run):
+    """Texts of one common passage and little else, in buckets of several blocks, held whole or in pieces."""
+    monkeypatch.setattr(simhash, "RUN", run)
     monkeypatch.setattr(simhash, "SMALL", 3)
     monkeypatch.setattr(simhash, "BLOCK", 7)
     rng = np.random.default_rng(6)
@@ -61,3 +63,14 @@ def test_all_pairs_from_eight_to_nine_tenths_are_found(spark):
     want, links, sets = brute_stay(texts)
     assert sum(simhash.similarity(sets[i], sets[j]) < 0.9 for i, j in links) >= 40
     assert stay(spark, texts) == want
+
+
+def test_a_pair_comes_out_of_one_large_bucket():
+    """Rows of two large buckets that hold the same texts: their open pairs come out of the first alone."""
+    import pyarrow as pa
+
+    rows = [(g, key, 100, pos, key, 0, 1, before) for g, pos, before in ((1, 5, []), (2, 9, [77])) for key in range(10)]
+    names = ["g", "key", "n", "pos", "label", "block", "same", "before"]
+    batch = pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(7)] + [pa.array([r[7] for r in rows], pa.list_(pa.int64()))], names=names)
+    got = [(x, y) for b in simhash.open_pairs(0.8)(iter([batch.slice(0, 13), batch.slice(13)])) for x, y in zip(b["x"].to_pylist(), b["y"].to_pylist(), strict=True)]
+    assert sorted(got) == [(i, j) for i in range(10) for j in range(i + 1, 10)]

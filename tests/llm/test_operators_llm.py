@@ -63,6 +63,14 @@ def test_hot_group_is_split(spark):
     assert counts.min() >= 80 and counts.max() <= 120
 
 
+def test_equal_rows_are_split(spark):
+    df = spark.range(900).select(F.lit(None).cast("long").alias("doc_id"), F.lit("the same words").alias("text"), F.lit("s").alias("source"))
+    got = sharding.kd_shards(df.union(df.limit(0)), 9).toPandas()
+    counts = got.groupby("shard").size()
+    assert len(counts) == 9 and counts.min() >= 95 and counts.max() <= 105
+    assert all(sorted(part["slot"]) == list(range(len(part))) for _, part in got.groupby("shard"))
+
+
 # decontamination
 
 
@@ -188,6 +196,38 @@ def test_main_text():
     assert html_text.main_text("plain words, no tags") == "plain words, no tags"
 
 
+def test_attributes_of_pages():
+    """Quotes within unquoted values and unclosed ones swallow no text."""
+    assert html_text.main_text("<p title=it's>One, two.</p><p>Second, don't.</p><p>Third, three.") == "One, two.\nSecond, don't.\nThird, three."
+    assert html_text.main_text("<p a='>' b=\">\">One, two.</p><p c='open>Second, too.</p>") == "One, two.\nSecond, too."
+    assert html_text.main_text('<p "x">One, two.</p><img alt=5">Three, four.') == "One, two.\nThree, four."
+
+
+def test_names_are_evidence_only():
+    prose = "".join(f"<p>A sentence of the text, number {k}, that says something at some length.</p>" for k in range(4))
+    lines = "\n".join(f"A sentence of the text, number {k}, that says something at some length." for k in range(4))
+    links = "<ul><li><a>Home</a><li><a>Other</a></ul>"
+    assert html_text.main_text(f"<body><div class='social-history'><article>{prose}</article></div>{links}</body>") == lines
+    assert html_text.main_text(f"<body><article><p>First, of all things, a longer opening sentence.</p><section class=search-tips>{prose}</section></article></body>") == "First, of all things, a longer opening sentence.\n" + lines
+    assert html_text.main_text(f"<body><article>{prose}<div class=search-shortcuts>{links}</div></article></body>") == lines
+    assert html_text.main_text(f"<body><article><div class=entry-header><h1>Title</h1></div>{prose}</article><div id=comments>{prose}</div></body>") == "Title\n" + lines
+    assert html_text.main_text(f"<body><div class=newsletter>{prose}</div></body>") == lines
+
+
+def test_pages_of_the_table_are_their_articles():
+    """Every article of the given pages, stripped by a plainer reader of well-formed markup."""
+    import duckdb
+    from html import unescape
+
+    rows = duckdb.sql("SELECT html FROM '/root/testdata/sf0.01/pages.parquet'").fetchall()
+    assert len(rows) == 250
+    for (page,) in rows:
+        body = re.search(r"<article>(.*?)</article>", page, re.S)[1]
+        parts = re.split(r"</?(?:p|h1|ul|li|div)\b[^>]*>", re.sub(r'<div class="ad">.*?</div>', "", body, flags=re.S))
+        want = [re.sub(r"\s+", " ", unescape(re.sub(r"<[^>]*>", lambda m: " " if m[0].startswith("<br") else "", x))).strip() for x in parts]
+        assert html_text.main_text(page) == "\n".join(filter(None, want))
+
+
 def test_pages_on_odd_rows(spark):
     rows = [(1, "u", None, 3), (1, "u", None, 3), (None, None, "<p>x</p>", 1), (4, "v", "<p>" + "a b. " * 50_000, 0)]
     got = html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string, n_chars int")).collect()

@@ -34,7 +34,7 @@ from gradvb.session import cut_lineage, ensure_checkpoint_dir
 #: Bytes of anchors' texts that a task holds to settle repeats within itself.
 CHUNK_BYTES = 16_000_000
 #: Surroundings of one group that a task sorts; larger groups are divided.
-GROUP_LIMIT = 4_000
+GROUP_LIMIT = 2_000
 #: Surroundings sorted at a time.
 BATCH = 2_000
 #: Texts that tell which grams are common, in how many surroundings one is, and how many are kept; they deal out work, which never moves the result.
@@ -344,7 +344,8 @@ def matches(members: DataFrame, folder: str, length: int, gram: int) -> DataFram
         parts = spark.read.parquet(path)
         over = checked(cut_lineage(parts.groupBy("g").agg(F.count("*").alias("n")).where(F.col("n") > GROUP_LIMIT).select("g")))
         fit.append(parts.join(over, "g", "left_anti").select(names))
-        rest = parts.join(over, "g", "left_semi")
+        parts.join(over, "g", "left_semi").write.parquet(f"{path}-large")
+        rest = spark.read.parquet(f"{path}-large")
         hulls = rest.groupBy("g", "hull").agg(F.count("*").alias("n"), F.min(F.struct("doc", "key", "place")).alias("one"))
         shared = cut_lineage(hulls.where("n > 1"))
         hit = checked(shared.select("g", "hull"))

@@ -3,20 +3,22 @@
 from __future__ import annotations
 
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from gradvb.estimators import SampleProvider, sufficient_cells
+from gradvb.estimators import Estimate, SampleProvider, assemble, remainder_values, sufficient_cells
 from gradvb.families import DiagonalState, Gaussian, NormalPrior
 from gradvb.fit import FitConfig, FitResult, ascend
 from gradvb.models import Logit, Model
-from gradvb.panel import Integrator, PanelBlock, panel_loglik, panel_terms
+from gradvb.panel import Integrator, PanelBlock, blocks_of, panel_loglik, panel_terms
 from gradvb.sampling import assign_chunks
-from gradvb.sums import Sums, fit_mle, width
+from gradvb.sums import Sums, fit_mle, sum_expressions, unpack, width
 
 
 @dataclass
@@ -112,9 +114,59 @@ def pm_mcmc(block: PanelBlock | DataFrame, start: Sums, prior: NormalPrior | Non
     return adaptive_walk(target, start.theta, np.linalg.inv(-start.hess), iters, burn, seed, prior or NormalPrior())
 
 
-def fit_levb(provider, state: Gaussian, prior: NormalPrior | None = None, cfg: FitConfig | None = None) -> FitResult:
-    """Likelihood-estimate VB: score-function gradients that use the estimated likelihood's value only."""
-    return ascend(provider, state, prior, replace(cfg or FitConfig(), estimator="score"))
+def fit_levb(provider, state: Gaussian, prior: NormalPrior | None = None, cfg: FitConfig | None = None, curvature: np.ndarray | None = None) -> FitResult:
+    """Likelihood-estimate VB: score-function gradients that use the estimated likelihood's value only.
+
+    With a provider of this module whose estimates have noise of their own for every draw, the state and that
+    noise are fitted together; the target is the exact one only if the noise's variance does not move with the parameters.
+    """
+    return ascend(provider, state, prior, replace(cfg or FitConfig(), estimator="score"), curvature=curvature)
+
+
+class AugmentedPanels:
+    """Log-likelihood estimates over all panels, each draw with importance draws of its own; no gradients.
+
+    One job an iteration: tasks go through their panels once for all draws and send one sum a draw.
+    """
+
+    def __init__(self, panels: DataFrame, n: int, dim: int, count: int, seed: int = 1, draws: str = "mc", kind: str = "prior") -> None:
+        self.panels, self.n, self.dim, self.how, self.seed = panels, n, dim, Integrator(kind, count, draws), seed
+
+    def estimate(self, thetas: np.ndarray, iteration: int) -> Estimate:
+        how, seed = self.how, self.seed
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            total = np.zeros(len(thetas))
+            for batch in batches:
+                for block in blocks_of(batch, max(1, 50_000 // how.count)):
+                    for k, theta in enumerate(thetas):
+                        own = how.at(seed, iteration, k)
+                        total[k] += panel_terms(block, theta, own, own.nodes(block, theta))[0].sum()
+            yield pa.RecordBatch.from_arrays([pa.array(range(len(thetas)), pa.int32()), pa.array(total)], names=["draw_id", "ll"])
+
+        rows = self.panels.select("panel_id", "y", "x").mapInArrow(run, "draw_id int, ll double").groupBy("draw_id").agg(F.sum("ll").alias("ll")).collect()
+        ll = np.zeros(len(thetas))
+        for r in rows:
+            ll[r.draw_id] = r.ll
+        return Estimate(np.zeros((len(thetas), self.dim)), ll, float("nan"), self.n)
+
+
+class AugmentedRows:
+    """Log likelihoods from row samples, each draw with a sample of its own, less half their estimated variance, so that the likelihood's estimate is nearly unbiased."""
+
+    def __init__(self, provider: SampleProvider) -> None:
+        self.provider, self.n, self.dim, self.taken = provider, provider.n, provider.dim, 0
+
+    def estimate(self, thetas: np.ndarray, iteration: int) -> Estimate:
+        p, ll, rows = self.provider, np.zeros(len(thetas)), 0
+        for k, theta in enumerate(thetas):
+            x, y, w = p.rows(iteration * len(thetas) + k)
+            rest = remainder_values(x, y, theta, p.anchor, p.model, p.surrogate)
+            here = assemble(theta[None, :], p.anchor, np.zeros((1, p.dim)), np.array([w @ rest]), p.surrogate)[1][0]
+            m = max(2.0, w.sum() * p.m / p.n)
+            ll[k] = here - 0.5 * p.n**2 / m * float(np.average((rest - np.average(rest, weights=w)) ** 2, weights=w))
+            rows += len(y)
+        return Estimate(np.zeros((len(thetas), p.dim)), ll, float("nan"), rows)
 
 
 def laplace(obs: DataFrame, model: Model | None = None) -> tuple[Sums, np.ndarray]:
@@ -129,31 +181,43 @@ def plain_subsampling(store: DataFrame, counts: dict[int, int], state: Gaussian,
     return ascend(SampleProvider(store, None, m, seed=cfg.seed, surrogate="none", engine=cfg.engine, counts=counts), state, None, cfg)
 
 
-def divide_and_combine(obs: DataFrame, chunks: int, model: Model | None = None, key: str = "obs_key", salt: str = "chunk") -> tuple[np.ndarray, np.ndarray]:
-    """Each chunk fitted by itself, estimates weighted by their information: (estimate, covariance)."""
+def divide_and_combine(obs: DataFrame, chunks: int, model: Model | None = None, key: str = "obs_key", salt: str = "chunk", steps: int = 30, cap: float = 25.0) -> tuple[np.ndarray, np.ndarray]:
+    """Each chunk fitted by itself, estimates weighted by their information: (estimate, covariance).
+
+    All chunks take their Newton steps together: a step is one aggregate by chunk, at each chunk's own point.
+    """
     model, d = model or Logit(), width(obs)
+    rows = assign_chunks(obs, chunks, key, salt).select("chunk_id", "y", *(f"x{k}" for k in range(d))).cache()
+    spark, theta = obs.sparkSession, {r[0]: np.zeros(d) for r in rows.select("chunk_id").distinct().collect()}
+
+    def sums() -> dict[int, Sums]:
+        points = spark.createDataFrame([(c, *map(float, t)) for c, t in theta.items()], "chunk_id int, " + ", ".join(f"t{k} double" for k in range(d)))
+        z = F.lit(0.0)
+        for k in range(d):
+            z = z + F.col(f"t{k}") * F.col(f"x{k}")
+        here = rows.join(F.broadcast(points), "chunk_id")
+        found = here.groupBy("chunk_id").agg(*sum_expressions(model, np.zeros(d), 2, z)).collect()
+        return {r["chunk_id"]: unpack(r, theta[r["chunk_id"]]) for r in found}
 
-    def fit(part: pd.DataFrame) -> pd.DataFrame:
-        x, y, theta = part[[f"x{k}" for k in range(d)]].to_numpy(float), part["y"].to_numpy(float), np.zeros(d)
-        for _ in range(50):
-            _, a, b = model.block(x @ theta, y)
-            info = -(x * b[:, None]).T @ x + 1e-9 * np.eye(d)
-            step = np.clip(np.linalg.solve(info, x.T @ a), -5, 5)
-            theta = np.clip(theta + step, -25, 25)
-            if np.abs(step).max() < 1e-9:
+    try:
+        for _ in range(steps):
+            largest, now = 0.0, sums()
+            for c, at in now.items():
+                step = np.clip(np.linalg.solve(-at.hess + 1e-9 * np.eye(d), at.grad), -5, 5)
+                theta[c] = np.clip(theta[c] + step, -cap, cap)
+                largest = max(largest, float(np.abs(step).max()))
+            if largest < 1e-9:
                 break
-        _, _, b = model.block(x @ theta, y)
-        return pd.DataFrame({"theta": [theta.tolist()], "info": [(-(x * b[:, None]).T @ x).ravel().tolist()]})
-
-    rows = assign_chunks(obs, chunks, key, salt).groupBy("chunk_id").applyInPandas(fit, "theta array<double>, info array<double>").collect()
-    infos = [np.reshape(r["info"], (d, d)) for r in rows]
-    cov = np.linalg.inv(sum(infos))
-    return cov @ sum(i @ np.array(r["theta"]) for i, r in zip(infos, rows, strict=True)), cov
+        infos = {c: -at.hess + 1e-9 * np.eye(d) for c, at in sums().items()}
+    finally:
+        rows.unpersist()
+    cov = np.linalg.inv(sum(infos.values()))
+    return cov @ sum(infos[c] @ theta[c] for c in infos), cov
 
 
-def subsample_mcmc(provider: SampleProvider, start: Sums, iters: int = 2000, burn: int = 500, seed: int = 1, prior: NormalPrior | None = None, batches: int = 50) -> Chain:
-    """Chain on difference estimates of the likelihood from subsamples; approximate by design."""
-    target = lambda theta, t: float(provider.estimate(theta[None, :], t % batches).loglik[0])
+def subsample_mcmc(provider: SampleProvider, start: Sums, iters: int = 2000, burn: int = 500, seed: int = 1, prior: NormalPrior | None = None) -> Chain:
+    """Chain on difference estimates of the likelihood, each proposal with a subsample of its own; approximate by design."""
+    target = lambda theta, t: float(provider.estimate(theta[None, :], t).loglik[0])
     return adaptive_walk(target, start.theta, np.linalg.inv(-start.hess), iters, burn, seed, prior or NormalPrior())
 
 

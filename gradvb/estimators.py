@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gradvb.models import Logit, Model
-from gradvb.sampling import draw_indices, tile_counts, tile_sample, with_replacement
+from gradvb.sampling import draw_indices, slice_sample, tile_counts, tile_sample, with_replacement
 from gradvb.sums import Sums, exact_sums, matrix, width
 
 #: A driver engine holds at most this many numbers of sampled rows; beyond it each iteration is a Spark job.
@@ -34,6 +34,19 @@ def remainders(x, y, w, thetas, anchor: Sums | None, model: Model, surrogate: st
     return (first * w[:, None]).T @ x, (first**2 * w[:, None]).T @ x**2, (value * w[:, None]).sum(axis=0)
 
 
+def remainder_values(x, y, theta, anchor: Sums | None, model: Model, surrogate: str) -> np.ndarray:
+    """Each row's log likelihood at one theta, less the surrogate."""
+    value = model.block(x @ theta, y)[0]
+    if surrogate != "none":
+        centre = x @ anchor.theta
+        v0, a0, b0 = model.block(centre, y)
+        move = x @ theta - centre
+        value = value - v0 - a0 * move
+        if surrogate == "linear":
+            value = value - 0.5 * b0 * move**2
+    return value
+
+
 def paired_remainders(x, y, w, draw, thetas, anchor, model, surrogate):
     """As ``remainders``, each row for its own draw only."""
     s, d = thetas.shape
@@ -179,8 +192,9 @@ class SampleProvider:
     """A fresh sample each iteration, corrected by the anchor's exact sums.
 
     ``store`` has tile and row_idx (or for chunks, chunk_id in the place of tile). ``scheme``:
-    ``replacement`` (m uniform draws), ``chunks`` (a fixed share m_k of each chunk, weight n_k / m_k each), or
-    ``tile`` (whole tiles). ``pairing``: all draws share a sample, or each has its own. ``engine``:
+    ``replacement`` (m uniform draws), ``chunks`` (a fixed share m_k of each chunk, weight n_k / m_k each),
+    ``tile`` (whole tiles) or ``slice`` (m rows that follow each other in the store's random order; with the last two an iteration reads
+    its sample alone, not the store). ``pairing``: all draws share a sample, or each has its own. ``engine``:
     ``driver`` fetches the bounded samples of several iterations by one job and works them in
     memory; ``spark`` runs a job each iteration and returns sums only; ``auto`` goes by size.
     """
@@ -221,21 +235,30 @@ class SampleProvider:
         """The rows of a block of iterations by one join with the list of their indices."""
         import pandas as pd
 
+        xs = [f"x{k}" for k in range(self.dim)]
+        if self.scheme == "slice":
+            rows, weight = slice_sample(self.store, self.counts, self.m, self.seed, range(first, first + self.block))
+            got = rows.select("iteration", "y", *xs).toPandas()
+            self.held = {k: (g[xs].to_numpy(float), g["y"].to_numpy(float), np.full(len(g), weight)) for k, g in got.groupby("iteration")}
+            return
         parts = []
         for k in range(first, first + self.block):
             tile, row, w = self.indices(k)
             parts.append(pd.DataFrame({"iteration": np.int32(k), "tile": tile.astype(np.int32), "row_idx": row, "w": w}))
         index = pd.concat(parts).groupby(["iteration", "tile", "row_idx"], as_index=False)["w"].sum()
         frame = self.store.sparkSession.createDataFrame(index).withColumn("tile", F.col("tile").cast("int"))
-        xs = [f"x{k}" for k in range(self.dim)]
         got = self.store.select("tile", "row_idx", "y", *xs).join(F.broadcast(frame), ["tile", "row_idx"]).select("iteration", "w", "y", *xs).toPandas()
         self.held = {k: (g[xs].to_numpy(float), g["y"].to_numpy(float), g["w"].to_numpy(float)) for k, g in got.groupby("iteration")}
 
+    def rows(self, iteration: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The iteration's sample (x, y, w) in memory; the driver engine's."""
+        if iteration not in self.held:
+            self.fetch(iteration)
+        return self.held[iteration]
+
     def estimate(self, thetas: np.ndarray, iteration: int) -> Estimate:
         if self.engine == "driver":
-            if iteration not in self.held:
-                self.fetch(iteration)
-            x, y, w = self.held[iteration]
+            x, y, w = self.rows(iteration)
             grad, square, ll = remainders(x, y, w, thetas, self.anchor, self.model, self.surrogate)
             rows = len(y)
             grad_rest, square = grad, square
@@ -251,6 +274,8 @@ class SampleProvider:
         return Estimate(grad, ll, float(np.maximum(variance, 0).mean()), rows)
 
     def sample(self, iteration: int, draws: int) -> tuple[DataFrame, float | None]:
+        if self.scheme == "slice":
+            return slice_sample(self.store, self.counts, self.m, self.seed, range(iteration, iteration + 1))
         if self.scheme == "tile":
             tiles = len(self.counts)
             return tile_sample(self.store, tiles, max(1, round(self.m / self.n * tiles)), self.seed, iteration)

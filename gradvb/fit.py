@@ -12,7 +12,7 @@ from gradvb.draws import DrawSource
 from gradvb.estimators import ExactProvider, SampleProvider, anchor_sums
 from gradvb.families import Gaussian, NormalPrior, init_state
 from gradvb.models import Logit, Model
-from gradvb.sampling import build_store, tile_counts
+from gradvb.sampling import lay_out, tile_counts
 from gradvb.sums import Sums, fit_anchor
 
 
@@ -27,7 +27,7 @@ class StepSize:
 
     def __call__(self, t: int) -> float:
         if self.kind == "harmonic":
-            return 1 / (t + 1)
+            return 1 / (t + self.t0)
         if self.kind == "power":
             if not 0.5 < self.power <= 1:
                 raise ValueError("the power must lie in (1/2, 1]")
@@ -39,6 +39,12 @@ class StepSize:
 
 @dataclass(frozen=True)
 class FitConfig:
+    """Settings of a fit. As they are, it begins at the subset's estimate and takes the steps as ``step`` gives them.
+
+    ``start="warm"`` first settles the state on the anchor's expansion, ``bound_steps`` cuts natural steps by how much steeper
+    the target is than the family; both are additions, and ``settled()`` turns both on. ``tiles=0`` leaves the layout to the planner.
+    """
+
     draws: str = "rqmc"
     s: int = 256
     m: float = 0.01
@@ -46,7 +52,7 @@ class FitConfig:
     window: int = 5
     max_iter: int = 100
     stop: str = "bound"
-    step: StepSize = field(default_factory=StepSize)
+    step: StepSize = field(default_factory=lambda: StepSize(t0=5.0))
     surrogate: str = "linear"
     pairing: str = "shared"
     scheme: str = "replacement"
@@ -56,13 +62,18 @@ class FitConfig:
     family: str = "factor"
     factors: int = 1
     scrambling: str = "nested"
-    start: str = "warm"
+    start: str = "subset"
+    bound_steps: bool = False
     anchor_fraction: float = 0.3
-    tiles: int = 16
+    tiles: int = 0
     engine: str = "auto"
     seed: int = 1
     seconds: float = float("inf")
 
+    def settled(self) -> FitConfig:
+        """The same fit from the settled start, with bounded steps that begin at one."""
+        return replace(self, start="warm", bound_steps=True, step=StepSize())
+
 
 def window_change(values: list, window: int):
     """Change of the mean of the last ``window`` values against that one step before; None while too few."""
@@ -141,7 +152,7 @@ def ascend(provider, state: Gaussian, prior: NormalPrior | None = None, cfg: Fit
     """Run the loop on any provider of gradient estimates until it settles, diverges or runs out of time.
 
     ``curvature`` (the Hessian's sum near the target; by default that of the provider's anchor)
-    bounds natural steps, which would otherwise diverge where the family is wider than the target.
+    bounds natural steps where ``cfg.bound_steps`` asks for it. A step that leaves the family is halved until it does not.
     """
     prior, cfg = prior or NormalPrior(), cfg or FitConfig()
     if curvature is None and getattr(provider, "anchor", None) is not None:
@@ -160,7 +171,7 @@ def ascend(provider, state: Gaussian, prior: NormalPrior | None = None, cfg: Fit
             status = "diverged"
             break
         size, moved = cfg.step(t), None
-        if curvature is not None and cfg.geometry == "natural":
+        if cfg.bound_steps and curvature is not None and cfg.geometry == "natural":
             size = min(size, 1 / steepness(state, np.eye(state.dim) / prior.var - curvature))
         for _ in range(40):
             try:
@@ -213,7 +224,7 @@ class Prepared:
 def prepare(obs: DataFrame, model: Model | None = None, cfg: FitConfig | None = None, key: str = "obs_key", chunk_col: str | None = None) -> Prepared:
     """Lay the table out once, fit the subset, and make the one full pass at the anchor."""
     cfg, model = cfg or FitConfig(), model or Logit()
-    store = build_store(obs, cfg.tiles, key).cache()
+    store = lay_out(obs, cfg.tiles, key)
     counts = tile_counts(store)
     subset = fit_anchor(store, model, cfg.anchor_fraction, key)
     return Prepared(store, counts, subset, anchor_sums(store, subset.theta, model), model)

@@ -7,6 +7,7 @@ Hessian another scalar times x x'. ``column`` and ``block`` give (log likelihood
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
@@ -87,3 +88,22 @@ class Probit(Model):
         p = norm_cdf_np(s * z)
         a = s * np.exp(-0.5 * z * z) / math.sqrt(2 * math.pi) / p
         return np.log(p), a, -a * (a + z)
+
+
+@dataclass(frozen=True)
+class NumericModel(Model):
+    """A model known by its log likelihood alone, as a column expression and as a numpy function of (z, y); derivatives by central differences."""
+
+    log_column: Callable[[Column, Column], Column]
+    log_block: Callable[[np.ndarray, np.ndarray], np.ndarray]
+    step: float = 1e-3
+
+    def column(self, z, y):
+        h, here = self.step, self.log_column(z, y)
+        up, down = self.log_column(z + h, y), self.log_column(z - h, y)
+        return here, (up - down) / (2 * h), (up - 2 * here + down) / h**2
+
+    def block(self, z, y):
+        h, here = self.step, self.log_block(z, y)
+        up, down = self.log_block(z + h, y), self.log_block(z - h, y)
+        return here, (up - down) / (2 * h), (up - 2 * here + down) / h**2

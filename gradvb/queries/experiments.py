@@ -1,8 +1,9 @@
 """The experiments: fits, chains and ablations on the workloads; each returns a table of results.
 
-Iterative and random methods have no SQL form; tests hold them against exact fits and known
-truth. ``experiment`` functions take their sizes as arguments, so the published settings and
-smaller ones run alike; the registered queries use the published settings scaled to the table.
+Iterative and random methods have no SQL form; tests hold them against exact fits, quadrature and known
+truth. The functions take their sizes as arguments, so the published settings and smaller ones run alike. Registered queries run
+whole tables with the published draws, shares, chain lengths and tolerances; fewer than published are the repeats for standard errors
+(10, published 100) and the iterates of the two chains on estimates (README has the numbers).
 """
 
 from __future__ import annotations
@@ -19,8 +20,8 @@ from gradvb.designs import (
 from gradvb.draws import DrawSource, star_discrepancy_l2
 from gradvb.estimators import ExactProvider, SampleProvider, sufficient_cells
 from gradvb.families import NormalPrior
-from gradvb.fit import FitConfig, StepSize, ascend, compare_models, fit_exact_vb, prepare
-from gradvb.panel import Integrator, PanelProvider, fit_ngvb_panels, fit_panel_anchor, panel_sums
+from gradvb.fit import FitConfig, StepSize, ascend, choose_factors, compare_models, first_state, fit_exact_vb, prepare, replicate
+from gradvb.panel import Integrator, PanelProvider, fit_ngvb_panels, fit_panel_anchor, panel_sums, rank_panels
 from gradvb.sampling import assign_chunks, tile_counts
 from gradvb.sums import exact_sums, fit_mle
 
@@ -39,47 +40,54 @@ def chain_rows(arm: str, chain, truth=None) -> list[tuple]:
     return [(arm, f"b{k}", float(d[:, k].mean()), float(d[:, k].std(ddof=1)), None, None if truth is None else float(truth[k]), len(d), chain.seconds / 60, "chain") for k in range(d.shape[1])]
 
 
-def moderate_flights(spark, sf_dir, shares=(0.01, 0.02), chain_iters=30_000, burn=10_000, tolerance=1e-7, response="late_planted", obs=None):
-    """Chain against noisy-gradient fits with plain and quasi-random draws, at two subsample sizes."""
+def moderate_flights(spark, sf_dir, shares=(0.01, 0.02), chain_iters=30_000, burn=10_000, tolerance=1e-7, response="late_planted", obs=None, settled=True):
+    """Chain against noisy-gradient fits with plain and quasi-random draws, at two subsample sizes; with ``settled`` also from the settled start."""
     obs = (obs if obs is not None else flights(spark, sf_dir, response)).cache()
     truth = FLIGHT_BETA if "planted" in response else None
     ready = prepare(obs)
     rows = []
     for kind in ("mc", "rqmc"):
         for m in shares:
-            cfg = FitConfig(draws=kind, m=m, tolerance=tolerance)
-            rows += summary_rows(f"{kind}_{m:g}", ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), truth)
+            plain = FitConfig(draws=kind, m=m, tolerance=tolerance)
+            for name, cfg in (("", plain), ("_settled", plain.settled()))[: 1 + settled]:
+                rows += summary_rows(f"{kind}_{m:g}{name}", ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), truth)
     if chain_iters:
         rows += chain_rows("chain", baselines.rw_mcmc(obs, iters=chain_iters, burn=burn), truth)
+    ready.store.unpersist()
     obs.unpersist()
     return spark.createDataFrame(rows, SUMMARY)
 
 
-def full_flights(spark, sf_dir, chunks=(8, 32, 128), share=0.05, tolerance=1e-7):
+def full_flights(spark, sf_dir, chunks=(8, 32, 128), share=0.05, tolerance=1e-7, anchor_fraction=0.3, combined=True):
     """Chunked fits at several numbers of chunks, with divide-and-combine beside them: the first must not move with the chunks."""
     obs = flights(spark, sf_dir, beta=FULL_FLIGHT_BETA).cache()
     rows = []
     for k in chunks:
-        cfg = FitConfig(m=share, tolerance=tolerance, scheme="chunks", tiles=k, anchor_fraction=0.045 if obs.count() > 200_000 else 0.3)
+        cfg = FitConfig(m=share, tolerance=tolerance, scheme="chunks", tiles=k, anchor_fraction=anchor_fraction)
         ready = prepare(obs, cfg=cfg)
         fit = ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta)
         rows += summary_rows(f"chunks_{k}", fit, FULL_FLIGHT_BETA)
-        theta, cov = baselines.divide_and_combine(obs, k)
-        rows += [(f"combined_{k}", f"b{j}", float(theta[j]), float(np.sqrt(cov[j, j])), None, FULL_FLIGHT_BETA[j], 1, None, "combined") for j in range(len(theta))]
+        if combined:
+            theta, cov = baselines.divide_and_combine(obs, k)
+            rows += [(f"combined_{k}", f"b{j}", float(theta[j]), float(np.sqrt(cov[j, j])), None, FULL_FLIGHT_BETA[j], 1, None, "combined") for j in range(len(theta))]
         ready.store.unpersist()
     obs.unpersist()
     return spark.createDataFrame(rows, SUMMARY)
 
 
-def panel_fits(spark, sf_dir, sizes=(50, 100, 200), count=256, tolerance=1e-5, panels=None, arms=("mc", "rqmc"), truth=PANEL_TRUTH):
-    """Panel fits by subsample size and kind of draws; the panel's integral is drawn the same way."""
+def panel_fits(spark, sf_dir, sizes=(50, 100, 200), count=256, tolerance=1e-5, panels=None, arms=("mc", "rqmc"), truth=PANEL_TRUTH, settled=False):
+    """Panel fits by subsample size and kind of draws; the panel's integral is drawn the same way.
+
+    Steps are bounded: with plain ones, the first would overshoot where the one-factor start is wider than the target. With ``settled`` also from the settled start.
+    """
     nested = (panels if panels is not None else nest_panels(w3_panels(spark, sf_dir).drop("panel_rank"))).cache()
     n = nested.count()
     rows = []
     for kind in arms:
         for m in sizes:
-            cfg = FitConfig(draws=kind, tolerance=tolerance)
-            rows += summary_rows(f"{kind}_{m}", fit_ngvb_panels(nested, Integrator("prior", count, kind), min(m, n), None, cfg), truth)
+            cfg = FitConfig(draws=kind, tolerance=tolerance, bound_steps=True)
+            for name, own in (("", cfg), ("_settled", cfg.settled()))[: 1 + settled]:
+                rows += summary_rows(f"{kind}_{m}{name}", fit_ngvb_panels(nested, Integrator("prior", count, kind), min(m, n), None, own), truth)
     nested.unpersist()
     return spark.createDataFrame(rows, SUMMARY)
 
@@ -98,45 +106,48 @@ def pseudo_marginal(spark, sf_dir, panels: int | None = None, iters=200, burn=10
     return spark.createDataFrame(rows, SUMMARY)
 
 
-def likelihood_estimate_vb(spark, sf_dir, m=100, iters=60):
-    """The predecessor, by score-function gradients of likelihood estimates, beside the noisy-gradient fit from the same start."""
+def likelihood_estimate_vb(spark, sf_dir, m=0.02, iters=40, s=64):
+    """The predecessor beside the noisy-gradient fit: fitted together with the noise of its likelihood estimates, and, for comparison, with estimates that share their sample."""
     obs = flights(spark, sf_dir).cache()
     ready = prepare(obs)
-    cfg = FitConfig(m=0.02, max_iter=iters, tolerance=1e-6)
-    fits = {"reparam": ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), "levb": baselines.fit_levb(ready.provider(cfg), ready.start(cfg), None, cfg)}
+    cfg = FitConfig(m=m, max_iter=iters, tolerance=1e-6, s=s).settled()
+    provider = SampleProvider(ready.store, ready.anchor, m, seed=cfg.seed + 1, block=s, counts=ready.counts, engine="driver")
+    fits = {
+        "reparam": ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta),
+        "augmented": baselines.fit_levb(baselines.AugmentedRows(provider), ready.start(cfg), None, cfg),
+        "shared_sample": baselines.fit_levb(ready.provider(cfg), ready.start(cfg), None, cfg),
+    }
     rows = [r for arm, fit in fits.items() for r in summary_rows(arm, fit, FLIGHT_BETA)]
+    ready.store.unpersist()
     obs.unpersist()
     return spark.createDataFrame(rows, SUMMARY)
 
 
-def levb_panels(spark, sf_dir, m=100, iters=40):
-    """The predecessor on panels, whose likelihood is estimated by importance sampling."""
-    from pyspark.sql import Window as W
-
-    from gradvb.fit import first_state
-
-    nested = nest_panels(w3_panels(spark, sf_dir).drop("panel_rank")).withColumn("panel_rank", F.row_number().over(W.orderBy("panel_id"))).cache()
-    how = Integrator("prior", 128, "rqmc")
+def levb_panels(spark, sf_dir, count=64, iters=15, s=128):
+    """The predecessor on panels: likelihoods of all panels estimated by importance sampling, each draw with noise of its own. Its gradients are noisy, so its steps are small."""
+    nested = nest_panels(w3_panels(spark, sf_dir).drop("panel_rank")).repartition(spark.sparkContext.defaultParallelism, "panel_id").cache()
+    how = Integrator("quadrature", 20)
     subset = fit_panel_anchor(nested, how)
     sums = panel_sums(nested, subset.theta, how)
-    cfg = FitConfig(max_iter=iters, tolerance=1e-5, s=128)
-    fit = baselines.fit_levb(PanelProvider(nested, sums, how, m), first_state(subset, sums, NormalPrior(), cfg), None, cfg)
+    cfg = replace(FitConfig(max_iter=iters, tolerance=1e-5, s=s).settled(), step=StepSize(t0=20.0))
+    provider = baselines.AugmentedPanels(nested, sums.n, len(subset.theta), count, cfg.seed, "rqmc")
+    fit = baselines.fit_levb(provider, first_state(subset, sums, NormalPrior(), cfg), None, cfg, sums.hess)
     nested.unpersist()
-    return spark.createDataFrame(summary_rows("levb_panels", fit, PANEL_TRUTH), SUMMARY)
+    return spark.createDataFrame(summary_rows("augmented_panels", fit, PANEL_TRUTH), SUMMARY)
 
 
 def exact_and_plain(spark, sf_dir, m=0.02):
     """Exact-gradient VB, the Laplace normal, plain subsampling (which may diverge) and the corrected fit, from one start."""
     obs = flights(spark, sf_dir).cache()
-    cfg = FitConfig(m=m, tolerance=1e-7)
+    cfg = FitConfig(m=m, tolerance=1e-7).settled()
     ready = prepare(obs, cfg=cfg)
     start = ready.start(cfg)
     rows = summary_rows("corrected", ascend(ready.provider(cfg), start, None, cfg, ready.anchor.theta), FLIGHT_BETA)
     cells = sufficient_cells(obs)
     rows += summary_rows("exact_cells", ascend(cells, start, None, cfg, curvature=ready.anchor.hess), FLIGHT_BETA)
-    rows += summary_rows("exact_rows", ascend(ExactProvider(obs), start, None, replace(cfg, max_iter=8, s=64), curvature=ready.anchor.hess), FLIGHT_BETA)
-    paper = ready.start(replace(cfg, start="subset"))
-    rows += summary_rows("plain", baselines.plain_subsampling(ready.store, ready.counts, paper, m, replace(cfg, max_iter=30)), FLIGHT_BETA)
+    rows += summary_rows("exact_rows", ascend(ExactProvider(obs), start, None, cfg, curvature=ready.anchor.hess), FLIGHT_BETA)
+    published = FitConfig(m=m, tolerance=1e-7)
+    rows += summary_rows("plain", baselines.plain_subsampling(ready.store, ready.counts, ready.start(published), m, published), FLIGHT_BETA)
     best, sd = baselines.laplace(obs)
     rows += [("laplace", f"b{k}", float(best.theta[k]), float(sd[k]), None, FLIGHT_BETA[k], 1, None, "newton") for k in range(4)]
     obs.unpersist()
@@ -147,7 +158,7 @@ def subsample_chain(spark, sf_dir, m=0.02, iters=2000, burn=500):
     """Chain on difference estimates of the likelihood."""
     obs = flights(spark, sf_dir).cache()
     ready = prepare(obs)
-    provider = SampleProvider(ready.store, ready.anchor, m, block=50, counts=ready.counts)
+    provider = SampleProvider(ready.store, ready.anchor, m, block=250, counts=ready.counts)
     chain = baselines.subsample_mcmc(provider, ready.anchor, iters, burn)
     obs.unpersist()
     return spark.createDataFrame(chain_rows("subsample_chain", chain, FLIGHT_BETA), SUMMARY)
@@ -167,10 +178,8 @@ def ablations(spark, sf_dir):
     for name, change in arms.items():
         cfg = replace(base, **change)
         rows += summary_rows(name, ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), FLIGHT_BETA)
-    cfg = replace(base, max_iter=6, s=32, pairing="per_draw")
-    rows += summary_rows("per_draw", ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), FLIGHT_BETA)
-    cfg = replace(base, max_iter=6, s=32, scheme="tile", m=0.25)
-    rows += summary_rows("tiles", ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), FLIGHT_BETA)
+    for name, cfg in (("slices", replace(base, scheme="slice")), ("per_draw", replace(base, s=64, pairing="per_draw", max_iter=20)), ("tiles", replace(base, scheme="tile", m=0.25, max_iter=20))):
+        rows += summary_rows(name, ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), FLIGHT_BETA)
     obs.unpersist()
     return spark.createDataFrame(rows, SUMMARY)
 
@@ -187,10 +196,9 @@ def replications(spark, sf_dir, reps=10, shares=(0.01, 0.02), starts=("warm", "s
     for start in starts:
         for kind in ("mc", "rqmc"):
             for m in shares:
-                runs = []
-                for seed in range(1, reps + 1):
-                    cfg = FitConfig(draws=kind, m=m, seed=seed, tolerance=1e-6, start=start)
-                    runs.append(ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta))
+                cfg = FitConfig(draws=kind, m=m, tolerance=1e-6)
+                cfg = cfg.settled() if start == "warm" else cfg
+                runs = replicate(lambda seed, cfg=cfg: ascend(ready.provider(cfg, seed), ready.start(cfg), None, replace(cfg, seed=seed), ready.anchor.theta), list(range(1, reps + 1)))
                 fits[(f"{kind}_{m:g}_{start}", kind)] = runs
     obs.unpersist()
     return measures.mc_standard_errors(measures.replicates_frame(spark, fits))
@@ -220,7 +228,7 @@ def model_choice(spark, sf_dir):
     for name, drop in (("all", None), ("without_rush", 1), ("without_weekend", 2), ("without_distance", 3)):
         keep = [k for k in range(4) if k != drop]
         own = obs.select("obs_key", "y", *(F.col(f"x{k}").alias(f"x{i}") for i, k in enumerate(keep)))
-        cfg = FitConfig(m=0.02, tolerance=1e-7)
+        cfg = FitConfig(m=0.02, tolerance=1e-7).settled()
         ready = prepare(own, cfg=cfg)
         fits[name] = ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta)
         ready.store.unpersist()
@@ -232,9 +240,9 @@ def densities(spark, sf_dir):
     """Distances between the fit's marginal densities and the chain's kernel estimates."""
     obs = flights(spark, sf_dir).cache()
     ready = prepare(obs)
-    cfg = FitConfig(m=0.02, tolerance=1e-7)
+    cfg = FitConfig(m=0.02, tolerance=1e-7).settled()
     fit = ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta)
-    chain = baselines.rw_mcmc(obs, iters=5000, burn=2000).frame(spark).cache()
+    chain = baselines.rw_mcmc(obs, iters=30_000, burn=10_000).frame(spark).cache()
     mean, sd = fit.state.marginals()
     out = None
     for k in range(4):
@@ -270,7 +278,7 @@ def wide_design(spark, sf_dir):
 
     prior = NormalPrior(1.0)
     start = warm_start(init_state(best.theta, -best.hess + np.eye(65), 1.0), best, prior, 50)
-    cfg = FitConfig(draws="mc", s=32, max_iter=12, tolerance=1e-4)
+    cfg = FitConfig(draws="mc", s=256, tolerance=1e-4).settled()
     fit = fit_exact_vb(obs, start, prior=prior, cfg=cfg)
     obs.unpersist()
     return spark.createDataFrame(summary_rows("embeddings", fit), SUMMARY)
@@ -285,7 +293,7 @@ def text_quality(spark, sf_dir):
         from gradvb.designs import design
 
         obs = design(base.withColumn("obs_key", F.col("doc_id").cast("string")), F.col(label), xs, keep=("obs_key",)).cache()
-        cfg = FitConfig(m=0.3, tolerance=1e-5, anchor_fraction=1.0, tiles=4)
+        cfg = FitConfig(m=0.3, tolerance=1e-5, anchor_fraction=1.0, tiles=4).settled()
         ready = prepare(obs, cfg=cfg)
         rows += summary_rows(label, ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta))
         obs.unpersist()
@@ -328,12 +336,118 @@ def chunk_constancy(spark, sf_dir):
     return spark.createDataFrame(rows, "chunks int, filled int, n long, loglik_mean double")
 
 
+def real_costs(spark, sf_dir, reps=3, m=0.02, iters=30_000, burn=10_000):
+    """Speed-ups over the chain and stability to two digits, from repeated fits and one chain run here."""
+    obs = flights(spark, sf_dir).cache()
+    ready = prepare(obs)
+    chain = baselines.rw_mcmc(obs, iters=iters, burn=burn)
+    fits = {}
+    for kind in ("mc", "rqmc"):
+        for name, cfg in ((kind, FitConfig(draws=kind, m=m, tolerance=1e-7)), (f"{kind}_settled", FitConfig(draws=kind, m=m, tolerance=1e-7).settled())):
+            fits[(name, kind)] = replicate(lambda seed, cfg=cfg: ascend(ready.provider(cfg, seed), ready.start(cfg), None, replace(cfg, seed=seed), ready.anchor.theta), list(range(1, reps + 1)))
+    reps_frame = measures.replicates_frame(spark, fits)
+    own = [("chain", "mc", 0, f"b{k}", float(chain.draws[:, k].mean()), float(chain.draws[:, k].std(ddof=1)), iters + burn, chain.seconds / 60) for k in range(4)]
+    reps_frame = reps_frame.union(spark.createDataFrame(own, reps_frame.schema)).cache()
+    cost = measures.speedups(reps_frame, "chain")
+    spread = measures.stability(reps_frame).groupBy("method").agg(F.max("spread").alias("spread_two_digits"))
+    errors = measures.mc_standard_errors(reps_frame).groupBy("method").agg(F.max("mean_se").alias("largest_mean_se"), F.max("sd_se").alias("largest_sd_se"))
+    ready.store.unpersist()
+    obs.unpersist()
+    return cost.join(spread, "method").join(errors, "method")
+
+
+def panel_errors(spark, sf_dir, reps=4, m=100, count=64):
+    """Monte Carlo standard errors of panel fits over independent repeats, integrals by plain or quasi-random draws."""
+    nested = nest_panels(w3_panels(spark, sf_dir).drop("panel_rank"))
+    ranked = rank_panels(nested).cache()
+    how = Integrator("quadrature", 20)
+    subset = fit_panel_anchor(ranked, how)
+    prior, fits = NormalPrior(), {}
+    for kind in ("mc", "rqmc"):
+        cfg, own = FitConfig(draws=kind, tolerance=1e-5, s=64, bound_steps=True), Integrator("prior", count, kind)
+        sums = panel_sums(ranked, subset.theta, own)
+        run = lambda seed, cfg=cfg, own=own, sums=sums: ascend(PanelProvider(ranked, sums, own, m, seed), first_state(subset, sums, prior, cfg), prior, replace(cfg, seed=seed), subset.theta)
+        fits[(kind, kind)] = replicate(run, list(range(1, reps + 1)))
+    out = measures.mc_standard_errors(measures.replicates_frame(spark, fits))
+    ranked.unpersist()
+    return out
+
+
+def factors_by_bound(spark, sf_dir, factors=(0, 1, 2)):
+    """Numbers of factors ranked by the bounds of their fits."""
+    obs = flights(spark, sf_dir).cache()
+    cfg = FitConfig(m=0.02, tolerance=1e-7).settled()
+    ready = prepare(obs, cfg=cfg)
+    fits = {f"factors_{k}": f for k, f in choose_factors(ready, [k for k in factors if k], cfg).items()}
+    if 0 in factors:
+        own = replace(cfg, family="diagonal")
+        fits["factors_0"] = ascend(ready.provider(own), ready.start(own), None, own, ready.anchor.theta)
+    out = compare_models(spark, fits)
+    ready.store.unpersist()
+    obs.unpersist()
+    return out
+
+
+def gradient_noise(spark, sf_dir, shares=(0.0025, 0.005, 0.01, 0.02), reps=8):
+    """Variance of fitted means over repeats against that of the gradient they came from: the first goes up in proportion to the second."""
+    obs = flights(spark, sf_dir).cache()
+    cfg = FitConfig(draws="rqmc", tolerance=1e-12, max_iter=15)
+    ready = prepare(obs, cfg=cfg)
+    rows = []
+    for m in shares:
+        own = replace(cfg, m=m, surrogate="constant")
+        fits = replicate(lambda seed, own=own: ascend(ready.provider(own, seed), ready.start(own), None, own, ready.anchor.theta), list(range(1, reps + 1)))
+        rows.append((m, float(np.mean([t["grad_var"] for f in fits for t in f.trace])), float(np.var([f.state.mu for f in fits], axis=0, ddof=1).mean())))
+    ready.store.unpersist()
+    obs.unpersist()
+    return spark.createDataFrame(rows, "m double, gradient_variance double, fit_variance double")
+
+
+def iteration_costs(spark, sf_dir, m=0.01):
+    """What an iteration costs by scheme: stages, rows and bytes read, bytes shuffled, seconds, in fits of the same start."""
+    obs = flights(spark, sf_dir).cache()
+    ready = prepare(obs)
+    thetas = ready.anchor.theta + 0.01 * np.random.default_rng(3).normal(size=(256, 4))
+    rows = []
+    for scheme, engine, share in (("replacement", "driver", m), ("replacement", "spark", m), ("slice", "driver", m), ("slice", "spark", m), ("tile", "spark", 0.25), ("chunks", "spark", m)):
+        provider = SampleProvider(ready.store, ready.anchor, share, scheme=scheme, engine=engine, counts=ready.counts, block=10)
+        _, cost = measures.job_cost(spark, lambda: [provider.estimate(thetas, t) for t in range(10)])  # noqa: B023
+        rows.append((scheme, engine, share, *(cost[c] / 10 for c in ("stages", "rows_read", "bytes_read", "shuffle_bytes", "seconds"))))
+    for kind in ("mc", "rqmc"):
+        import time
+
+        began = time.time()
+        for t in range(10):
+            DrawSource(kind, 1).normals(256, 5, t)
+        rows.append((f"draws_{kind}", "driver", 0.0, 0.0, 0.0, 0.0, 0.0, (time.time() - began) / 10))
+    ready.store.unpersist()
+    obs.unpersist()
+    return spark.createDataFrame(rows, "scheme string, engine string, share double, stages double, rows_read double, bytes_read double, shuffle_bytes double, seconds double")
+
+
+def numeric_gradients(spark, sf_dir):
+    """The fit of a model that is known by its log likelihood alone, beside the same model with its derivatives."""
+    from gradvb.functions.scalars import softplus, softplus_np
+    from gradvb.models import Logit, NumericModel
+
+    obs = flights(spark, sf_dir).cache()
+    rows = []
+    for name, model in (("derivatives", Logit()), ("differences", NumericModel(lambda z, y: y * z - softplus(z), lambda z, y: y * z - softplus_np(z)))):
+        cfg = FitConfig(m=0.02, tolerance=1e-6).settled()
+        ready = prepare(obs, model, cfg)
+        rows += summary_rows(name, ascend(ready.provider(cfg), ready.start(cfg), None, cfg, ready.anchor.theta), FLIGHT_BETA)
+        ready.store.unpersist()
+    obs.unpersist()
+    return spark.createDataFrame(rows, SUMMARY)
+
+
 QUERIES = {
-    "fit_moderate_flights": lambda s, d: moderate_flights(s, d, chain_iters=5000, burn=2000),
+    "fit_moderate_flights": moderate_flights,
     "fit_moderate_flights_raw": lambda s, d: moderate_flights(s, d, (0.02,), 0, 0, 1e-6, "late_raw"),
     "fit_event_flights": lambda s, d: moderate_flights(s, d, (0.05,), 2000, 1000, 1e-6, obs=event_flights(s, d)),
-    "fit_full_flights_chunked": lambda s, d: full_flights(s, d, (8, 32)),
-    "fit_panels": lambda s, d: panel_fits(s, d, (100,)),
+    "fit_full_flights_chunked": full_flights,
+    "fit_panels": panel_fits,
+    "fit_panels_large": lambda s, d: panel_fits(s, d, (500,), 256, 1e-6, settled=True),
     "fit_panels_events": natural_panels(events_panels, 50),
     "fit_panels_suppliers": natural_panels(supplier_panels, 20),
     "fit_panels_conversations": natural_panels(conversation_panels, 40),
@@ -343,7 +457,13 @@ QUERIES = {
     "exact_and_plain_vb": exact_and_plain,
     "subsample_chain": subsample_chain,
     "ablations": ablations,
-    "replication_errors": lambda s, d: replications(s, d, 5),
+    "replication_errors": replications,
+    "replication_errors_panels": panel_errors,
+    "speedup_and_stability": real_costs,
+    "factors_by_bound": factors_by_bound,
+    "gradient_noise": gradient_noise,
+    "iteration_costs": iteration_costs,
+    "numeric_gradients": numeric_gradients,
     "gradient_variance": gradient_variance,
     "model_choice": model_choice,
     "density_distances": densities,

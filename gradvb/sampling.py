@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from gradvb.functions.scalars import hash_uniform
+from gradvb.session import ensure_checkpoint_dir
 
 #: Index lists of at most this many rows are broadcast; longer ones are joined by a shuffle.
 BROADCAST_INDEX = 2_000_000
@@ -20,6 +23,25 @@ def build_store(obs: DataFrame, tiles: int = 16, key: str = "obs_key", salt: str
     return rows.withColumn("row_idx", (F.row_number().over(W.partitionBy("tile").orderBy(F.md5(F.col(key).cast("binary")), key)) - 1).cast("bigint"))
 
 
+#: Rows of a tile, and rows up to which a store is cached; a larger one is written, with a folder for each tile and its rows in order.
+TILE_ROWS, CACHED_ROWS, LEAST_TILES = 2_000_000, 20_000_000, 16
+
+
+def lay_out(obs: DataFrame, tiles: int = 0, key: str = "obs_key", cached_rows: int = CACHED_ROWS) -> DataFrame:
+    """The store that fits sample from; with no number of ``tiles``, tiles of about ``TILE_ROWS`` rows.
+
+    A written store lies in the shared checkpoint folder. Its rows are sorted within tiles, so a range of
+    ``row_idx`` reads the row groups that hold it, and a list of tiles reads their folders.
+    """
+    n = obs.count()
+    store = build_store(obs, tiles or max(LEAST_TILES, -(-n // TILE_ROWS)), key)
+    if n <= cached_rows:
+        return store.cache()
+    folder = f"{ensure_checkpoint_dir(obs.sparkSession)}/store-{uuid.uuid4().hex}"
+    store.sortWithinPartitions("tile", "row_idx").write.partitionBy("tile").option("parquet.block.size", 8 << 20).parquet(folder)
+    return obs.sparkSession.read.parquet(folder)
+
+
 def tile_counts(store: DataFrame) -> dict[int, int]:
     return {r["tile"]: r["count"] for r in store.groupBy("tile").count().collect()}
 
@@ -38,11 +60,40 @@ def draw_indices(counts: dict[int, int], m: int, *key: int) -> tuple[np.ndarray,
     return np.repeat(tiles, share), (rng.random(m) * np.repeat(sizes, share)).astype(np.int64)
 
 
+def spread_indices(store: DataFrame, counts: dict[int, int], m: int, seed: int, iteration: int = 0, draws: int | None = None) -> DataFrame:
+    """(draw_id, tile, row_idx, w): the same kind of sample, of which the driver draws the numbers by tile and executors the rows.
+
+    A tile's k-th row comes from a hash of (seed, iteration, draw, tile, k), so a lost task draws the same rows again. Numbers of more
+    than ``TILE_ROWS`` rows a tile are drawn in parts.
+    """
+    import pandas as pd
+
+    tiles = np.array(sorted(counts), np.int64)
+    sizes = np.array([counts[t] for t in tiles], np.int64)
+    parts = []
+    for s in range(draws or 1):
+        rng = np.random.Generator(np.random.Philox(key=int(np.random.SeedSequence([seed, iteration, s]).generate_state(1, np.uint64)[0])))
+        parts.append(pd.DataFrame({"draw_id": np.int32(s), "tile": tiles.astype(np.int32), "size": sizes, "m": rng.multinomial(m, sizes / sizes.sum())}))
+    shares = store.sparkSession.createDataFrame(pd.concat(parts)).where("m > 0")
+    part = F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("m") - 1) / TILE_ROWS)))
+    shares = shares.withColumn("part", part).repartition("tile", "draw_id", "part")
+    first = F.col("part") * TILE_ROWS
+    shares = shares.withColumn("k", F.explode(F.sequence(first, F.least(first + TILE_ROWS, F.col("m")) - 1)))
+    row = F.pmod(F.xxhash64(F.lit(seed), F.lit(iteration), "draw_id", "tile", "k"), F.col("size")).alias("row_idx")
+    return shares.select("draw_id", "tile", row).groupBy("draw_id", "tile", "row_idx").agg(F.count("*").cast("double").alias("w"))
+
+
 def with_replacement(store: DataFrame, counts: dict[int, int], m: int, seed: int, iteration: int = 0, draws: int | None = None) -> tuple[DataFrame, float]:
-    """The simple random sample: rows with multiplicity ``w``, or with ``draws`` one sample for each draw_id."""
+    """The simple random sample: rows with multiplicity ``w``, or with ``draws`` one sample for each draw_id.
+
+    Lists of up to ``BROADCAST_INDEX`` rows are drawn here and broadcast; longer ones are drawn by executors and joined by a shuffle.
+    """
     import pandas as pd
 
     spark = store.sparkSession
+    if m * (draws or 1) > BROADCAST_INDEX:
+        index = spread_indices(store, counts, m, seed, iteration, draws)
+        return store.join(index if draws else index.drop("draw_id"), ["tile", "row_idx"]), sum(counts.values()) / m
     lists = []
     for s in range(draws or 1):
         tile, row = draw_indices(counts, m, seed, iteration, s)
@@ -53,8 +104,38 @@ def with_replacement(store: DataFrame, counts: dict[int, int], m: int, seed: int
     index["w"] = index["w"].astype(float)
     frame = spark.createDataFrame(index)
     frame = frame.withColumn("tile", F.col("tile").cast("int"))
-    joined = store.join(F.broadcast(frame) if len(index) <= BROADCAST_INDEX else frame, ["tile", "row_idx"])
-    return joined, sum(counts.values()) / m
+    return store.join(F.broadcast(frame), ["tile", "row_idx"]), sum(counts.values()) / m
+
+
+def slice_ranges(counts: dict[int, int], m: int, *key: int) -> list[tuple[int, int, int]]:
+    """(tile, first row, end): ``m`` rows that follow each other in the store's random order, from a row drawn uniformly; the end joins the beginning."""
+    tiles = sorted(counts)
+    ends = np.cumsum([counts[t] for t in tiles])
+    rng = np.random.Generator(np.random.Philox(key=int(np.random.SeedSequence(list(key)).generate_state(1, np.uint64)[0])))
+    at, left, out = int(rng.integers(ends[-1])), m, []
+    while left:
+        k = int(np.searchsorted(ends, at, side="right"))
+        first = at - (int(ends[k]) - counts[tiles[k]])
+        take_rows = min(left, counts[tiles[k]] - first)
+        out.append((tiles[k], first, first + take_rows))
+        left -= take_rows
+        at = (at + take_rows) % int(ends[-1])
+    return out
+
+
+def slice_sample(store: DataFrame, counts: dict[int, int], m: int, seed: int, iterations: range) -> tuple[DataFrame, float]:
+    """The rows of each iteration's slice, with ``iteration``: a literal filter by tile and row, which prunes folders and row groups.
+
+    Rows lie in a hashed order, so a slice is a simple random sample without replacement that reads ``m`` rows and not the table.
+    """
+    which, any_ = [], F.lit(False)
+    for t in iterations:
+        for tile, lo, hi in slice_ranges(counts, m, seed, t):
+            inside = (F.col("tile") == tile) & (F.col("row_idx") >= lo) & (F.col("row_idx") < hi)
+            which.append(F.when(inside, F.lit(t)))
+            any_ = any_ | inside
+    rows = store.where(any_).withColumn("iteration", F.explode(F.array_compact(F.array(*which))))
+    return rows.withColumn("w", F.lit(1.0)), sum(counts.values()) / m
 
 
 def take(obs: DataFrame, scheme: str, rate: float, seed: int, key: str = "obs_key", m: int | None = None) -> tuple[DataFrame, float | None]:

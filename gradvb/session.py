@@ -29,14 +29,17 @@ def local_session(cores: int = 8, shuffle_partitions: int = 8, memory: str = "6g
 def ensure_checkpoint_dir(spark: SparkSession) -> str:
     """The shared folder for cut lineage: the one the cluster names, or a local one where none is named.
 
-    ``spark.checkpoint.dir`` wins; a folder already given to the context comes next. Only a
-    session that names neither (tests, a single machine) gets a temporary folder.
+    ``spark.checkpoint.dir`` wins; a folder already given to the context comes next. A local
+    session that names neither (tests, a single machine) gets a temporary folder; on a cluster that is an error, for
+    executors do not share it.
     """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named
     context = spark.sparkContext
     if not context.getCheckpointDir():
+        if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+            raise ValueError("name a folder that all executors share in spark.checkpoint.dir")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="gradvb-checkpoint-"))
     return context.getCheckpointDir()
 

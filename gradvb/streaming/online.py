@@ -93,7 +93,7 @@ class OnlineFit:
     """One natural step for each mini-batch, with sums kept up at a fixed anchor (a heuristic: early rows weigh in every step)."""
 
     def __init__(self, state: Gaussian, theta: np.ndarray, model: Model | None = None, prior: NormalPrior | None = None, cfg: FitConfig | None = None) -> None:
-        self.state, self.theta, self.model, self.prior, self.cfg = state, np.asarray(theta, float), model or Logit(), prior or NormalPrior(), cfg or FitConfig(s=64, max_iter=1)
+        self.state, self.theta, self.model, self.prior, self.cfg = state, np.asarray(theta, float), model or Logit(), prior or NormalPrior(), cfg or FitConfig(s=64, max_iter=1).settled()
         d = len(self.theta)
         self.sums, self.steps = Sums(self.theta, 0, 0.0, np.zeros(d), np.zeros((d, d))), 0
 

@@ -31,10 +31,10 @@ def width(obs: DataFrame) -> int:
     return sum(1 for c in obs.columns if c[0] == "x" and c[1:].isdigit())
 
 
-def sum_expressions(model: Model, theta, order: int = 2) -> list[Column]:
-    """n, ll, g0.., h0_0.. (upper triangle) as aggregates; partial sums combine on the map side."""
+def sum_expressions(model: Model, theta, order: int = 2, z: Column | None = None) -> list[Column]:
+    """n, ll, g0.., h0_0.. (upper triangle) as aggregates, at theta or for predictors ``z``; partial sums combine on the map side."""
     d = len(theta)
-    ll, first, second = model.column(model.linear(theta), F.col("y"))
+    ll, first, second = model.column(model.linear(theta) if z is None else z, F.col("y"))
     out = [F.count("*").alias("n"), F.sum(ll).alias("ll")]
     if order >= 1:
         out += [F.sum(first * F.col(f"x{j}")).alias(f"g{j}") for j in range(d)]

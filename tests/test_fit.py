@@ -113,10 +113,11 @@ def test_estimates_are_unbiased_and_the_surrogate_cuts_variance(obs, ready):
     assert (spread["linear"] < 0.05 * spread["none"]).all()
 
 
-@pytest.mark.parametrize("scheme", ["replacement", "chunks", "tile"])
+@pytest.mark.parametrize("scheme", ["replacement", "chunks", "tile", "slice"])
 def test_engines_and_schemes_agree_with_exact_vb(obs, ready, scheme):
-    exact = ascend(sufficient_cells(obs), ready.start(FitConfig()), None, FitConfig(tolerance=1e-7), curvature=ready.anchor.hess)
-    cfg = FitConfig(m=0.25 if scheme == "tile" else 0.05, tolerance=1e-5, scheme=scheme, max_iter=8 if scheme == "tile" else 60, s=64)
+    settled = FitConfig(tolerance=1e-7).settled()
+    exact = ascend(sufficient_cells(obs), ready.start(settled), None, settled, curvature=ready.anchor.hess)
+    cfg = FitConfig(m=0.25 if scheme == "tile" else 0.05, tolerance=1e-5, scheme=scheme, max_iter=8 if scheme == "tile" else 60, s=64).settled()
     fit = ascend(ready.provider(cfg), ready.start(cfg), None, cfg)
     mean, sd = exact.state.marginals()
     got_mean, got_sd = fit.state.marginals()
@@ -136,7 +137,7 @@ def test_score_function_and_reparameterised_gradients_have_one_mean(ready):
     from gradvb.fit import bound_gradient
 
     p = SampleProvider(ready.store, ready.anchor, 0.1, counts=ready.counts)
-    state, out = ready.start(FitConfig()), {"reparam": [], "score": []}
+    state, out = ready.start(FitConfig().settled()), {"reparam": [], "score": []}
     for t in range(40):
         eps = DrawSource("mc", t).normals(256, state.noise_dim(), 0)
         thetas = state.sample(eps)
@@ -149,10 +150,11 @@ def test_score_function_and_reparameterised_gradients_have_one_mean(ready):
 
 
 def test_chain_agrees_with_the_fit(obs, ready):
-    cfg = FitConfig(m=0.1, tolerance=1e-6)
+    cfg = FitConfig(m=0.1, tolerance=1e-6).settled()
     mean, sd = ascend(ready.provider(cfg), ready.start(cfg), None, cfg).state.marginals()
-    chain = rw_mcmc(obs, iters=6000, burn=2000)
-    assert (np.abs(chain.draws.mean(axis=0) - mean) < 1.5 * sd).all()
+    chain = rw_mcmc(obs, iters=30_000, burn=10_000)
+    assert (np.abs(chain.draws.mean(axis=0) - mean) < 0.15 * chain.draws.std(axis=0)).all()
+    assert np.allclose(sd[[0, 3]], chain.draws.std(axis=0)[[0, 3]], rtol=0.1)  # one factor understates the other two
     assert 0.1 < chain.accepted.mean() < 0.6
 
 

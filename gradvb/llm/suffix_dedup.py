@@ -34,7 +34,7 @@ from gradvb.session import cut_lineage, ensure_checkpoint_dir
 #: Bytes of anchors' texts that a task holds to settle repeats within itself.
 CHUNK_BYTES = 16_000_000
 #: Surroundings of one group that a task sorts; larger groups are divided.
-GROUP_LIMIT = 2_000
+GROUP_LIMIT = 1_000
 #: Surroundings sorted at a time.
 BATCH = 2_000
 #: Texts that tell which grams are common, in how many surroundings one is, and how many are kept; they deal out work, which never moves the result.
@@ -279,9 +279,9 @@ class Surroundings:
         return largest, least
 
 
-#: A member of a group: the group, the offsets that its windows may have, the row and place, whether it is the only one of its kind, its bytes.
-MEMBERS = "g binary, low int, high int, doc long, key long, place int, once boolean, around binary"
-ARROW = pa.schema([("g", pa.binary()), ("low", pa.int32()), ("high", pa.int32()), ("doc", pa.int64()), ("key", pa.int64()), ("place", pa.int32()), ("once", pa.bool_()), ("around", pa.binary())])
+#: A member of a group: the group, the offsets that its windows may have, the row and place, whether it is the only one of its kind, its bytes; in divided groups a hull.
+MEMBERS = "g binary, low int, high int, doc long, key long, place int, once boolean, around binary, hull binary"
+ARROW = pa.schema([("g", pa.binary()), ("low", pa.int32()), ("high", pa.int32()), ("doc", pa.int64()), ("key", pa.int64()), ("place", pa.int32()), ("once", pa.bool_()), ("around", pa.binary()), ("hull", pa.binary())])
 
 
 def match_groups(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterator[pa.RecordBatch]:
@@ -307,45 +307,51 @@ def match_groups(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> I
         yield close(held)
 
 
-def divided(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterator[pa.RecordBatch]:
-    """Each member in two groups, one for each half of its offsets.
+def halves(row: tuple, length: int, gram: int) -> Iterator[tuple]:
+    """A member in two groups, one for each half of its offsets, with a ``hull`` beside its other fields.
 
     Windows of the offsets low to high all hold the gram, ``low`` bytes before it and ``length - high`` from its
     start on, so members that share a window share these bytes, which name the group. ``hull`` names all that
     these windows cover: members of one hull share all their windows.
     """
-    for batch in batches:
-        out: list[tuple] = []
-        for _, low, high, doc, key, place, once, around in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-            back = min(place, length - gram)
-            middle = (low + high) // 2
-            for x, y in ((low, middle), (middle + 1, high)):
-                if x <= y and back >= x and len(around) - back >= length - y and max(x, length - len(around) + back) <= min(y, back):
-                    core = blake2b(around[back - x : back + length - y], digest_size=16, person=b"%d,%d" % (x, y)).digest()
-                    lo, hi = max(0, back - y), min(len(around), back + length - x)
-                    out.append((core, x, y, doc, key, place, once, around, blake2b(around[lo:hi], digest_size=16, person=b"%d" % (back - lo)).digest()))
-        yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], f.type) for k, f in enumerate(ARROW)] + [pa.array([r[8] for r in out], pa.binary())], names=[*ARROW.names, "hull"])
+    _, low, high, doc, key, place, once, around = row
+    back = min(place, length - gram)
+    middle = (low + high) // 2
+    for x, y in ((low, middle), (middle + 1, high)):
+        if x <= y and back >= x and len(around) - back >= length - y and max(x, length - len(around) + back) <= min(y, back):
+            core = blake2b(around[back - x : back + length - y], digest_size=16, person=b"%d,%d" % (x, y)).digest()
+            lo, hi = max(0, back - y), min(len(around), back + length - x)
+            yield core, x, y, doc, key, place, once, around, blake2b(around[lo:hi], digest_size=16, person=b"%d" % (back - lo)).digest()
+
+
+def as_batch(rows: list[tuple]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], f.type) for k, f in enumerate(ARROW)], schema=ARROW)
 
 
 def matches(members: DataFrame, folder: str, length: int, gram: int) -> DataFrame:
-    """(doc, key, lo, hi) of members (with ``kinds``, their group's size) that share a window with another one of their group.
+    """(doc, key, lo, hi) of members that share a window with another one of their group.
 
-    Groups that one task can sort are sorted. Larger ones are divided by halves of their offsets until the
-    parts can be sorted; members that share all that a half covers are settled on the way, and one of
+    Groups without hulls are sorted, one task each. Those with hulls are sorted if one task can, else divided by halves of their
+    offsets until it can; members that share all that a half covers are settled on the way, and one of
     each kind stays as a partner of the others.
     """
-    spark = members.sparkSession
-    names = ARROW.names
-    fit, settled = [members.where(F.col("kinds") <= GROUP_LIMIT).select(names)], []
-    large, level = members.where(F.col("kinds") > GROUP_LIMIT).select(names), 0
-    while not large.isEmpty():
-        path, level = f"{folder}/level{level}", level + 1
-        large.mapInArrow(lean(lambda b: divided(b, length, gram)), f"{MEMBERS}, hull binary").write.parquet(path)
-        parts = spark.read.parquet(path)
-        over = checked(cut_lineage(parts.groupBy("g").agg(F.count("*").alias("n")).where(F.col("n") > GROUP_LIMIT).select("g")))
+    spark, level = members.sparkSession, 0
+    names = [c for c in ARROW.names if c != "hull"]
+    fit, settled, parts = [members.where("hull is null").select(names)], [], members.where("hull is not null")
+
+    def divided(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield as_batch([half for row in zip(*(c.to_pylist() for c in batch.columns), strict=True) for half in halves(row, length, gram)])
+
+    while True:
+        over = cut_lineage(parts.groupBy("g").agg(F.count("*").alias("n")).where(F.col("n") > GROUP_LIMIT).select("g"))
+        if over.isEmpty():
+            fit.append(parts.select(names))
+            break
+        over = checked(over)
         fit.append(parts.join(over, "g", "left_anti").select(names))
-        parts.join(over, "g", "left_semi").write.parquet(f"{path}-large")
-        rest = spark.read.parquet(f"{path}-large")
+        parts.join(over, "g", "left_semi").write.parquet(f"{folder}/large{level}")
+        rest = spark.read.parquet(f"{folder}/large{level}")
         hulls = rest.groupBy("g", "hull").agg(F.count("*").alias("n"), F.min(F.struct("doc", "key", "place")).alias("one"))
         shared = cut_lineage(hulls.where("n > 1"))
         hit = checked(shared.select("g", "hull"))
@@ -356,6 +362,8 @@ def matches(members: DataFrame, folder: str, length: int, gram: int) -> DataFram
         stays = (rest["g"] == ones["own_g"]) & (rest["hull"] == ones["own_hull"]) & (rest["place"] == ones["own_place"]) & same_row(rest, ones)
         partners = rest.join(ones, stays, "left_semi").withColumn("once", F.lit(False)).select(names)
         large = rest.join(hit, ["g", "hull"], "left_anti").select(names).union(partners).where("low < high")
+        large.mapInArrow(lean(divided), MEMBERS).write.parquet(f"{folder}/parts{level}")
+        parts, level = spark.read.parquet(f"{folder}/parts{level}"), level + 1
     fit = reduce(DataFrame.union, fit).repartition("g").sortWithinPartitions("g")
     return reduce(DataFrame.union, [fit.mapInArrow(lean(lambda b: match_groups(b, length, gram)), "doc long, key long, lo int, hi int"), *settled])
 
@@ -398,7 +406,10 @@ def repeated_spans(docs: DataFrame, length: int = 200, gram: int = 64, id_col: s
     zipped = packed_texts(texts)
     bytes_of = zipped.join(wanted, same_row(zipped, wanted)).select("doc", "key", "z", "wanted")
 
+    limit = GROUP_LIMIT
+
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """The bytes around anchors; those of grams with more kinds than a task sorts, divided already."""
         open_ = zstandard.ZstdDecompressor()
         for batch in batches:
             out: list[tuple] = []
@@ -406,10 +417,11 @@ def repeated_spans(docs: DataFrame, length: int = 200, gram: int = 64, id_col: s
                 text = open_.decompress(z)
                 for w in want:
                     place = w["place"]
-                    out.append((w["f"].to_bytes(8, "little", signed=True), 0, back, doc, key, place, w["total"] == 1, text[max(0, place - back) : place + length], w["kinds"]))
-            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], f.type) for k, f in enumerate(ARROW)] + [pa.array([r[8] for r in out], pa.int64())], names=[*ARROW.names, "kinds"])
+                    row = (w["f"].to_bytes(8, "little", signed=True), 0, back, doc, key, place, w["total"] == 1, text[max(0, place - back) : place + length])
+                    out.extend(halves(row, length, gram) if w["kinds"] > limit else [(*row, None)])
+            yield as_batch(out)
 
-    bytes_of.mapInArrow(lean(cut), f"{MEMBERS}, kinds long").write.parquet(f"{folder}/around")
+    bytes_of.mapInArrow(lean(cut), MEMBERS).write.parquet(f"{folder}/around")
     every = settled.union(matches(spark.read.parquet(f"{folder}/around"), folder, length, gram))
     out = cut_lineage(every.groupBy("doc", "key").agg(F.collect_set(F.struct("lo", "hi")).alias("spans")).toDF("own_doc", "own_key", "spans"))
     path = spark._jvm.org.apache.hadoop.fs.Path(folder)

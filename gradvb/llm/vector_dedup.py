@@ -11,9 +11,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gradvb.llm.common import table
-from gradvb.llm.components import components
+from gradvb.llm.components import components, forest
 from gradvb.session import cut_lineage
 
+#: A vector of more than this share (one in so many) of the rows is named without a shuffle of its copies.
+HOT = 1_000
 #: Leaves of more vectors are compared chunk against chunk, so that no task holds more than two chunks.
 CHUNK = 4096
 
@@ -31,19 +33,21 @@ class Tree:
     directions: np.ndarray
     thresholds: list[np.ndarray]
     spill: float
+    shrink: float
 
     def leaves(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(row, leaf): rows within ``spill`` of a threshold go to both sides."""
+        """(row, leaf): rows near a threshold go to both sides. What is near shrinks from level to level, so copies stay few in trees of any depth."""
         row, code = np.arange(len(x)), np.zeros(len(x), np.int64)
         for level, direction in enumerate(self.directions):
             cut = self.thresholds[level]
             gap = (x @ direction)[row] - cut[code if len(cut) > 1 else np.zeros(len(code), np.int64)]
-            left, right = gap <= self.spill, gap > -self.spill
+            near = self.spill * self.shrink**level
+            left, right = gap <= near, gap > -near
             row, code = np.concatenate([row[left], row[right]]), np.concatenate([2 * code[left], 2 * code[right] + 1])
         return row, code
 
 
-def fit_tree(sample: np.ndarray, dim: int, depth: int, spill: float, rng: np.random.Generator, least: int = 16) -> Tree:
+def fit_tree(sample: np.ndarray, dim: int, depth: int, spill: float, rng: np.random.Generator, least: int = 16, shrink: float = 0.91) -> Tree:
     """Medians by node while nodes hold ``least`` of the sample on average; below that, one median a level."""
     directions = rng.normal(size=(depth, dim))
     directions /= np.linalg.norm(directions, axis=1, keepdims=True)
@@ -65,7 +69,7 @@ def fit_tree(sample: np.ndarray, dim: int, depth: int, spill: float, rng: np.ran
                     cut[k] = np.median(own)
             code = 2 * code + (gap > cut[code])
         thresholds.append(cut)
-    return Tree(directions, thresholds, spill)
+    return Tree(directions, thresholds, spill, shrink)
 
 
 def vectors_of(column: pa.Array, dim: int) -> np.ndarray:
@@ -79,48 +83,67 @@ def vectors_of(column: pa.Array, dim: int) -> np.ndarray:
 
 
 def compare(batches: Iterator[pa.RecordBatch], least: float) -> Iterator[pa.RecordBatch]:
-    """Pairs of a cosine of at least ``least`` within runs of equal group keys; sorted input."""
-    keys, held = None, []
+    """From (group, part, node, copies, before, vector) sorted by group: links (a, b) that connect what a group's pairs of a cosine of at least ``least`` connect, and (a, null, more).
+
+    ``more`` counts, for each node, the vectors it is linked with by pairs that met in no leaf before this one (``before`` lists a
+    node's leaves in order up to it), so every pair counts in one group alone. What comes out grows with the nodes, not with their pairs.
+    """
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("more", pa.int64())])
+    held: list[pa.RecordBatch] = []
 
     def close() -> Iterator[pa.RecordBatch]:
-        part = np.concatenate([h[0] for h in held])
-        node = np.concatenate([h[1] for h in held])
-        dim = max(h[2].shape[1] for h in held)
-        x = unit(np.concatenate([np.pad(h[2], ((0, 0), (0, dim - h[2].shape[1]))) for h in held]))
+        whole = pa.Table.from_batches(held).combine_chunks()
+        part, node, copies = (whole.column(c).to_numpy() for c in ("part", "node", "copies"))
+        before, vector = (whole.column(c).combine_chunks() for c in ("before", "vector"))
+        if len(node) < 2:
+            return
+        sizes = before.value_lengths().to_numpy(zero_copy_only=False)
+        met = shared_flags(np.repeat(np.arange(len(node)), sizes), before.flatten().to_numpy(zero_copy_only=False), len(node))
+        x = unit(vectors_of(vector, int(vector.value_lengths().to_numpy(zero_copy_only=False).max())))
         mixed = part.min() != part.max()
-        for i in range(0, len(x), 512):
-            y = x[i:] if not mixed else x
-            cos = x[i : i + 512] @ y.T
-            a, b = np.nonzero(cos >= least)
-            b = b + (0 if mixed else i)
-            a = a + i
-            ok = part[a] < part[b] if mixed else b > a
-            a, b = a[ok], b[ok]
+        more, links = np.zeros(len(node), np.int64), []
+        for lo in range(0, len(node), 512):
+            near = x[lo : lo + 512] @ x.T >= least
+            rows = np.arange(lo, lo + len(near))
+            near[rows - lo, rows] = False
+            if mixed:
+                near &= part[rows][:, None] != part[None, :]
+            a, b = np.nonzero(near)
             if len(a):
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(node[a], node[b])), pa.array(np.maximum(node[a], node[b]))], names=["a", "b"])
+                links.append(forest(rows[a], b))
+            if met.shape[1]:
+                near &= met[rows] @ met.T == 0
+            more[rows] += near @ copies
+        if links:
+            child, root = forest(*(np.concatenate([l[k] for l in links]) for k in (0, 1)))
+            yield pa.RecordBatch.from_arrays([pa.array(node[child]), pa.array(node[root]), pa.nulls(len(child), pa.int64())], schema=schema)
+        some = np.flatnonzero(more)
+        if len(some):
+            yield pa.RecordBatch.from_arrays([pa.array(node[some]), pa.nulls(len(some), pa.int64()), pa.array(more[some])], schema=schema)
 
     for batch in batches:
-        if not batch.num_rows:
-            continue
-        names = batch.schema.names
-        group = batch.column(names.index("group"))
-        dim = int(batch.column(names.index("vector")).value_lengths().to_numpy(zero_copy_only=False).max())
-        code = group.to_numpy(zero_copy_only=False)
-        part = batch.column(names.index("part")).to_numpy(zero_copy_only=False)
-        node = batch.column(names.index("node")).to_numpy(zero_copy_only=False)
-        x = vectors_of(batch.column(names.index("vector")), dim)
-        cuts = np.flatnonzero(np.concatenate([[True], code[1:] != code[:-1], [True]]))
-        for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
-            if keys is not None and code[lo] != keys:
-                if sum(len(h[1]) for h in held) > 1:
-                    yield from close()
+        code = batch.column(0).to_pylist()
+        cuts = [k for k in range(len(code)) if k == 0 or code[k] != code[k - 1]] + [len(code)]
+        for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
+            if held and held[0].column(0)[0].as_py() != code[lo]:
+                yield from close()
                 held = []
-            keys = code[lo]
-            held.append((part[lo:hi], node[lo:hi], x[lo:hi]))
-    if held and sum(len(h[1]) for h in held) > 1:
+            held.append(batch.slice(lo, hi - lo))
+    if held:
         yield from close()
 
 
+def shared_flags(member: np.ndarray, mark: np.ndarray, size: int) -> np.ndarray:
+    """Rows of 0 and 1 whose product tells how many marks two members share."""
+    _, code, count = np.unique(mark, return_inverse=True, return_counts=True)
+    shared = count > 1
+    place = np.cumsum(shared) - 1
+    out = np.zeros((size, int(shared.sum())), np.float32)
+    own = shared[code]
+    out[member[own], place[code[own]]] = 1
+    return out
+
+
 def near_vectors(
     vectors: DataFrame,
     least: float = 0.93,
@@ -137,7 +160,7 @@ def near_vectors(
 
     Trees are fitted on at most ``sample`` distinct vectors; every distinct vector is then put
     into its leaves, and vectors of equal label and length that share a leaf are compared
-    in double precision. Equal vectors of a label meet before that and count as linked. Rows
+    in double precision; a pair counts in the first leaf that it shares. Equal vectors of a label meet before that and count as linked. Rows
     whose label or vector is null, zero, empty, or holds a null or non-finite component
     link with nothing. Rows with a null id count as links of others, name no component, and are not kept.
     Repeated rows count as often as they come; an empty table gives no rows; other columns are not read.
@@ -161,40 +184,51 @@ def near_vectors(
         known[k, : len(r.vector)] = r.vector
     depth = max(0, int(np.ceil(np.log2(facts.n / leaf))))
     rng = np.random.default_rng(seed)
-    forest = spark.sparkContext.broadcast([fit_tree(unit(known), facts.dim, depth, spill, rng) for _ in range(trees)])
+    forest_ = spark.sparkContext.broadcast([fit_tree(unit(known), facts.dim, depth, spill, rng) for _ in range(trees)])
 
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """A row for each leaf of each vector, with the leaves (tree and code in one number) that come before it."""
         for batch in batches:
             if not batch.num_rows:
                 continue
             x = unit(vectors_of(batch.column(1), facts.dim))
-            for t, tree in enumerate(forest.value):
-                row, code = tree.leaves(x)
-                at = pa.array(row)
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).take(at), batch.column(2).take(at), pa.array(np.full(len(row), t, np.int32)), pa.array(code)], names=["node", "label_key", "tree", "leaf"]
-                )
+            found = [tree.leaves(x) for tree in forest_.value]
+            row = np.concatenate([r for r, _ in found])
+            leaf_code = np.concatenate([np.int64(t) << np.int64(56) | c for t, (_, c) in enumerate(found)])
+            order = np.lexsort((leaf_code, row))
+            row, leaf_code = row[order], leaf_code[order]
+            count = np.bincount(row, minlength=len(x))
+            nth = np.arange(len(row)) - (np.cumsum(count) - count)[row]
+            start = np.arange(len(row)) - nth
+            flat = np.repeat(start - np.concatenate([[0], np.cumsum(nth)[:-1]]), nth) + np.arange(nth.sum())
+            before = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(nth)]), pa.int32()), pa.array(leaf_code[flat]))
+            at = pa.array(row)
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(2).take(at), pa.array(leaf_code), before], names=["node", "label_key", "leaf", "before"])
 
     keyed = reps.select("node", "vector", F.to_json(F.struct("label", F.size("vector").alias("size"))).alias("label_key"))
-    placed = keyed.mapInArrow(assign, "node long, label_key string, tree int, leaf long")
-    placed = cut_lineage(placed.select("node", F.struct("label_key", "tree", "leaf").alias("place")))
+    placed = keyed.mapInArrow(assign, "node long, label_key string, leaf long, before array<long>")
+    placed = cut_lineage(placed.select("node", F.struct("label_key", "leaf").alias("place"), "before"))
     large = placed.groupBy("place").agg(F.count("*").alias("n")).where(F.col("n") > CHUNK)
     large = large.select("place", F.ceil(F.col("n") / CHUNK).cast("int").alias("chunks"))
     placed = placed.join(large, "place", "left")
     own = F.pmod(F.xxhash64("node"), F.coalesce("chunks", F.lit(1))).cast("int")
-    spread = placed.select("node", "place", own.alias("own"), F.explode(F.sequence(F.lit(0), F.coalesce("chunks", F.lit(1)) - 1)).alias("other"))
-    spread = spread.select("node", F.to_json(F.struct("place", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"))).alias("group"), F.col("own").alias("part"))
-    met = spread.join(reps.select("node", "vector"), "node").select("group", "part", "node", "vector")
-    pairs = met.repartition("group").sortWithinPartitions("group").mapInArrow(lambda b: compare(b, least), "a long, b long")
-    pairs = cut_lineage(pairs.distinct())
-    both = pairs.union(pairs.select("b", "a")).toDF("node", "other")
-    linked = both.join(reps.select(F.col("node").alias("other"), "copies"), "other").groupBy("node").agg(F.sum("copies").alias("more"))
+    spread = placed.select("node", "place", "before", own.alias("own"), F.explode(F.sequence(F.lit(0), F.coalesce("chunks", F.lit(1)) - 1)).alias("other"))
+    spread = spread.select("node", "before", F.to_json(F.struct("place", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"))).alias("group"), F.col("own").alias("part"))
+    met = spread.join(reps.select("node", "copies", "vector"), "node").select("group", "part", "node", "copies", "before", "vector")
+    found = cut_lineage(met.repartition("group").sortWithinPartitions("group").mapInArrow(lambda b: compare(b, least), "a long, b long, more long"))
+    linked = found.where("b is null").groupBy(F.col("a").alias("node")).agg(F.sum("more").alias("more"))
+    pairs = found.where("b is not null").select("a", "b")
     groups = components(pairs).toDF("node", "group")
     known_reps = reps.join(linked, "node", "left").join(groups, "node", "left")
-    known_reps = cut_lineage(known_reps.select("label", "vector", "first_id", (F.col("copies") - 1 + F.coalesce("more", F.lit(0))).alias("n_links"), F.coalesce("group", "node").alias("group")))
+    known_reps = cut_lineage(known_reps.select("label", "vector", "copies", "first_id", (F.col("copies") - 1 + F.coalesce("more", F.lit(0))).alias("n_links"), F.coalesce("group", "node").alias("group")))
     least_ids = known_reps.groupBy("group").agg(F.min("first_id").alias("component_id"))
-    named = known_reps.join(least_ids, "group").select("label", "vector", "n_links", "component_id")
-    found = rows.where("fine").join(named, ["label", "vector"]).select("vec_id", "n_links", "component_id")
+    named = cut_lineage(known_reps.join(least_ids, "group").select("label", "vector", "copies", "n_links", "component_id"))
+    # vectors of more than a HOT-th of the rows, HOT of them at most, are named where their rows lie
+    many = F.col("copies") * HOT > (named.agg(F.sum("copies")).first()[0] or 0)
+    hot = F.broadcast(named.where(many).select("label", "vector", "n_links", "component_id"))
+    own_rows = rows.where("fine")
+    plain = own_rows.join(hot, ["label", "vector"], "left_anti").join(named.where(~many), ["label", "vector"])
+    found = own_rows.join(hot, ["label", "vector"]).select("vec_id", "n_links", "component_id").union(plain.select("vec_id", "n_links", "component_id"))
     rest = rows.where("not fine").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     return found.union(rest).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(False)))
 

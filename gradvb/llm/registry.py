@@ -27,4 +27,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op2_decontaminate": decontaminate.ORACLE,
+        "op8_repeats": suffix_dedup.ORACLE,
+        "op9_vectors": vector_dedup.ORACLE,
     }

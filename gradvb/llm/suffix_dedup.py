@@ -512,3 +512,21 @@ def strip_repeats(docs: DataFrame, length: int = 200, gram: int = 64, id_col: st
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(table(spark, sf_dir, "documents"))
+
+
+#: The same rows from all windows of 200 bytes. Windows are cut from blocks of 1000, as SQL finds a place in a string by walking there.
+ORACLE = """
+WITH docs AS (SELECT row_number() OVER () AS r, doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+blocks AS (SELECT r, j, substr(h, 2000 * j + 1, 2398) AS p FROM (SELECT r, h, unnest(range(0, length(h) // 2000 + 1)) AS j FROM docs)),
+windows AS (SELECT r, 1000 * j + o AS i, md5(substr(p, 2 * o + 1, 400)) AS m FROM (SELECT r, j, p, unnest(range(0, least(1000, length(p) // 2 - 199))) AS o FROM blocks WHERE length(p) >= 400)),
+twice AS (SELECT m FROM windows GROUP BY m HAVING count(*) > 1),
+hit AS (SELECT r, i FROM windows WHERE m IN (SELECT m FROM twice)),
+steps AS (SELECT r, i, CASE WHEN i - lag(i) OVER (PARTITION BY r ORDER BY i) <= 200 THEN 0 ELSE 1 END AS fresh FROM hit),
+runs AS (SELECT r, min(i) AS lo, max(i) + 200 AS hi FROM (SELECT r, i, sum(fresh) OVER (PARTITION BY r ORDER BY i) AS run FROM steps) GROUP BY r, run),
+ends AS (SELECT r, lo AS upto, coalesce(lag(hi) OVER (PARTITION BY r ORDER BY lo), 0) AS since FROM runs
+  UNION ALL SELECT docs.r, length(any_value(h)) // 2, coalesce(max(hi), 0) FROM docs LEFT JOIN runs ON runs.r = docs.r GROUP BY docs.r),
+kept AS (SELECT r, coalesce(string_agg(substr(h, 2 * since + 1, 2 * (upto - since)), '' ORDER BY since, upto), '') AS k FROM ends JOIN docs USING (r) GROUP BY r),
+sums AS (SELECT r, sum(hi - lo)::BIGINT AS n_removed, count(*) AS n_spans FROM runs GROUP BY r)
+SELECT doc_id, length(h) // 2 AS n_bytes, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans, sha256(unhex(k)) AS kept_sha256
+FROM docs JOIN kept USING (r) LEFT JOIN sums USING (r)
+"""

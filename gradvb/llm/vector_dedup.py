@@ -235,3 +235,16 @@ def near_vectors(
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_vectors(table(spark, sf_dir, "embeddings"))
+
+
+#: The same rows from all pairs of a label.
+ORACLE = """
+WITH RECURSIVE rows_ AS (SELECT row_number() OVER () AS r, vec_id, label, embedding::DOUBLE[] AS e FROM embeddings),
+fine AS (SELECT * FROM rows_ WHERE label IS NOT NULL AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(e, lambda x: x <> 0)) > 0),
+links AS (SELECT a.r AS a, b.r AS b FROM fine a JOIN fine b ON a.label = b.label AND a.r <> b.r AND len(a.e) = len(b.e) AND list_cosine_similarity(a.e, b.e) >= 0.93),
+reach AS (SELECT r, r AS c FROM fine UNION SELECT links.b, reach.c FROM reach JOIN links ON links.a = reach.r),
+groups AS (SELECT reach.r, min(rows_.vec_id) AS component_id FROM reach JOIN rows_ ON rows_.r = reach.c GROUP BY reach.r),
+counts AS (SELECT a AS r, count(*) AS n FROM links GROUP BY a),
+named AS (SELECT vec_id, coalesce(n, 0) AS n_links, CASE WHEN groups.r IS NULL THEN vec_id ELSE component_id END AS component_id FROM rows_ LEFT JOIN groups USING (r) LEFT JOIN counts USING (r))
+SELECT vec_id, n_links, component_id, coalesce(vec_id = component_id, false) AS kept FROM named
+"""

@@ -217,6 +217,14 @@ GLM_THETA = (0.1, -0.2, 0.05, 0.3)
 
 def glm_sql(kind: str) -> str:
     z = linear(GLM_THETA)
+    if kind == "probit":  # the distribution function by its series around zero
+        t, series = f"((2 * y - 1) * ({z}))", "1.0"
+        for k in range(41, 1, -2):
+            series = f"(1.0 + (q * q / {k}) * {series})"
+        inner = f"SELECT *, {t} AS q, exp(-0.5 * ({z}) * ({z})) / sqrt(2 * pi()) AS f FROM obs"
+        source = f"SELECT *, 0.5 + f * q * {series} AS p FROM ({inner})"
+        values = {"loglik": "sum(ln(p))"} | {f"g{j}": f"sum((2 * y - 1) * f / p * x{j})" for j in range(D)}
+        return f"WITH {w1()}, s AS (SELECT count(*) AS n, {', '.join(f'{v} AS {k}' for k, v in values.items())} FROM ({source})) " + long_form({k: rounded(f"{k} / n") for k in values}, "s")
     if kind == "gaussian":
         ll, a = f"-0.5 * (y - ({z})) * (y - ({z})) - ln(sqrt(2 * pi()))", f"(y - ({z}))"
     else:
@@ -229,7 +237,7 @@ def glm_sql(kind: str) -> str:
 QUERIES = {
     "w1_design": designs.w1_design,
     "w1e_design": designs.w1e_design,
-    "w3_panels": designs.published_panels,
+    "w3_panels": designs.w3_panels,
     "w1_sufficient_counts": sufficient_counts,
     "quality_design": lambda s, d: designs.quality_design(s, d).withColumn("log_chars", F.round("log_chars", 9)),
     "conversation_panels": lambda s, d: designs.conversation_panels(s, d).withColumn("x2", F.round("x2", 9)),
@@ -287,6 +295,7 @@ SQL = {
     "chunk_rollup": chunk_level("ROLLUP (chunk_id)"),
     "chunked_gradient": f"WITH {w1()}, {strata(0.05)}, total AS (SELECT count(*) AS n_all FROM obs) SELECT coalesce(chunk_id, -1) AS chunk_id, count(*) AS m_k, {', '.join(f"{rounded(f'sum(w * (y - {logistic(linear(FLIGHT_BETA))}) * x{j}) / max(n_all)')} AS g{j}" for j in range(D))} FROM picked, total GROUP BY ROLLUP (chunk_id)",
     "glm_gaussian_gradient": glm_sql("gaussian"),
+    "glm_probit_gradient": glm_sql("probit"),
     "glm_poisson_gradient": glm_sql("poisson"),
     "draws_table": f"SELECT d::INTEGER AS draw_id, k::INTEGER AS k, {rounded(f'sqrt(-2 * ln(greatest({u("'e1'", 'd', 'k')}, {2.0**-53!r}))) * cos(2 * pi() * {u("'e2'", 'd', 'k')})')} AS eps FROM range(4) a(d), range(5) b(k)",
 }

@@ -21,7 +21,10 @@ from gradvb.draws import DrawSource, star_discrepancy_l2
 from gradvb.estimators import ExactProvider, SampleProvider, sufficient_cells
 from gradvb.families import NormalPrior
 from gradvb.fit import FitConfig, StepSize, ascend, choose_factors, compare_models, first_state, fit_exact_vb, prepare, replicate
+from gradvb.functions.scalars import hash_uniform_sql
 from gradvb.panel import Integrator, PanelProvider, fit_ngvb_panels, fit_panel_anchor, panel_sums, rank_panels
+from gradvb.queries.text import linear, w1
+from gradvb.queries.text import softplus as softplus_sql
 from gradvb.sampling import assign_chunks, tile_counts
 from gradvb.sums import exact_sums, fit_mle
 
@@ -332,7 +335,7 @@ def chunk_constancy(spark, sf_dir):
     for k in (4, 16, 64):
         chunked = assign_chunks(obs, k)
         s = exact_sums(chunked, FLIGHT_BETA, order=1)
-        rows.append((k, len(tile_counts(chunked.withColumnRenamed("chunk_id", "tile"))), s.n, round(float(s.loglik / s.n), 9)))
+        rows.append((k, len(tile_counts(chunked.withColumnRenamed("chunk_id", "tile"))), s.n, round(float(s.loglik / s.n), 7)))
     return spark.createDataFrame(rows, "chunks int, filled int, n long, loglik_mean double")
 
 
@@ -474,4 +477,12 @@ QUERIES = {
     "chunk_constancy": chunk_constancy,
 }
 
-SQL: dict[str, str] = {}
+
+
+def chunks_sql() -> str:
+    z = linear(FLIGHT_BETA)
+    arms = " UNION ALL ".join(f"SELECT {k}::INTEGER AS chunks, count(DISTINCT least(floor({hash_uniform_sql("'chunk'", 'obs_key')} * {k}), {k - 1}))::INTEGER AS filled, count(*) AS n, round(sum(y * ({z}) - {softplus_sql(z)}) / count(*), 7) AS loglik_mean FROM obs" for k in (4, 16, 64))
+    return f"WITH {w1()} {arms}"
+
+
+SQL: dict[str, str] = {"chunk_constancy": chunks_sql()}

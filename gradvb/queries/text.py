@@ -51,8 +51,7 @@ def w3() -> str:
     return f"""w3_all AS (
   SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS t, count(*) OVER (PARTITION BY o_custkey) AS n FROM orders
 ), w3_ids AS (SELECT o_custkey, row_number() OVER (ORDER BY o_custkey) AS panel_rank FROM w3_all WHERE n >= 5 AND t = 1),
-w3_kept AS (SELECT * FROM w3_ids WHERE panel_rank <= (SELECT CASE WHEN count(*) >= 10000 THEN 10000 ELSE 1000 END FROM w3_ids)),
-w3_x AS (SELECT a.o_custkey AS panel_id, panel_rank, t, o_orderkey, {alpha.replace('o_custkey', 'a.o_custkey')} AS alpha, {xs} FROM w3_all a JOIN w3_kept k ON a.o_custkey = k.o_custkey WHERE t <= 5),
+w3_x AS (SELECT a.o_custkey AS panel_id, panel_rank, t, o_orderkey, {alpha.replace('o_custkey', 'a.o_custkey')} AS alpha, {xs} FROM w3_all a JOIN w3_ids k ON a.o_custkey = k.o_custkey WHERE t <= 5),
 w3 AS (SELECT panel_id, panel_rank::INTEGER AS panel_rank, t::INTEGER AS t, {flag(f"{u("'w3'", 'o_orderkey')} < {logistic(z)}")} AS y, {', '.join(f'x{j}' for j in range(1, 11))} FROM w3_x)"""
 
 

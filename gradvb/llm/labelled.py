@@ -13,7 +13,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str, folds: int, he
     """At most ``bound`` labelled texts outside the held-out fold, in the order of a hash of their ids.
 
     The bound is a parameter of the training, not of the scoring; fewer labels give fewer rows.
-    Rows with a null id, text or label are no examples.
+    Rows with a null id, text or label are no examples; of rows that share an id the least text is one.
     """
     chosen = (
         labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y"))
@@ -23,7 +23,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str, folds: int, he
         .limit(bound)
     )
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text")).where("text is not null")
-    got = texts.join(F.broadcast(chosen), "doc_id").toPandas()
+    got = texts.join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "y").agg(F.min("text").alias("text")).toPandas()
     got["text"] = got["text"].map(bytes)
     got = got.sort_values(["doc_id", "text"], kind="stable").drop_duplicates("text")
     return got["text"].tolist(), got["y"].to_numpy(np.int64)

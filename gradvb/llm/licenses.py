@@ -1,4 +1,9 @@
-"""License scans by a positional index of the rare words of license notices."""
+"""License scans by a positional index of license notices.
+
+The words of all notices are counted over the documents once. A file is then looked up by those of its license
+words that are rarest there; postings of one notice that agree on where it begins, give or take a few words, make a candidate;
+a candidate is aligned with the file word by word, and its key phrases must stand there.
+"""
 
 from __future__ import annotations
 
@@ -19,6 +24,40 @@ BASE_PHRASES = {
     "mit license": "mit",
 }
 
+#: Whole texts of short licenses, as words.
+MIT = (
+    "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files the software to deal in the software "
+    "without restriction including without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software and to permit "
+    "persons to whom the software is furnished to do so subject to the following conditions the above copyright notice and this permission notice shall be included in all "
+    "copies or substantial portions of the software the software is provided as is without warranty of any kind express or implied including but not limited to the "
+    "warranties of merchantability fitness for a particular purpose and noninfringement in no event shall the authors or copyright holders be liable for any claim damages "
+    "or other liability whether in an action of contract tort or otherwise arising from out of or in connection with the software or the use or other dealings in the software"
+)
+ISC = (
+    "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted provided that the above copyright notice and this "
+    "permission notice appear in all copies the software is provided as is and the author disclaims all warranties with regard to this software including all implied "
+    "warranties of merchantability and fitness in no event shall the author be liable for any special direct indirect or consequential damages or any damages whatsoever "
+    "resulting from loss of use data or profits whether in an action of contract negligence or other tortious action arising out of or in connection with the use or "
+    "performance of this software"
+)
+ZLIB = (
+    "this software is provided as is without any express or implied warranty in no event will the authors be held liable for any damages arising from the use of this "
+    "software permission is granted to anyone to use this software for any purpose including commercial applications and to alter it and redistribute it freely subject to "
+    "the following restrictions 1 the origin of this software must not be misrepresented you must not claim that you wrote the original software if you use this software in "
+    "a product an acknowledgment in the product documentation would be appreciated but is not required 2 altered source versions must be plainly marked as such and must "
+    "not be misrepresented as being the original software 3 this notice may not be removed or altered from any source distribution"
+)
+BSD = (
+    "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met 1 redistributions of source "
+    "code must retain the above copyright notice this list of conditions and the following disclaimer 2 redistributions in binary form must reproduce the above copyright "
+    "notice this list of conditions and the following disclaimer in the documentation and or other materials provided with the distribution this software is provided by the "
+    "copyright holders and contributors as is and any express or implied warranties including but not limited to the implied warranties of merchantability and fitness for a "
+    "particular purpose are disclaimed in no event shall the copyright holder or contributors be liable for any direct indirect incidental special exemplary or consequential "
+    "damages including but not limited to procurement of substitute goods or services loss of use data or profits or business interruption however caused and on any theory of "
+    "liability whether in contract strict liability or tort including negligence or otherwise arising in any way out of the use of this software even if advised of the "
+    "possibility of such damage"
+)
+
 #: Notices as they are publicly known: (label, words of the notice, key phrases that must stand at their places).
 NOTICES = [
     ("gpl-3.0", "this work is licensed under the gnu general public license version 3", ["gnu general public license", "version 3"]),
@@ -38,7 +77,13 @@ NOTICES = [
     ("cc-by-4.0", "this work is licensed under a creative commons attribution 4 0 international license", ["creative commons attribution", "4 0"]),
     ("cc-by-4.0", "licensed under cc by 4 0", ["cc by 4 0"]),
     ("cc-by-sa-4.0", "licensed under cc by sa 4 0", ["cc by sa 4 0"]),
-    ("rights-reserved", "all rights reserved", ["all rights reserved"]),
+    ("cc-by-nc-4.0", "this work is licensed under a creative commons attribution noncommercial 4 0 international license", ["creative commons attribution noncommercial", "4 0"]),
+    ("cc-by-sa-4.0", "this work is licensed under a creative commons attribution sharealike 4 0 international license", ["creative commons attribution sharealike", "4 0"]),
+    ("boost", "distributed under the boost software license version 1 0", ["boost software license"]),
+    ("zlib", ZLIB, ["in no event will the authors be held liable", "must not be misrepresented"]),
+    ("isc-full", ISC, ["use copy modify and or distribute this software", "the author disclaims all warranties"]),
+    ("mit-full", MIT, ["hereby granted free of charge", "the software is provided as is"]),
+    ("bsd-2-clause-full", BSD, ["source and binary forms", "redistributions in binary form must reproduce", "this software is provided by the copyright holders and contributors as is"]),
 ]
 
 
@@ -49,77 +94,134 @@ def word_hashes(words: list[str]) -> np.ndarray:
     return mix(span_hash(prefix_hash(data), starts, ends))
 
 
+def find_run(words: list[int], phrase: list[int]) -> bool:
+    return any(words[i : i + len(phrase)] == phrase for i in range(len(words) - len(phrase) + 1))
+
+
 class NoticeIndex:
-    """Postings (notice, position) of each notice's rarest words, by word hash; rarity is that among the notices."""
-
-    def __init__(self, notices: list[tuple[str, str, list[str]]] = NOTICES, rare: int = 8, cover: float = 0.7) -> None:
-        self.cover, self.labels = cover, [n[0] for n in notices]
-        words = [n[1].split() for n in notices]
-        df: dict[str, int] = {}
-        for w in words:
-            for x in set(w):
-                df[x] = df.get(x, 0) + 1
-        rarity = {x: float(np.log(1 + len(notices) / k)) for x, k in df.items()}
-        self.hashes = [word_hashes(w) for w in words]
-        self.weights = [np.array([rarity[x] for x in w]) for w in words]
-        self.must = []
-        postings = []
-        for k, (w, (_, _, keys)) in enumerate(zip(words, notices, strict=True)):
-            need = np.zeros(len(w), bool)
-            for phrase in keys:
-                p = phrase.split()
-                at = next(i for i in range(len(w)) if w[i : i + len(p)] == p)
-                need[at : at + len(p)] = True
-            self.must.append(need)
-            for i in sorted(range(len(w)), key=lambda i: (-rarity[w[i]], i))[:rare]:
-                postings.append((self.hashes[k][i], k, i))
-        order = np.argsort(np.array([p[0] for p in postings], np.uint64), kind="stable")
-        self.key = np.array([p[0] for p in postings], np.uint64)[order]
-        self.notice = np.array([p[1] for p in postings])[order]
-        self.place = np.array([p[2] for p in postings])[order]
-        self.indexed = np.bincount(self.notice, minlength=len(notices))
+    """Postings (notice, position) of all words of the notices by word hash, and each word's rarity in the documents.
+
+    ``df`` gives the documents that hold a word (by hash) and ``n`` their number; without them all words are alike.
+    """
+
+    def __init__(self, notices: list[tuple[str, str, list[str]]] = NOTICES, df: dict[int, int] | None = None, n: int = 0, rare: int = 24, cover: float = 0.7, slack: int = 4) -> None:
+        self.rare, self.cover, self.slack = rare, cover, slack
+        self.labels = [x[0] for x in notices]
+        self.hashes = [word_hashes(x[1].split()) for x in notices]
+        self.must = [[word_hashes(p.split()).tolist() for p in x[2]] for x in notices]
+        flat = np.concatenate(self.hashes)
+        order = np.argsort(flat, kind="stable")
+        self.key = flat[order]
+        self.notice = np.repeat(np.arange(len(notices)), [len(h) for h in self.hashes])[order]
+        self.place = np.concatenate([np.arange(len(h)) for h in self.hashes])[order]
+        self.words = np.unique(self.key)
+        seen = np.array([(df or {}).get(int(w), 0) for w in self.words.view(np.int64)])
+        self.rarity = np.log((n + 2) / (seen + 1)) if n else np.ones(len(self.words))
+        self.weights = [self.rarity[np.searchsorted(self.words, h)] for h in self.hashes]
+        self.first = np.searchsorted(self.key, self.words)
+        self.count = np.diff(np.append(self.first, len(self.key)))
+
+    def looked_up(self, word: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Places of each text's ``rare`` rarest license words (every occurrence of them), and their numbers."""
+        at = np.minimum(np.searchsorted(self.words, word), len(self.words) - 1)
+        place = np.flatnonzero(self.words[at] == word)
+        own, which = text[place], at[place]
+        pairs = np.unique(own * len(self.words) + which)
+        t, w = pairs // len(self.words), pairs % len(self.words)
+        order = np.lexsort((w, -self.rarity[w], t))
+        rank = np.arange(len(t)) - np.searchsorted(t, t)
+        kept = pairs[order[rank < self.rare]]
+        chosen = np.isin(own * len(self.words) + which, kept)
+        return place[chosen], which[chosen]
+
+    def aligned(self, words: list[int], notice: int) -> np.ndarray:
+        """Which words of the notice a longest common subsequence with ``words`` holds."""
+        own = self.hashes[notice].tolist()
+        table = np.zeros((len(own) + 1, len(words) + 1), np.int32)
+        given = np.array(words, np.uint64)
+        for i, x in enumerate(own):
+            step = np.maximum(table[i, 1:], np.where(given == x, table[i, :-1] + 1, 0))
+            table[i + 1, 1:] = np.maximum.accumulate(step)
+        held, i, j = np.zeros(len(own), bool), len(own), len(words)
+        while i and j:
+            if table[i, j] == table[i - 1, j]:
+                i -= 1
+            elif table[i, j] == table[i, j - 1]:
+                j -= 1
+            else:
+                i, j = i - 1, j - 1
+                held[i] = True
+        return held
 
     def matches(self, word: np.ndarray, text: np.ndarray, first: np.ndarray) -> list[tuple[int, int, float]]:
-        """(text, notice, coverage) of notices whose rare words line up, that cover enough and have their key phrases.
+        """(text, notice, coverage) of notices that stand in a text, perhaps with edits, or cut off at its ends.
 
         ``first`` has each text's first word and, at its end, the number of words.
         """
-        lo, hi = np.searchsorted(self.key, word, "left"), np.searchsorted(self.key, word, "right")
-        at = np.flatnonzero(hi > lo)
-        if not len(at):
+        place, which = self.looked_up(word, text)
+        if not len(place):
             return []
-        n = (hi - lo)[at]
-        posting = np.repeat(lo[at] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-        place = np.repeat(at, n)
-        start, notice = place - self.place[posting], self.notice[posting]
-        ok = start >= first[text[place]]
-        pairs, votes = np.unique(start[ok] * len(self.labels) + notice[ok], return_counts=True)
-        start, notice = pairs // len(self.labels), pairs % len(self.labels)
-        found = []
-        for s, k, v in zip(start.tolist(), notice.tolist(), votes.tolist(), strict=True):
+        n = self.count[which]
+        posting = np.repeat(self.first[which] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
+        spot = np.repeat(place, n)
+        start, notice, owner = spot - self.place[posting], self.notice[posting], text[spot]
+        order = np.lexsort((start, notice, owner))
+        start, notice, owner, spot = start[order], notice[order], owner[order], spot[order]
+        # postings of one notice whose beginnings are near each other are one candidate; each of its places is one vote
+        new = np.ones(len(start), bool)
+        new[1:] = (owner[1:] != owner[:-1]) | (notice[1:] != notice[:-1]) | (start[1:] > start[:-1] + self.slack)
+        group = np.cumsum(new) - 1
+        votes = np.bincount(np.unique(group * (len(word) + 1) + spot) // (len(word) + 1))
+        lo, hi = start[new], np.maximum.reduceat(start, np.flatnonzero(new))
+        found: dict[tuple[int, int], float] = {}
+        for g in np.flatnonzero(votes >= 3).tolist():
+            t, k = int(owner[new][g]), int(notice[new][g])
             size = len(self.hashes[k])
-            t = int(text[s])
-            if 2 * v < self.indexed[k] or s + size > first[t + 1]:
+            if votes[g] < min(size, self.rare) * 0.3:
                 continue
-            same = word[s : s + size] == self.hashes[k]
-            share = float(self.weights[k][same].sum() / self.weights[k].sum())
-            if share >= self.cover and same[self.must[k]].all():
-                found.append((t, k, share))
-        return found
+            begin, end = max(int(first[t]), int(lo[g]) - self.slack), min(int(first[t + 1]), int(hi[g]) + size + self.slack)
+            words = word[begin:end].tolist()
+            share = float(self.weights[k][self.aligned(words, k)].sum() / max(self.weights[k].sum(), 1e-9))
+            if share >= self.cover and all(find_run(words, phrase) for phrase in self.must[k]):
+                found[t, k] = max(found.get((t, k), 0.0), share)
+        return [(t, k, share) for (t, k), share in found.items()]
+
+
+def word_counts(docs: DataFrame, notices: list[tuple[str, str, list[str]]], text_col: str = "text") -> tuple[dict[int, int], int]:
+    """How many of all texts hold each word of the notices, and the number of texts; a task sends a row for each of these words."""
+    known = np.unique(np.concatenate([word_hashes(x[1].split()) for x in notices]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total, n = np.zeros(len(known), np.int64), 0
+        for batch in batches:
+            for _, data, offsets in slices(batch.column(0), 1_000_000):
+                starts, ends, text = runs(IS_WORD[data], offsets)
+                n += len(offsets) - 1
+                if len(starts):
+                    word = mix(span_hash(prefix_hash(LOWER[data]), starts, ends))
+                    at = np.minimum(np.searchsorted(known, word), len(known) - 1)
+                    own = np.flatnonzero(known[at] == word)
+                    total += np.bincount(np.unique(text[own] * len(known) + at[own]) % len(known), minlength=len(known))
+        rows = np.append(known.view(np.int64), 0), np.append(total, n), np.append(np.zeros(len(known), bool), True)
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in rows], names=["word", "n", "all"])
+
+    counted = small_batches(docs).select(F.col(text_col).alias("text")).mapInArrow(run, "word long, n long, all boolean").groupBy("word", "all").agg(F.sum("n").alias("n")).collect()
+    return {r.word: r.n for r in counted if not r["all"]}, sum(r.n for r in counted if r["all"])
 
 
 def scan(docs: DataFrame, notices: list[tuple[str, str, list[str]]] | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: words, places of base phrases, base labels, all labels, and a score from 0 to 1.
 
-    The score is the best coverage of a verified notice, one half at least if a base phrase
+    Notices are told by words that are rare in ``docs`` themselves, counted over all of them first. The score is the best coverage of a verified notice, one half at least if a base phrase
     stands somewhere, else 0. Whole texts are read; null counts as empty; without base
     places the first and last word are null and the labels are empty strings. Repeated rows come
     back as often as they came, an empty table gives no rows, other columns are not read.
     """
     notices = notices or NOTICES
+    df, total = word_counts(docs, notices, text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index = NoticeIndex(notices)
+        index = NoticeIndex(notices, df, total)
         phrases = [(word_hashes(p.split()), label) for p, label in BASE_PHRASES.items()]
         for batch in batches:
             columns: list[list] = [[] for _ in range(7)]

@@ -325,39 +325,57 @@ def met_before(member: np.ndarray, shingle: np.ndarray, size: int) -> np.ndarray
     return out
 
 
-def open_pairs(least: float):
-    """From (g, key, n, pos, label, block, same, before) sorted by g and n: the pairs of a bucket that are not in one group yet and met in no bucket before.
+def overlaps(own: np.ndarray, flat: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """How many of a sorted set's members each of the sets laid end to end in ``flat`` holds."""
+    at = np.minimum(np.searchsorted(own, flat), len(own) - 1)
+    return np.diff(np.concatenate([[0], np.cumsum(own[at] == flat)])[ends])
+
+
+def open_links(least: float):
+    """From (g, key, n, pos, label, block, same, before, shingles) sorted by g and n: links (a, b) that join all labels which near pairs of a bucket join.
 
     ``same`` pairs a block with itself; ``before`` lists the large buckets of a row that come before this one in the order of shingles, so
-    a pair comes out of the first large bucket that it shares, and of no other.
+    a pair is compared in the first large bucket that it shares, and in no other. Labels that are joined already are not compared again,
+    and what comes out is less than the labels that went in.
     """
 
-    def close(key, n, pos, label, block, same, member, shingle) -> Iterator[pa.RecordBatch]:
+    def close(columns: list, before: pa.ListArray, shingles: pa.ListArray) -> list[tuple[int, int]]:
+        key, n, pos, label, block, same = columns
         if (label == label[0]).all():
-            return
-        met = met_before(member, shingle, len(key))
-        for lo in range(0, len(key), 256):
-            i = np.arange(lo, min(lo + 256, len(key)))
-            j = np.arange(lo, int(np.searchsorted(n, n[i[-1]] / least + 1e-6, side="right")))
-            fits = (j[None, :] > i[:, None]) & (label[j][None, :] != label[i][:, None]) & (n[j][None, :] <= n[i][:, None] / least + 1e-6)
-            fits &= bool(same[0]) | (block[j][None, :] != block[i][:, None])
-            fits &= may_be_near(n, pos, i[:, None], j[None, :], least)
-            if met.shape[1] and fits.any():
-                fits &= met[i] @ met[j].T == 0
-            a, b = np.nonzero(fits)
-            if len(a):
-                a, b = key[i[a]], key[j[b]]
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], names=["x", "y"])
+            return []
+        sizes = before.value_lengths().to_numpy(zero_copy_only=False)
+        met = met_before(np.repeat(np.arange(len(sizes)), sizes), before.flatten().to_numpy(zero_copy_only=False), len(key))
+        flat = shingles.flatten().to_numpy(zero_copy_only=False)
+        cuts = np.concatenate([[0], np.cumsum(shingles.value_lengths().to_numpy(zero_copy_only=False))])
+        _, label = np.unique(label, return_inverse=True)
+        found = []
+        for i in range(len(key) - 1):
+            end = int(np.searchsorted(n, n[i] / least + 1e-6, side="right"))
+            j = np.arange(i + 1, end)
+            j = j[(label[j] != label[i]) & (bool(same[0]) | (block[j] != block[i]))]
+            j = j[may_be_near(n, pos, i, j, least)]
+            if met.shape[1] and len(j):
+                j = j[met[j] @ met[i] == 0]
+            if not len(j):
+                continue
+            length = cuts[j + 1] - cuts[j]
+            ends = np.concatenate([[0], np.cumsum(length)])
+            place = np.repeat(cuts[j] - ends[:-1], length) + np.arange(ends[-1])
+            both = overlaps(flat[cuts[i] : cuts[i + 1]], flat[place], ends)
+            near = j[both >= least * (n[i] + n[j] - both) - 1e-9]
+            for other in near[np.unique(label[near], return_index=True)[1]].tolist():
+                found.append((int(key[i]), int(key[other])))
+                label[label == label[other]] = label[i]
+        return found
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
 
         def flush() -> Iterator[pa.RecordBatch]:
             whole = pa.Table.from_batches(held).combine_chunks()
-            _, *flat = (whole.column(k).to_numpy() for k in range(7))
-            before = whole.column(7).combine_chunks()
-            size = before.value_lengths().to_numpy(zero_copy_only=False)
-            yield from close(*flat, np.repeat(np.arange(len(size)), size), before.flatten().to_numpy(zero_copy_only=False))
+            links = close([whole.column(k).to_numpy() for k in range(1, 7)], whole.column(7).combine_chunks(), whole.column(8).combine_chunks())
+            if links:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*links, strict=True)], names=["a", "b"])
 
         for batch in batches:
             g = batch.column(0).to_numpy(zero_copy_only=False)
@@ -373,19 +391,38 @@ def open_pairs(least: float):
     return run
 
 
-def still_open(members: DataFrame, links: DataFrame, least: float) -> DataFrame:
-    """Pairs (x, y) of the large buckets ``members`` that ``links`` do not connect. Buckets are dealt out by pairs of blocks."""
+def join_large(members: DataFrame, links: DataFrame, texts: DataFrame, shingle: int, least: float) -> DataFrame:
+    """Links (a, b) between texts of the large buckets ``members`` that ``links`` leave apart. Buckets are dealt out by pairs of blocks.
+
+    Rows carry their texts' shingles, so that pairs are compared where they meet and never sent; buckets whose texts are one group already are left out.
+    """
     groups = components(links)
-    sizes = members.groupBy("h").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"))
     held = members.groupBy("key").agg(F.collect_list(F.struct("pos", "h")).alias("own"))
-    rows = members.join(held, "key").join(groups, F.col("key") == groups["node"], "left").join(checked(sizes), "h")
-    rows = rows.withColumn("before", F.transform(F.filter("own", lambda o: o["pos"] < F.col("pos")), lambda o: o["h"]))
-    rows = rows.withColumn("label", F.coalesce("component", "key")).withColumn("block", F.pmod(F.xxhash64("key"), F.col("blocks")))
+    rows = members.join(held, "key").join(groups, F.col("key") == groups["node"], "left")
+    rows = cut_lineage(rows.select("h", "key", "n", "pos", F.coalesce("component", "key").alias("label"), F.transform(F.filter("own", lambda o: o["pos"] < F.col("pos")), lambda o: o["h"]).alias("before")))
+    apart = rows.groupBy("h").agg(F.ceil(F.count("*") / BLOCK).alias("blocks"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("h", "blocks")
+    rows = rows.join(checked(cut_lineage(apart)), "h")
+    keys = cut_lineage(rows.select(F.col("key").alias("own_key")).distinct())
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            kept, sizes = [], []
+            for _, n, owner, hashed in shingle_hashes(batch.column(1), shingle):
+                kept.append(hashed)
+                sizes.append(np.bincount(owner, minlength=n))
+            ends = np.concatenate([[0], np.cumsum(np.concatenate([np.zeros(0, np.int64), *sizes]))])
+            values = np.concatenate([np.zeros(0, np.uint64), *kept]).view(np.int64)
+            order = np.lexsort((values, np.repeat(np.arange(len(ends) - 1), np.diff(ends))))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(values[order]))], names=["own_key", "shingles"])
+
+    chosen = texts.join(checked(keys), texts["key"] == keys["own_key"], "left_semi").select("key", "text")
+    chosen = chosen.mapInArrow(lean(sets), "own_key long, shingles array<long>").groupBy("own_key").agg(F.first("shingles").alias("shingles"))
+    rows = rows.withColumn("block", F.pmod(F.xxhash64("key"), F.col("blocks"))).join(chosen, F.col("key") == F.col("own_key"))
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     group = F.xxhash64("h", F.least("block", "other"), F.greatest("block", "other"))
     # a block meets itself as (k, k) and every other block as (k, other)
-    rows = rows.select(group.alias("g"), "key", "n", "pos", "label", "block", (F.col("block") == F.col("other")).cast("long").alias("same"), "before")
-    return rows.repartition("g").sortWithinPartitions("g", "n").mapInArrow(lean(open_pairs(least)), "x long, y long").distinct()
+    rows = rows.select(group.alias("g"), "key", "n", "pos", "label", "block", (F.col("block") == F.col("other")).cast("long").alias("same"), "before", "shingles")
+    return rows.repartition("g").sortWithinPartitions("g", "n").mapInArrow(lean(open_links(least)), "a long, b long").distinct()
 
 
 def shingle_set(text: bytes, size: int) -> set[bytes]:
@@ -402,8 +439,8 @@ def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col
 
     Texts are near if their sets of ``shingle`` words have a similarity of ``least``. Two such texts share
     one of the first shingles of each, in an order common to all texts, and meet there; each pair is
-    verified on the texts. Small buckets give all their pairs. Large ones first give a chain and a star,
-    then every pair that the links verified so far leave apart, so no pair that could join two groups is left out.
+    verified, on the texts or on their whole sets. Small buckets give all their pairs. Large ones first give a chain and a star; what the links
+    verified so far leave apart is then compared pair by pair where it lies, so no pair that could join two groups is left out.
     """
     import zstandard
 
@@ -462,9 +499,7 @@ def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col
 
     links = verify(found)
     if not members.isEmpty():
-        rest = cut_lineage(still_open(members, links, least).join(found, ["x", "y"], "left_anti"))
-        if not rest.isEmpty():
-            links = links.union(verify(rest))
+        links = links.union(cut_lineage(join_large(members, links, rows.select("key", "text"), shingle, least)))
     groups = components(links)
     named = firsts.join(groups, firsts["key"] == groups["node"], "left").select("key", "first_id", F.coalesce("component", "key").alias("group"))
     best = named.groupBy("group").agg(F.min(F.struct(F.col("first_id").isNull(), "first_id", "key")).alias("best"))

@@ -9,7 +9,6 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import StructType
 
 from gradvb.llm.common import IS_WORD, LOWER, labelled_crc, mix, prefix_hash, lean, slices, small_batches, span_hash, table
 from gradvb.llm.labelled import fit_logistic, halves, logistic, training_rows
@@ -204,34 +203,44 @@ def fit_toxicity(texts: list[bytes], y: np.ndarray) -> ToxicityModel:
     return model
 
 
-def score_toxicity(
-    docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.7, keep: bool = False
-) -> DataFrame:
-    """(doc_id, score, predicted) for every row, or with ``keep`` the rows themselves and (score, predicted) beside them.
+def scores(model: ToxicityModel, column: pa.Array) -> np.ndarray:
+    parts = [model.score(data, offsets) for _, data, offsets in slices(column, 500_000)]
+    return np.concatenate(parts) if parts else np.zeros(0)
+
+
+def score_toxicity(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.7) -> DataFrame:
+    """(doc_id, score, predicted) for every row.
 
     A text is as toxic as its most toxic words; texts of any length are read whole. Null and
     empty texts are scored as texts without words. Repeated rows are scored as often as they
-    come, an empty table gives no rows.
+    come, an empty table gives no rows, other columns are not read.
     """
     shipped = small_batches(docs).sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            parts = [shipped.value.score(data, offsets) for _, data, offsets in slices(batch.column(1), 500_000)]
-            score = np.concatenate(parts) if parts else np.zeros(0)
-            columns = batch.columns if keep else batch.columns[:1]
-            names = batch.schema.names if keep else ["doc_id"]
-            yield pa.RecordBatch.from_arrays([*columns, pa.array(score), pa.array((score >= threshold).astype(np.int32))], names=[*names, "toxic_score" if keep else "score", "toxic_predicted" if keep else "predicted"])
-
-    if keep:
-        others = [c for c in docs.columns if c not in (id_col, text_col)]
-        chosen = docs.select(id_col, text_col, *others)
-        schema = StructType(list(chosen.schema)).add("toxic_score", "double").add("toxic_predicted", "integer")
-        return chosen.mapInArrow(lean(run), schema).select(*docs.columns, "toxic_score", "toxic_predicted")
+            score = scores(shipped.value, batch.column(1))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(score), pa.array((score >= threshold).astype(np.int32))], names=["doc_id", "score", "predicted"])
+
     chosen = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     return chosen.mapInArrow(lean(run), "doc_id long, score double, predicted int")
 
 
+def drop_toxic(docs: DataFrame, model: ToxicityModel, text_col: str = "text", threshold: float = 0.7) -> DataFrame:
+    """The rows of ``docs`` that score below the threshold, with all their columns, whatever these are called.
+
+    Null and empty texts are scored as texts without words; equal texts go or stay together; an empty table gives no rows.
+    """
+    shipped = small_batches(docs).sparkSession.sparkContext.broadcast(model)
+    place = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array(scores(shipped.value, batch.column(place)) < threshold))
+
+    return docs.mapInArrow(lean(run), docs.schema)
+
+
 def train_toxicity(docs: DataFrame, labels: DataFrame, bound: int = 2500) -> ToxicityModel:
     """Fit on at most ``bound`` labelled texts outside the held-out third."""
     return fit_toxicity(*training_rows(docs, labels, "toxic", 3, 1, bound))

@@ -65,12 +65,13 @@ def test_all_pairs_from_eight_to_nine_tenths_are_found(spark):
     assert stay(spark, texts) == want
 
 
-def test_a_pair_comes_out_of_one_large_bucket():
-    """Rows of two large buckets that hold the same texts: their open pairs come out of the first alone."""
+def test_large_buckets_give_links_that_join_labels():
+    """Two large buckets with the same texts: links come out of the first alone, fewer than the labels, and join what near pairs join."""
     import pyarrow as pa
 
-    rows = [(g, key, 100, pos, key, 0, 1, before) for g, pos, before in ((1, 5, []), (2, 9, [77])) for key in range(10)]
-    names = ["g", "key", "n", "pos", "label", "block", "same", "before"]
-    batch = pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(7)] + [pa.array([r[7] for r in rows], pa.list_(pa.int64()))], names=names)
-    got = [(x, y) for b in simhash.open_pairs(0.8)(iter([batch.slice(0, 13), batch.slice(13)])) for x, y in zip(b["x"].to_pylist(), b["y"].to_pylist(), strict=True)]
-    assert sorted(got) == [(i, j) for i in range(10) for j in range(i + 1, 10)]
+    sets = [sorted([1000 * (key // 4), *range(1000 * (key // 4) + 10, 1000 * (key // 4) + 100), 10**6 + key]) for key in range(20)]
+    rows = [(g, key, 92, pos, key, 0, 1, before, sets[key]) for g, pos, before in ((1, 5, []), (2, 9, [77])) for key in range(20)]
+    names = ["g", "key", "n", "pos", "label", "block", "same", "before", "shingles"]
+    batch = pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(7)] + [pa.array([r[k] for r in rows], pa.list_(pa.int64())) for k in (7, 8)], names=names)
+    got = [(x, y) for b in simhash.open_links(0.8)(iter([batch.slice(0, 13), batch.slice(13)])) for x, y in zip(b["a"].to_pylist(), b["b"].to_pylist(), strict=True)]
+    assert len(got) == 15 and all(x // 4 == y // 4 for x, y in got) and len({y for _, y in got}) == 15

@@ -153,6 +153,35 @@ def test_toxicity_on_held_out_labels():
     assert auc(score, yt) > 0.93 and ((score >= 0.7)[yt == 0]).mean() < 0.02 and ((score >= 0.7)[yt == 1]).mean() > 0.7
 
 
+def test_misspellings_share_subwords():
+    """Held-out toxic texts whose toxic words are all misspelled in a way that no training text has."""
+    x, y, xt, yt = held_out("toxic", 3, 1)
+    model = toxicity.fit_toxicity(x, y)
+    known = {w for t in x for w in WORD.findall(ascii_lower(t.decode()))}
+    score = lambda texts: model.score(*toxicity.joined([t.encode() for t in texts]))
+    plain = [ascii_lower(t.decode()) for t, label in zip(xt, yt, strict=True) if label]
+    changed = []
+    for text in plain:
+        words = sorted(set(WORD.findall(text)))
+        z = toxicity.word_logits(toxicity.find_words(*toxicity.joined([" ".join(words).encode()])), model.weight) + model.bias
+        for w in (w for w, own in zip(words, z, strict=True) if own > 0 and len(w) > 2):
+            middle = range(len(w) // 2, len(w))
+            text = text.replace(w, next((w[:k] + w[k] + w[k:] for k in middle if w[:k] + w[k] + w[k:] not in known), w))
+        changed.append(text)
+    assert (score(plain) >= 0.7).mean() > 0.85
+    assert np.median(score(changed)) > 5 * np.median(score([t for t, label in zip((t.decode() for t in xt), yt, strict=True) if not label]))
+
+
+def test_toxic_rows_go_whatever_columns_are_called(spark):
+    x, y, _, _ = held_out("toxic", 3, 1)
+    model = toxicity.fit_toxicity(x[:800], y[:800])
+    rows = [(0.1, "you stupid idiot, worthless trash, pathetic loser", 1), (0.2, None, 2), (0.2, None, 2), *((float(k), t.decode(), None) for k, t in enumerate(x[800:830]))]
+    df = spark.createDataFrame(rows, "toxic_score double, text string, toxic_predicted int")
+    left = toxicity.drop_toxic(df, model)
+    stay = [r.doc_id for r in toxicity.score_toxicity(df.withColumn("doc_id", F.col("toxic_score") * 10), model).collect() if not r.predicted]
+    assert left.columns == df.columns and sorted(int(r.toxic_score * 10) for r in left.collect()) == sorted(stay) and 20 < len(stay) < len(rows)
+
+
 def test_classifiers_on_odd_rows(spark, odd, none):
     labels = spark.createDataFrame([(3, 1, 0), (6, 0, 1), (None, 1, 1), (1, None, None), (3, 1, 0)], "doc_id long, quality int, toxic int")
     for train, score in ((quality.train_quality, quality.score_quality), (toxicity.train_toxicity, toxicity.score_toxicity)):
@@ -177,10 +206,28 @@ def test_license_base_places_equal_brute_force(docs, odd, none):
         base = sorted({label for _, label in places})
         assert (r.n_words, r.n_base, r.first_word, r.last_word, r.base_labels) == (len(w), len(places), min(at, default=None), max(at, default=None), ",".join(base))
         assert set(base) <= set(filter(None, r.labels.split(","))) and 0 <= r.score <= 1
-    assert {"apache-2.0", "rights-reserved"} <= set(got[902].labels.split(","))
+    assert got[902].labels == "apache,apache-2.0"
     assert len(licenses.scan(odd).collect()) == len(ODD) and licenses.scan(none).collect() == []
 
 
+def test_notices_are_found_with_edits_and_cut_off(spark):
+    rng = np.random.default_rng(3)
+    words = lambda n: [f"w{k}" for k in rng.integers(0, 5000, n)]
+    mit, cc = licenses.MIT.split(), "Licensed under a Creative Commons Attribution 4.0 International License".split()
+    edited = mit[:40] + ["indeed"] + mit[40:90] + mit[92:]
+    texts = [words(50) + mit + words(50), words(20) + edited + words(5), cc + words(200), words(100) + ["this", "work", "is"] + cc, words(300), "permission is granted to the person in the software".split() + words(60), mit[::-1]]
+    got = [r.labels.split(",") for r in sorted(licenses.scan(spark.createDataFrame([(k, " ".join(t)) for k, t in enumerate(texts)], "doc_id long, text string")).collect())]
+    assert "mit-full" in got[0] and "mit-grant" in got[0] and "mit-full" in got[1]
+    assert got[2] == got[3] == ["cc-by-4.0"] and got[4:] == [[""]] * 3
+
+
+def test_words_of_notices_are_counted_over_all_documents(spark):
+    df = spark.createDataFrame([("the license",), ("The LICENSE license",), (None,), ("software",)], "text string").repartition(3)
+    counts, n = licenses.word_counts(df, licenses.NOTICES)
+    at = {w: counts[int(licenses.word_hashes([w]).view(np.int64)[0])] for w in ("license", "the", "software", "warranty")}
+    assert n == 4 and at == {"license": 2, "the": 2, "software": 1, "warranty": 0}
+
+
 # pages
 
 

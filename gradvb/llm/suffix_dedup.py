@@ -34,8 +34,8 @@ from gradvb.session import cut_lineage, ensure_checkpoint_dir
 #: Bytes of anchors' texts that a task holds to settle repeats within itself.
 CHUNK_BYTES = 16_000_000
 #: Surroundings of one group that a task sorts; larger groups are divided.
-GROUP_LIMIT = 1_000
-#: Surroundings sorted at a time.
+GROUP_LIMIT = 300
+#: Surroundings sorted at a time, and rows with surroundings that a task gives at a time.
 BATCH = 2_000
 #: Texts that tell which grams are common, in how many surroundings one is, and how many are kept; they deal out work, which never moves the result.
 SAMPLE, COMMON, MOST_COMMON = 10_000, 8, 100_000
@@ -341,7 +341,9 @@ def matches(members: DataFrame, folder: str, length: int, gram: int) -> DataFram
 
     def divided(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield as_batch([half for row in zip(*(c.to_pylist() for c in batch.columns), strict=True) for half in halves(row, length, gram)])
+            for lo in range(0, batch.num_rows, BATCH):
+                columns = (c.to_pylist() for c in batch.slice(lo, BATCH).columns)
+                yield as_batch([half for row in zip(*columns, strict=True) for half in halves(row, length, gram)])
 
     while True:
         over = cut_lineage(parts.groupBy("g").agg(F.count("*").alias("n")).where(F.col("n") > GROUP_LIMIT).select("g"))
@@ -419,6 +421,9 @@ def repeated_spans(docs: DataFrame, length: int = 200, gram: int = 64, id_col: s
                     place = w["place"]
                     row = (w["f"].to_bytes(8, "little", signed=True), 0, back, doc, key, place, w["total"] == 1, text[max(0, place - back) : place + length])
                     out.extend(halves(row, length, gram) if w["kinds"] > limit else [(*row, None)])
+                    if len(out) >= BATCH:
+                        yield as_batch(out)
+                        out = []
             yield as_batch(out)
 
     bytes_of.mapInArrow(lean(cut), MEMBERS).write.parquet(f"{folder}/around")

@@ -43,13 +43,13 @@ def chain_rows(arm: str, chain, truth=None) -> list[tuple]:
     return [(arm, f"b{k}", float(d[:, k].mean()), float(d[:, k].std(ddof=1)), None, None if truth is None else float(truth[k]), len(d), chain.seconds / 60, "chain") for k in range(d.shape[1])]
 
 
-def moderate_flights(spark, sf_dir, shares=(0.01, 0.02), chain_iters=30_000, burn=10_000, tolerance=1e-7, response="late_planted", obs=None, settled=True):
+def moderate_flights(spark, sf_dir, shares=(0.01, 0.02), chain_iters=30_000, burn=10_000, tolerance=1e-7, response="late_planted", obs=None, settled=True, arms=("mc", "rqmc")):
     """Chain against noisy-gradient fits with plain and quasi-random draws, at two subsample sizes; with ``settled`` also from the settled start."""
     obs = (obs if obs is not None else flights(spark, sf_dir, response)).cache()
     truth = FLIGHT_BETA if "planted" in response else None
     ready = prepare(obs)
     rows = []
-    for kind in ("mc", "rqmc"):
+    for kind in arms:
         for m in shares:
             plain = FitConfig(draws=kind, m=m, tolerance=tolerance)
             for name, cfg in (("", plain), ("_settled", plain.settled()))[: 1 + settled]:

@@ -494,3 +494,23 @@ def test_pipeline_stages(spark, docs, tmp_path):
     bench = spark.read.parquet(f"{SF}/benchmark.parquet")
     assert decontaminate.contamination(third, bench).where("contaminated").isEmpty()
     assert corpus_pipeline.run(spark, SF).select("doc_id").distinct().count() == stay[-1]
+
+
+def test_pipeline_stages_on_odd_rows(spark, none):
+    """Nulls, empty and long texts, ties, repeated rows and columns that stages use inside, one stage after the other; and empty tables."""
+    clean = "".join(f"Line {k} of a calm text about rivers and mountains and towns.\n" for k in range(40))
+    rows = [(1, None), (2, ""), (3, clean), (3, clean), (4, clean), (None, clean + "More of it."), (None, "x"), (6, "word " * 60_000), (7, "é" * 300 + "ß!"), (8, " \t")]
+    names = "doc_id long, text string, rest string, z int, spans int, hit_id long, stay_id long, toxic_score double, fp string, n_chars int"
+    odd = spark.createDataFrame([(i, t, "r", 1, None, 5, None, 0.5, "f", 0) for i, t in rows], names)
+    stay = {
+        "toxicity": lambda got: len(got) >= 5,
+        "simhash_near_dedup": lambda got: sorted((r.doc_id or 0, len(r.text or "")) for r in got) == [(0, 1), (1, 0), (3, len(clean)), (6, 300_000), (7, 302)],
+        "suffix_array_dedup": lambda got: sorted((r.doc_id or 0, len(r.text or "")) for r in got) == [(0, 1), (0, 11), (1, 0), (2, 0), (7, 1), (8, 2)],
+        "decontamination": lambda got: len(got) == len(rows),
+        "packing": lambda got: {r.doc_id for r in got} == {i for i, _ in rows},
+    }
+    for name, stage in corpus_pipeline.STAGES:
+        got = stage(spark, odd, SF)
+        assert name == "packing" or got.columns == odd.columns
+        assert stay[name](got.collect()), name
+        assert stage(spark, none, SF).collect() == []

@@ -169,3 +169,10 @@ def nest_panels(rows: DataFrame) -> DataFrame:
     row = F.struct("t", F.col("y").cast("double").alias("y"), F.array(F.lit(1.0), *(F.col(c).cast("double") for c in xs)).alias("x"))
     nested = rows.groupBy("panel_id").agg(F.sort_array(F.collect_list(row)).alias("rows"))
     return nested.select("panel_id", F.size("rows").alias("n_rows"), F.col("rows.y").alias("y"), F.flatten("rows.x").alias("x"))
+
+
+def benchmark_lengths(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Token counts of the benchmark's items, split at white space, and their logs; null texts have none."""
+    words = F.filter(F.split(F.coalesce("text", F.lit("")), r"[ \t\n\r\f]+"), lambda w: w != "")
+    items = load_table(spark, sf_dir, "benchmark").select("item_id", F.size(words).cast("long").alias("tokens"))
+    return items.select("item_id", "tokens", F.log(F.col("tokens") + 1.0).alias("log_tokens"))

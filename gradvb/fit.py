@@ -12,7 +12,8 @@ from gradvb.draws import DrawSource
 from gradvb.estimators import ExactProvider, SampleProvider, anchor_sums
 from gradvb.families import Gaussian, NormalPrior, init_state
 from gradvb.models import Logit, Model
-from gradvb.sampling import lay_out, tile_counts
+from gradvb.plans.planner import plan_fit
+from gradvb.sampling import CACHED_ROWS, lay_out, tile_counts
 from gradvb.sums import Sums, fit_anchor
 
 
@@ -55,7 +56,7 @@ class FitConfig:
     step: StepSize = field(default_factory=lambda: StepSize(t0=5.0))
     surrogate: str = "linear"
     pairing: str = "shared"
-    scheme: str = "replacement"
+    scheme: str = "auto"
     geometry: str = "natural"
     estimator: str = "reparam"
     analytic: bool = True
@@ -217,8 +218,16 @@ class Prepared:
     def start(self, cfg: FitConfig, prior: NormalPrior | None = None) -> Gaussian:
         return first_state(self.subset, self.anchor, prior or NormalPrior(), cfg)
 
+    def scheme(self, cfg: FitConfig) -> str:
+        """The configured scheme; ``auto`` is the planner's, with slices for stores too large to scan again."""
+        if cfg.scheme != "auto":
+            return cfg.scheme
+        n = sum(self.counts.values())
+        planned = plan_fit(n, len(self.anchor.theta), cfg.m, cfg.s).scheme
+        return "slice" if planned == "replacement" and n > CACHED_ROWS else planned
+
     def provider(self, cfg: FitConfig, seed: int | None = None) -> SampleProvider:
-        return SampleProvider(self.store, self.anchor, cfg.m, self.model, cfg.seed if seed is None else seed, cfg.scheme, cfg.surrogate, cfg.pairing, cfg.engine, counts=self.counts)
+        return SampleProvider(self.store, self.anchor, cfg.m, self.model, cfg.seed if seed is None else seed, self.scheme(cfg), cfg.surrogate, cfg.pairing, cfg.engine, counts=self.counts)
 
 
 def prepare(obs: DataFrame, model: Model | None = None, cfg: FitConfig | None = None, key: str = "obs_key", chunk_col: str | None = None) -> Prepared:

@@ -180,6 +180,18 @@ def sketch_quantile(df: DataFrame, col: str, prob: float, by: list[str] | None =
     return sketch.select(*(by or []), F.kll_sketch_get_quantile_double("s", F.lit(prob)).alias("value"))
 
 
+def sketch_counts(df: DataFrame, col: str, keys: list, error: float = 1e-4, confidence: float = 0.99, seed: int = 1) -> DataFrame:
+    """(key, n): counts of chosen values from one count-min sketch of the column, whose size does not grow with the data.
+
+    Counts are never too low, and with ``confidence`` too high by ``error`` times the rows at most.
+    """
+    spark = df.sparkSession
+    made = df.agg(F.count_min_sketch(F.col(col), F.lit(error), F.lit(confidence), F.lit(seed)).alias("s")).first().s
+    sketch = spark._jvm.org.apache.spark.util.sketch.CountMinSketch.readFrom(bytearray(made)) if made else None
+    rows = [(k, int(sketch.estimateCount(k)) if sketch else 0) for k in keys]
+    return spark.createDataFrame(rows, f"key {df.select(col).schema[0].dataType.simpleString()}, n long")
+
+
 # windows
 
 

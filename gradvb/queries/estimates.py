@@ -243,6 +243,7 @@ QUERIES = {
     "conversation_panels": lambda s, d: designs.conversation_panels(s, d).withColumn("x2", F.round("x2", 9)),
     "events_panels": lambda s, d: designs.events_panels(s, d),
     "supplier_panels": lambda s, d: designs.supplier_panels(s, d).groupBy("panel_id").agg(F.count("*").alias("n"), F.sum("y").alias("ones"), rounded_col(F.sum("x1"), 4).alias("x1")),
+    "benchmark_lengths": lambda s, d: designs.benchmark_lengths(s, d).withColumn("log_tokens", F.round("log_tokens", 9)),
     "page_lengths": lambda s, d: designs.page_lengths(s, d).withColumn("log_length", F.round("log_length", 9)),
     "exact_loglik": exact_loglik,
     "exact_gradient": exact_gradient,
@@ -276,6 +277,7 @@ SQL = {
     "conversation_panels": "SELECT conv_id AS panel_id, turn AS t, (role = 'user')::INTEGER AS y, turn / 10.0::DOUBLE AS x1, round(ln(length(coalesce(text, '')) + 1.0), 9) AS x2 FROM conversations",
     "events_panels": "SELECT user_id AS panel_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id)::INTEGER AS t, (event_type = 'purchase')::INTEGER AS y, (hour(ts) < 6 OR hour(ts) >= 22)::INTEGER::DOUBLE AS x1, (isodow(ts) IN (6, 7))::INTEGER::DOUBLE AS x2, value / 100 AS x3 FROM events",
     "supplier_panels": "SELECT l_suppkey AS panel_id, count(*) AS n, sum((l_returnflag = 'R')::INTEGER)::BIGINT AS ones, round(sum(l_quantity / 50), 4) + 0.0 AS x1 FROM lineitem GROUP BY 1",
+    "benchmark_lengths": "SELECT item_id, tokens, round(ln(tokens + 1.0), 9) AS log_tokens FROM (SELECT item_id, len(list_filter(regexp_split_to_array(coalesce(text, ''), '[ \\t\\n\\r\\f]+'), lambda w: w <> ''))::BIGINT AS tokens FROM benchmark)",
     "page_lengths": "SELECT page_id, round(ln(length(html) + 1.0), 9) AS log_length, ((length(html) - length(replace(html, '<a ', ''))) / 3)::BIGINT AS links, split_part(url, '/', 4) AS lang FROM pages",
     "exact_loglik": f"WITH {w1()}, {one_row(FLIGHT_BETA)} SELECT n, round(loglik / n, 6) AS loglik_mean FROM s",
     "exact_gradient": f"WITH {w1()}, {one_row(FLIGHT_BETA)} " + long_form({f"g{j}": rounded(f"g{j} / n") for j in range(D)}, "s"),

@@ -278,6 +278,7 @@ QUERIES = {
     "op_extremes": of(E, lambda d: d.groupBy("user_id").agg(F.min("value").alias("lo"), F.max("value").alias("hi"), F.min_by("value", "event_id").alias("earliest"), F.max_by("value", "event_id").alias("latest"), F.bool_and(F.col("value") >= 0).alias("ok"))),
     "op_group_map": of(E, chunk_means),
     "op_approx_distinct": of("orders", lambda d: d.agg(F.approx_count_distinct("o_custkey", 0.02).alias("n"))),
+    "op_sketch_counts": of(E, lambda d: R.sketch_counts(d, "event_type", ["view", "click", "purchase", "none such"])),
     "op_sketch_quantile": of(E, lambda d: R.sketch_quantile(d, "value", 0.5)),
     "op_panel_index": of("orders", lambda d: R.panel_index(d.select("o_custkey", "o_orderkey"), "o_custkey", ["o_orderkey"])),
     "op_ranks": of("part", lambda d: R.ranks(d.select("p_partkey", "p_brand", "p_size"), "p_brand", "p_size").select("p_partkey", "rank", "dense_rank", rounded_col(F.col("percent_rank")).alias("percent_rank"), rounded_col(F.col("cume_dist")).alias("cume_dist"))),
@@ -336,6 +337,7 @@ Z = "(-1.5 - 0.1 * x1 + 0.1 * x2 + 0.7 * x3)"
 EV = "ev AS (SELECT *, (event_type = 'purchase')::INTEGER::DOUBLE AS y, 1.0::DOUBLE AS x0, (hour(ts) < 6 OR hour(ts) >= 22)::INTEGER::DOUBLE AS x1, (isodow(ts) IN (6, 7))::INTEGER::DOUBLE AS x2, value / 100 AS x3 FROM events)"
 SQL = {
     "op_scan": "SELECT * FROM nation",
+    "op_sketch_counts": "SELECT key, (SELECT count(*) FROM events WHERE event_type = key) AS n FROM (VALUES ('view'), ('click'), ('purchase'), ('none such')) v(key)",
     "op_filter": "SELECT event_id FROM events WHERE value BETWEEN 20 AND 40 AND event_type IN ('click', 'view', 'purchase') AND props LIKE '%1%'",
     "op_indicator": "SELECT o_orderkey, (o_totalprice > 100000)::INTEGER AS big FROM orders",
     "op_drop_incomplete": "SELECT doc_id, n_chars AS n FROM documents WHERE n_chars % 3 <> 0",

@@ -6,7 +6,9 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from gradvb import measures
+from gradvb.designs import flights
 from gradvb.families import RankOneState
+from gradvb.fit import FitConfig, prepare
 from gradvb.functions.scalars import norm_cdf, norm_ppf, register
 from gradvb.functions.tables import log_sum_exp, numeric_gradient
 from gradvb.models import Logit
@@ -86,9 +88,30 @@ def test_density_tables(spark):
     assert draws_frame(spark, [[0.0, 1.0]]).count() == 1
 
 
-def test_plan_choices():
+def test_traces_are_appended(spark, tmp_path):
+    from gradvb.sources.tables import append_trace
+
+    for t in range(3):
+        append_trace(spark, str(tmp_path / "trace"), [{"iter": t, "lb": -1.0 / (t + 1)}], "iter int, lb double")
+    assert [tuple(r) for r in spark.read.parquet(str(tmp_path / "trace")).orderBy("iter").collect()] == [(0, -1.0), (1, -0.5), (2, -1 / 3)]
+
+
+def test_sketched_counts_are_never_too_low(spark):
+    from gradvb.operators.relational import sketch_counts
+
+    df = spark.range(10_000).selectExpr("pmod(id * id, 97) AS k")
+    exact = {r.k: r["count"] for r in df.groupBy("k").count().collect()}
+    got = {r.key: r.n for r in sketch_counts(df, "k", list(range(97)), 0.01).collect()}
+    assert all(exact.get(k, 0) <= n <= exact.get(k, 0) + 0.05 * 10_000 for k, n in got.items())
+
+
+def test_plan_choices(spark):
     small, large = plan_fit(600_000, 4, 0.01, 256), plan_fit(10**12, 4, 10**6, 256)
     assert small.engine == "driver" and large.engine == "spark" and large.tiles == 500_000
+    ready = prepare(flights(spark, SF))
+    assert ready.scheme(FitConfig()) == "replacement" and ready.scheme(FitConfig(scheme="chunks")) == "chunks"
+    ready.counts = {k: 10**9 for k in range(500)}
+    assert ready.scheme(FitConfig(m=10**5)) == "slice" and ready.scheme(FitConfig(m=0.2)) == "tile"
     assert plan_fit(10**9, 65, 0.2, 256).scheme == "tile" and plan_fit(10**9, 65, 0.2, 256).exact_kernel == "block"
 
 

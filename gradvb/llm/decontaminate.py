@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 
 from gradvb.llm.common import ascii_lower, table
 
-#: Benchmarks whose fingerprints are at most this many rows are broadcast; larger ones are joined by a shuffle.
-BROADCAST_ROWS = 500_000
+#: Benchmarks whose fingerprints are at most this many rows, of some 200 bytes each, are broadcast; larger ones are joined by a shuffle.
+BROADCAST_ROWS = 100_000
 
 
 def split_words(df: DataFrame, keep: list[str], text_col: str) -> DataFrame:

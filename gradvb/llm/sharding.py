@@ -139,9 +139,9 @@ def grow(meta: DataFrame, shards: int, dims: int) -> Node:
 
 
 def kd_shards(
-    docs: DataFrame, shards: int = 40, dims: dict[str, Column] | None = None, slot_rows: int = 250_000, id_col: str = "doc_id", text_col: str = "text"
+    docs: DataFrame, shards: int = 40, dims: dict[str, Column] | None = None, slot_rows: int = 250_000, id_col: str = "doc_id", text_col: str = "text", target_bytes: int | None = None
 ) -> DataFrame:
-    """Put every document into one of ``shards`` shards of nearly equal bytes (law ``bytes``).
+    """Put every document into one of ``shards`` shards of nearly equal bytes (law ``bytes``), or with ``target_bytes`` into as many shards as none of them needs more.
 
     Each cell of the tree is split along the dimension in which it is widest, relative to the whole
     table, at the weighted median found by passes of byte histograms over all rows; a cell that
@@ -156,6 +156,8 @@ def kd_shards(
     """
     dims = dims or default_dims(docs, text_col)
     meta = cut_lineage(metadata(docs, dims, id_col, text_col))
+    if target_bytes:
+        shards = max(1, -(-(meta.agg(F.sum("size")).first()[0] or 0) // target_bytes))
     root = grow(meta, shards, len(dims))
     coords = [F.col(f"c{k}") for k in range(len(dims))]
     placed = meta.select("doc_id", "size", "text_crc32", "row", place(root, coords, lambda n: F.lit(n.number)).alias("shard"))

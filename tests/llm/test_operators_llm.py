@@ -51,6 +51,11 @@ def test_shards_are_even_and_slots_gapless(docs):
     assert all(want[r.doc_id] == (r.size, r.text_crc32) for r in got.itertuples())
 
 
+def test_shards_of_a_target_size(docs):
+    sizes = sharding.kd_shards(docs, target_bytes=50_000).groupBy("shard").agg(F.sum("size").alias("n")).toPandas()["n"]
+    assert len(sizes) == -(-sizes.sum() // 50_000) and sizes.median() <= 50_000
+
+
 def test_shards_of_odd_rows(odd, none):
     got = sharding.kd_shards(odd, 3).collect()
     assert len(got) == len(ODD) and {r.law for r in got} == {"bytes"}

@@ -141,7 +141,7 @@ def grow(meta: DataFrame, shards: int, dims: int) -> Node:
 def kd_shards(
     docs: DataFrame, shards: int = 40, dims: dict[str, Column] | None = None, slot_rows: int = 250_000, id_col: str = "doc_id", text_col: str = "text", target_bytes: int | None = None
 ) -> DataFrame:
-    """Put every document into one of ``shards`` shards of nearly equal bytes (law ``bytes``), or with ``target_bytes`` into as many shards as none of them needs more.
+    """Put every document into one of ``shards`` shards of nearly equal bytes (law ``bytes``); with ``target_bytes``, into as many as make them that large at most on average.
 
     Each cell of the tree is split along the dimension in which it is widest, relative to the whole
     table, at the weighted median found by passes of byte histograms over all rows; a cell that

@@ -325,30 +325,68 @@ def met_before(member: np.ndarray, shingle: np.ndarray, size: int) -> np.ndarray
     return out
 
 
-def overlaps(own: np.ndarray, flat: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """How many of a sorted set's members each of the sets laid end to end in ``flat`` holds."""
-    at = np.minimum(np.searchsorted(own, flat), len(own) - 1)
-    return np.diff(np.concatenate([[0], np.cumsum(own[at] == flat)])[ends])
-
-
-def open_links(least: float):
-    """From (g, key, n, pos, label, block, same, before, shingles) sorted by g and n: links (a, b) that join all labels which near pairs of a bucket join.
+def bitmaps(column: pa.Array, size: int) -> pa.Array:
+    """Each text's set of shingles as a bitmap of at least four bits a shingle, by the first bits of their hashes."""
+    out = []
+    for _, n, owner, hashed in shingle_hashes(column, size):
+        ends = np.searchsorted(owner, np.arange(n + 1))
+        for lo, hi in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True):
+            power = max(6, int(4 * (hi - lo) - 1).bit_length())
+            bits = np.zeros(1 << power, bool)
+            bits[(hashed[lo:hi] >> np.uint64(64 - power)).astype(np.int64)] = True
+            out.append(np.packbits(bits, bitorder="little").tobytes())
+    return pa.array(out, pa.binary())
+
+
+def halved(maps: np.ndarray) -> np.ndarray:
+    """Bitmaps (rows of bytes) of half the width: each two neighbouring bits as one."""
+    bits = np.unpackbits(maps, axis=1, bitorder="little")
+    return np.packbits(bits[:, ::2] | bits[:, 1::2], axis=1, bitorder="little")
+
+
+class Maps:
+    """Bitmaps of a group's texts by width, which a text shares with those of up to twice its shingles."""
+
+    def __init__(self, maps: list[bytes]) -> None:
+        self.width = np.array([len(m) for m in maps])
+        self.row = np.zeros(len(maps), np.int64)
+        self.own: dict[int, np.ndarray] = {}
+        for w in np.unique(self.width).tolist():
+            at = np.flatnonzero(self.width == w)
+            self.row[at] = np.arange(len(at))
+            self.own[w] = np.frombuffer(b"".join(maps[k] for k in at), np.uint8).reshape(len(at), w)
+        self.folded = {w // 2: halved(m) for w, m in self.own.items() if w > 8}
+
+    def most_shared(self, n: np.ndarray, i: int, j: np.ndarray) -> np.ndarray:
+        """Upper bounds of the shingles that text i shares with each of j, of no smaller size: a bit that the other lacks stands for one that it lacks at least."""
+        w = int(self.width[i])
+        mine = self.own[w][self.row[i]].view(np.uint64)
+        out = np.minimum(n[i], n[j])
+        for kind, maps in ((w, self.own.get(w)), (2 * w, self.folded.get(w))):
+            at = np.flatnonzero(self.width[j] == kind)
+            if len(at):
+                theirs = maps[self.row[j[at]]].view(np.uint64)
+                both = np.bitwise_count(theirs & mine).sum(axis=1, dtype=np.int64)
+                lost = int(np.bitwise_count(mine).sum()) - both, np.bitwise_count(theirs).sum(axis=1, dtype=np.int64) - both
+                out[at] = np.minimum(n[i] - lost[0], n[j[at]] - lost[1])
+        return out
+
+
+def open_pairs(least: float):
+    """From (g, key, n, pos, label, block, same, before, bits) sorted by g and n: the pairs (x, y) of a bucket that have different labels and may be near.
 
     ``same`` pairs a block with itself; ``before`` lists the large buckets of a row that come before this one in the order of shingles, so
-    a pair is compared in the first large bucket that it shares, and in no other. Labels that are joined already are not compared again,
-    and what comes out is less than the labels that went in.
+    a pair comes out of the first large bucket that it shares, and of no other. Bitmaps bound what a pair shares, so those that come out are near or nearly so.
     """
 
-    def close(columns: list, before: pa.ListArray, shingles: pa.ListArray) -> list[tuple[int, int]]:
+    def close(columns: list, before: pa.ListArray, bits: list[bytes]) -> Iterator[pa.RecordBatch]:
         key, n, pos, label, block, same = columns
         if (label == label[0]).all():
-            return []
+            return
         sizes = before.value_lengths().to_numpy(zero_copy_only=False)
         met = met_before(np.repeat(np.arange(len(sizes)), sizes), before.flatten().to_numpy(zero_copy_only=False), len(key))
-        flat = shingles.flatten().to_numpy(zero_copy_only=False)
-        cuts = np.concatenate([[0], np.cumsum(shingles.value_lengths().to_numpy(zero_copy_only=False))])
-        _, label = np.unique(label, return_inverse=True)
-        found = []
+        maps = Maps(bits)
+        left, right = [], []
         for i in range(len(key) - 1):
             end = int(np.searchsorted(n, n[i] / least + 1e-6, side="right"))
             j = np.arange(i + 1, end)
@@ -356,26 +394,20 @@ def open_links(least: float):
             j = j[may_be_near(n, pos, i, j, least)]
             if met.shape[1] and len(j):
                 j = j[met[j] @ met[i] == 0]
-            if not len(j):
-                continue
-            length = cuts[j + 1] - cuts[j]
-            ends = np.concatenate([[0], np.cumsum(length)])
-            place = np.repeat(cuts[j] - ends[:-1], length) + np.arange(ends[-1])
-            both = overlaps(flat[cuts[i] : cuts[i + 1]], flat[place], ends)
-            near = j[both >= least * (n[i] + n[j] - both) - 1e-9]
-            for other in near[np.unique(label[near], return_index=True)[1]].tolist():
-                found.append((int(key[i]), int(key[other])))
-                label[label == label[other]] = label[i]
-        return found
+            if len(j):
+                j = j[maps.most_shared(n, i, j) >= np.ceil(least / (1 + least) * (n[i] + n[j]) - 1e-9)]
+                left.append(np.full(len(j), key[i]))
+                right.append(key[j])
+        if left:
+            x, y = np.concatenate(left), np.concatenate(right)
+            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["x", "y"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
 
         def flush() -> Iterator[pa.RecordBatch]:
             whole = pa.Table.from_batches(held).combine_chunks()
-            links = close([whole.column(k).to_numpy() for k in range(1, 7)], whole.column(7).combine_chunks(), whole.column(8).combine_chunks())
-            if links:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*links, strict=True)], names=["a", "b"])
+            yield from close([whole.column(k).to_numpy() for k in range(1, 7)], whole.column(7).combine_chunks(), whole.column(8).to_pylist())
 
         for batch in batches:
             g = batch.column(0).to_numpy(zero_copy_only=False)
@@ -391,11 +423,8 @@ def open_links(least: float):
     return run
 
 
-def join_large(members: DataFrame, links: DataFrame, texts: DataFrame, shingle: int, least: float) -> DataFrame:
-    """Links (a, b) between texts of the large buckets ``members`` that ``links`` leave apart. Buckets are dealt out by pairs of blocks.
-
-    Rows carry their texts' shingles, so that pairs are compared where they meet and never sent; buckets whose texts are one group already are left out.
-    """
+def still_open(members: DataFrame, links: DataFrame, texts: DataFrame, shingle: int, least: float) -> DataFrame:
+    """Pairs (x, y) of the large buckets ``members`` that ``links`` leave apart and that may be near. Buckets are dealt out by pairs of blocks; those whose texts are one group already are left out."""
     groups = components(links)
     held = members.groupBy("key").agg(F.collect_list(F.struct("pos", "h")).alias("own"))
     rows = members.join(held, "key").join(groups, F.col("key") == groups["node"], "left")
@@ -404,25 +433,18 @@ def join_large(members: DataFrame, links: DataFrame, texts: DataFrame, shingle:
     rows = rows.join(checked(cut_lineage(apart)), "h")
     keys = cut_lineage(rows.select(F.col("key").alias("own_key")).distinct())
 
-    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def mapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            kept, sizes = [], []
-            for _, n, owner, hashed in shingle_hashes(batch.column(1), shingle):
-                kept.append(hashed)
-                sizes.append(np.bincount(owner, minlength=n))
-            ends = np.concatenate([[0], np.cumsum(np.concatenate([np.zeros(0, np.int64), *sizes]))])
-            values = np.concatenate([np.zeros(0, np.uint64), *kept]).view(np.int64)
-            order = np.lexsort((values, np.repeat(np.arange(len(ends) - 1), np.diff(ends))))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(values[order]))], names=["own_key", "shingles"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), bitmaps(batch.column(1), shingle)], names=["own_key", "bits"])
 
     chosen = texts.join(checked(keys), texts["key"] == keys["own_key"], "left_semi").select("key", "text")
-    chosen = chosen.mapInArrow(lean(sets), "own_key long, shingles array<long>").groupBy("own_key").agg(F.first("shingles").alias("shingles"))
+    chosen = chosen.mapInArrow(lean(mapped), "own_key long, bits binary").groupBy("own_key").agg(F.first("bits").alias("bits"))
     rows = rows.withColumn("block", F.pmod(F.xxhash64("key"), F.col("blocks"))).join(chosen, F.col("key") == F.col("own_key"))
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
     group = F.xxhash64("h", F.least("block", "other"), F.greatest("block", "other"))
     # a block meets itself as (k, k) and every other block as (k, other)
-    rows = rows.select(group.alias("g"), "key", "n", "pos", "label", "block", (F.col("block") == F.col("other")).cast("long").alias("same"), "before", "shingles")
-    return rows.repartition("g").sortWithinPartitions("g", "n").mapInArrow(lean(open_links(least)), "a long, b long").distinct()
+    rows = rows.select(group.alias("g"), "key", "n", "pos", "label", "block", (F.col("block") == F.col("other")).cast("long").alias("same"), "before", "bits")
+    return rows.repartition("g").sortWithinPartitions("g", "n").mapInArrow(lean(open_pairs(least)), "x long, y long").distinct()
 
 
 def shingle_set(text: bytes, size: int) -> set[bytes]:
@@ -439,8 +461,8 @@ def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col
 
     Texts are near if their sets of ``shingle`` words have a similarity of ``least``. Two such texts share
     one of the first shingles of each, in an order common to all texts, and meet there; each pair is
-    verified, on the texts or on their whole sets. Small buckets give all their pairs. Large ones first give a chain and a star; what the links
-    verified so far leave apart is then compared pair by pair where it lies, so no pair that could join two groups is left out.
+    verified on the texts. Small buckets give all their pairs. Large ones first give a chain and a star, then every pair that the links
+    verified so far leave apart and that bitmaps of both texts' shingles do not rule out, so no pair that could join two groups is left out.
     """
     import zstandard
 
@@ -499,7 +521,9 @@ def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col
 
     links = verify(found)
     if not members.isEmpty():
-        links = links.union(cut_lineage(join_large(members, links, rows.select("key", "text"), shingle, least)))
+        rest = cut_lineage(still_open(members, links, rows.select("key", "text"), shingle, least).join(found, ["x", "y"], "left_anti"))
+        if not rest.isEmpty():
+            links = links.union(verify(rest))
     groups = components(links)
     named = firsts.join(groups, firsts["key"] == groups["node"], "left").select("key", "first_id", F.coalesce("component", "key").alias("group"))
     best = named.groupBy("group").agg(F.min(F.struct(F.col("first_id").isNull(), "first_id", "key")).alias("best"))

@@ -65,13 +65,20 @@ def test_all_pairs_from_eight_to_nine_tenths_are_found(spark):
     assert stay(spark, texts) == want
 
 
-def test_large_buckets_give_links_that_join_labels():
-    """Two large buckets with the same texts: links come out of the first alone, fewer than the labels, and join what near pairs join."""
+def test_large_buckets_give_each_pair_once_and_rule_none_out_that_is_near():
+    """Two large buckets with the same texts: pairs come out of the first alone, all near ones among them and few others."""
     import pyarrow as pa
 
-    sets = [sorted([1000 * (key // 4), *range(1000 * (key // 4) + 10, 1000 * (key // 4) + 100), 10**6 + key]) for key in range(20)]
-    rows = [(g, key, 92, pos, key, 0, 1, before, sets[key]) for g, pos, before in ((1, 5, []), (2, 9, [77])) for key in range(20)]
-    names = ["g", "key", "n", "pos", "label", "block", "same", "before", "shingles"]
-    batch = pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(7)] + [pa.array([r[k] for r in rows], pa.list_(pa.int64())) for k in (7, 8)], names=names)
-    got = [(x, y) for b in simhash.open_links(0.8)(iter([batch.slice(0, 13), batch.slice(13)])) for x, y in zip(b["a"].to_pylist(), b["b"].to_pylist(), strict=True)]
-    assert len(got) == 15 and all(x // 4 == y // 4 for x, y in got) and len({y for _, y in got}) == 15
+    rng = np.random.default_rng(3)
+    base = [f"b{k}" for k in range(245)]
+    texts = [changed(rng, base + [f"c{k}" for k in range(rng.integers(0, 30))], int(rng.integers(0, 7))) for _ in range(60)]
+    sets = [simhash.shingle_set(t.encode(), 5) for t in texts]
+    bits = simhash.bitmaps(pa.array(texts), 5).to_pylist()
+    order = sorted(range(60), key=lambda k: len(sets[k]))
+    rows = [(g, key, len(sets[key]), pos, key, 0, 1, before, bits[key]) for g, pos, before in ((1, 0, []), (2, 1, [77])) for key in order]
+    names = ["g", "key", "n", "pos", "label", "block", "same", "before", "bits"]
+    batch = pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(7)] + [pa.array([r[7] for r in rows], pa.list_(pa.int64())), pa.array([r[8] for r in rows])], names=names)
+    got = [(x, y) for b in simhash.open_pairs(0.8)(iter([batch.slice(0, 13), batch.slice(13)])) for x, y in zip(b["x"].to_pylist(), b["y"].to_pylist(), strict=True)]
+    like = {(i, j): simhash.similarity(sets[i], sets[j]) for i in range(60) for j in range(i + 1, 60)}
+    assert len(set(got)) == len(got) and {p for p, v in like.items() if v >= 0.8} <= set(got) < set(like)
+    assert min(like[p] for p in got) > 0.7 and len({len(b) for b in bits}) > 1

@@ -197,7 +197,7 @@ def test_pseudo_marginal_chain_and_its_draws(panels):
     from gradvb.panel import to_block
 
     block = to_block([r.panel_id for r in rows], [r.y for r in rows], [r.x for r in rows])
-    chain = baselines.pm_mcmc(block, start, n_is=max(count, 64), iters=1500, burn=500)
+    chain = baselines.pm_mcmc(block, start, n_is=max(count, 64), iters=1000, burn=300)
     sd = np.sqrt(np.diag(np.linalg.inv(-start.hess)))
     assert 0.05 < chain.accepted.mean() < 0.6 and (np.abs(chain.draws.mean(axis=0) - start.theta) < 1.0 * sd + 0.2).all()
 
@@ -215,7 +215,7 @@ def test_predecessor_on_panels_has_noise_of_its_own(panels):
 
 
 def test_panel_fit_agrees_with_quadrature(panels):
-    cfg = FitConfig(draws="rqmc", s=128, tolerance=1e-5).settled()
+    cfg = FitConfig(draws="rqmc", s=128, tolerance=1e-5, max_iter=12).settled()
     truth = fit_ngvb_panels(panels, Integrator("quadrature", 20), 146, None, replace(cfg, tolerance=1e-6), 1.0)
     fit = fit_ngvb_panels(panels, Integrator("prior", 256, "rqmc"), 73, None, cfg, 1.0)
     mean, sd = truth.state.marginals()
@@ -242,7 +242,7 @@ def test_integration_draws_are_fresh_in_each_estimate(panels):
 @pytest.mark.parametrize("kind", ["debiased", "laplace", "quadrature"])
 def test_every_integrator_serves_in_a_fit(panels, kind):
     how = Integrator(kind, 20 if kind == "quadrature" else 64, "mc")
-    cfg = FitConfig(s=32, max_iter=6, bound_steps=True)
+    cfg = FitConfig(s=16, max_iter=3, bound_steps=True)
     fit = fit_ngvb_panels(panels, how, 60, None, cfg, 1.0)
     assert fit.status != "diverged" and np.isfinite(fit.state.mu).all()
 

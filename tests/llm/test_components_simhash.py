@@ -76,7 +76,10 @@ def test_fingerprint_is_the_majority_of_shingle_hashes():
     assert fingerprint(b"a b", 3, 42) & (2**64 - 1) == xxhash.xxh64_intdigest(b"a b", 42)
 
 
-def test_groups_on_odd_rows(spark):
+@pytest.mark.parametrize("hot", [10_000, 1])
+def test_groups_on_odd_rows(spark, monkeypatch, hot):
+    """All texts named in place, and none of them."""
+    monkeypatch.setattr("gradvb.llm.simhash.HOT", hot)
     rows = [(5, "a b c d e", "x"), (3, "A b c d e", None), (3, "A b c d e", None), (9, None, "y"), (8, "", "y"), (None, "z", None), (7, "q " * 30000, None)]
     got = sorted((r.doc_id if r.doc_id is not None else -1, r.component_id) for r in simhash_groups(spark.createDataFrame(rows, "doc_id long, text string, fp string")).collect())
     assert got == [(-1, None), (3, 3), (3, 3), (5, 3), (7, 7), (8, 8), (9, 8)]

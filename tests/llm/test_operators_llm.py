@@ -438,6 +438,9 @@ def test_vectors_on_odd_rows_and_large_leaves(spark, monkeypatch):
     assert got[6] == (4, 6) and got[8] == (4, 6) and got[7] == (4, 6)
     assert all(got[k] == (0, k) for k in (1, 2, 3, 4, 5, 9, 10, 11))
     assert vector_dedup.near_vectors(spark.createDataFrame([], schema)).collect() == []
+    monkeypatch.setattr(vector_dedup, "HOT", 1)  # no vector is named in place
+    got = {r.vec_id: (r.n_links, r.component_id) for r in vector_dedup.near_vectors(spark.createDataFrame(rows, schema)).collect() if r.vec_id}
+    assert got[6] == (4, 6) and got[8] == (4, 6) and got[7] == (4, 6) and got[9] == (0, 9)
     monkeypatch.setattr(vector_dedup, "CHUNK", 8)
     many = [(k, [1.0, 0.001 * k], 0) for k in range(40)]
     assert {r.n_links for r in vector_dedup.near_vectors(spark.createDataFrame(many, schema)).collect()} == {39}

@@ -1,13 +1,14 @@
 """License scans by a positional index of license notices.
 
-The words of all notices are counted over the documents once. A file is then looked up by those of its license
-words that are rarest there; postings of one notice that agree on where it begins, give or take a few words, make a candidate;
-a candidate is aligned with the file word by word, and its key phrases must stand there.
+The words of all notices are counted over the documents once. A file that holds the key phrases of a notice is looked up by those of its words
+of that notice that are rarest there; postings that agree on where the notice begins, give or take a few words, make a candidate;
+a candidate whose key phrases stand in it is aligned with the file word by word.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -87,6 +88,10 @@ NOTICES = [
 ]
 
 
+#: Notices of so many words are whole texts.
+WHOLE_TEXT = 50
+
+
 def word_hashes(words: list[str]) -> np.ndarray:
     data = np.frombuffer(" ".join(words).encode(), np.uint8)
     ends = np.cumsum([len(w.encode()) + 1 for w in words]) - 1
@@ -94,12 +99,8 @@ def word_hashes(words: list[str]) -> np.ndarray:
     return mix(span_hash(prefix_hash(data), starts, ends))
 
 
-def find_run(words: list[int], phrase: list[int]) -> bool:
-    return any(words[i : i + len(phrase)] == phrase for i in range(len(words) - len(phrase) + 1))
-
-
 class NoticeIndex:
-    """Postings (notice, position) of all words of the notices by word hash, and each word's rarity in the documents.
+    """The words of the notices by number, where they stand in each, and each word's rarity in the documents.
 
     ``df`` gives the documents that hold a word (by hash) and ``n`` their number; without them all words are alike.
     """
@@ -107,42 +108,54 @@ class NoticeIndex:
     def __init__(self, notices: list[tuple[str, str, list[str]]] = NOTICES, df: dict[int, int] | None = None, n: int = 0, rare: int = 24, cover: float = 0.7, slack: int = 4) -> None:
         self.rare, self.cover, self.slack = rare, cover, slack
         self.labels = [x[0] for x in notices]
-        self.hashes = [word_hashes(x[1].split()) for x in notices]
-        self.must = [[word_hashes(p.split()).tolist() for p in x[2]] for x in notices]
-        flat = np.concatenate(self.hashes)
-        order = np.argsort(flat, kind="stable")
-        self.key = flat[order]
-        self.notice = np.repeat(np.arange(len(notices)), [len(h) for h in self.hashes])[order]
-        self.place = np.concatenate([np.arange(len(h)) for h in self.hashes])[order]
-        self.words = np.unique(self.key)
+        hashes = [word_hashes(x[1].split()) for x in notices]
+        self.words = np.unique(np.concatenate([*hashes, *(word_hashes(p.split()) for x in notices for p in x[2])]))
+        self.numbered = [np.searchsorted(self.words, h) for h in hashes]
+        self.must = [[tuple(np.searchsorted(self.words, word_hashes(p.split())).tolist()) for p in x[2]] for x in notices]
+        self.offsets = [[next((i for i in range(len(own)) if tuple(own[i : i + len(p)].tolist()) == p), 0) for p in must] for own, must in zip(self.numbered, self.must, strict=True)]
+        self.whole = [len(own) >= WHOLE_TEXT for own in self.numbered]
         seen = np.array([(df or {}).get(int(w), 0) for w in self.words.view(np.int64)])
         self.rarity = np.log((n + 2) / (seen + 1)) if n else np.ones(len(self.words))
-        self.weights = [self.rarity[np.searchsorted(self.words, h)] for h in self.hashes]
-        self.first = np.searchsorted(self.key, self.words)
-        self.count = np.diff(np.append(self.first, len(self.key)))
+        self.weights = [self.rarity[own] for own in self.numbered]
 
-    def looked_up(self, word: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Places of each text's ``rare`` rarest license words (every occurrence of them), and their numbers."""
+    def numbers(self, word: np.ndarray) -> np.ndarray:
+        """Each word's number among the words of the notices, -1 if none has it."""
         at = np.minimum(np.searchsorted(self.words, word), len(self.words) - 1)
-        place = np.flatnonzero(self.words[at] == word)
-        own, which = text[place], at[place]
-        pairs = np.unique(own * len(self.words) + which)
-        t, w = pairs // len(self.words), pairs % len(self.words)
-        order = np.lexsort((w, -self.rarity[w], t))
-        rank = np.arange(len(t)) - np.searchsorted(t, t)
-        kept = pairs[order[rank < self.rare]]
-        chosen = np.isin(own * len(self.words) + which, kept)
-        return place[chosen], which[chosen]
-
-    def aligned(self, words: list[int], notice: int) -> np.ndarray:
-        """Which words of the notice a longest common subsequence with ``words`` holds."""
-        own = self.hashes[notice].tolist()
-        table = np.zeros((len(own) + 1, len(words) + 1), np.int32)
-        given = np.array(words, np.uint64)
+        return np.where(self.words[at] == word, at, -1)
+
+    def phrase_places(self, number: np.ndarray, text: np.ndarray) -> dict[tuple[int, ...], np.ndarray]:
+        """Where each key phrase stands within a text."""
+        places: dict[tuple[int, ...], np.ndarray] = {}
+        for phrase in {p for must in self.must for p in must}:
+            at = np.flatnonzero(number[: max(0, len(number) - len(phrase) + 1)] == phrase[0])
+            for k in range(1, len(phrase)):
+                at = at[number[at + k] == phrase[k]]
+            places[phrase] = at[text[at] == text[at + len(phrase) - 1]] if len(at) else at
+        return places
+
+    def looked_up(self, number: np.ndarray, notice: int) -> np.ndarray:
+        """Where the notice would begin by each place in a text of the ``rare`` rarest of its words that the notice has, and of the key phrases' words; sorted."""
+        own = np.unique(number)
+        own = own[np.isin(own, self.numbered[notice])]
+        chosen = own[np.lexsort((own, -self.rarity[own]))[: self.rare]]
+        chosen = np.union1d(chosen, [w for phrase in self.must[notice] for w in phrase])
+        # postings: places of the notice by word
+        order = np.argsort(self.numbered[notice], kind="stable")
+        key = self.numbered[notice][order]
+        spot = np.flatnonzero(np.isin(number, chosen))
+        lo, hi = np.searchsorted(key, number[spot]), np.searchsorted(key, number[spot], side="right")
+        n = hi - lo
+        posting = np.repeat(lo - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
+        return np.sort(np.repeat(spot, n) - order[posting])
+
+    def aligned(self, given: np.ndarray, notice: int) -> np.ndarray:
+        """Which words of the notice a longest common subsequence with the word numbers ``given`` holds."""
+        own = self.numbered[notice].tolist()
+        table = np.zeros((len(own) + 1, len(given) + 1), np.int32)
         for i, x in enumerate(own):
             step = np.maximum(table[i, 1:], np.where(given == x, table[i, :-1] + 1, 0))
             table[i + 1, 1:] = np.maximum.accumulate(step)
-        held, i, j = np.zeros(len(own), bool), len(own), len(words)
+        held, i, j = np.zeros(len(own), bool), len(own), len(given)
         while i and j:
             if table[i, j] == table[i - 1, j]:
                 i -= 1
@@ -156,36 +169,54 @@ class NoticeIndex:
     def matches(self, word: np.ndarray, text: np.ndarray, first: np.ndarray) -> list[tuple[int, int, float]]:
         """(text, notice, coverage) of notices that stand in a text, perhaps with edits, or cut off at its ends.
 
-        ``first`` has each text's first word and, at its end, the number of words.
+        ``first`` has each text's first word and, at its end, the number of words. A notice is looked up only in texts that hold
+        all of its key phrases (one of them, if it is the whole text of a license), and aligned only where they stand; this holds for every match, so none is lost.
         """
-        place, which = self.looked_up(word, text)
-        if not len(place):
-            return []
-        n = self.count[which]
-        posting = np.repeat(self.first[which] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-        spot = np.repeat(place, n)
-        start, notice, owner = spot - self.place[posting], self.notice[posting], text[spot]
-        order = np.lexsort((start, notice, owner))
-        start, notice, owner, spot = start[order], notice[order], owner[order], spot[order]
-        # postings of one notice whose beginnings are near each other are one candidate; each of its places is one vote
-        new = np.ones(len(start), bool)
-        new[1:] = (owner[1:] != owner[:-1]) | (notice[1:] != notice[:-1]) | (start[1:] > start[:-1] + self.slack)
-        group = np.cumsum(new) - 1
-        votes = np.bincount(np.unique(group * (len(word) + 1) + spot) // (len(word) + 1))
-        lo, hi = start[new], np.maximum.reduceat(start, np.flatnonzero(new))
+        number = self.numbers(word)
+        places = self.phrase_places(number, text)
         found: dict[tuple[int, int], float] = {}
-        for g in np.flatnonzero(votes >= 3).tolist():
-            t, k = int(owner[new][g]), int(notice[new][g])
-            size = len(self.hashes[k])
-            if votes[g] < min(size, self.rare) * 0.3:
-                continue
-            begin, end = max(int(first[t]), int(lo[g]) - self.slack), min(int(first[t + 1]), int(hi[g]) + size + self.slack)
-            words = word[begin:end].tolist()
-            share = float(self.weights[k][self.aligned(words, k)].sum() / max(self.weights[k].sum(), 1e-9))
-            if share >= self.cover and all(find_run(words, phrase) for phrase in self.must[k]):
-                found[t, k] = max(found.get((t, k), 0.0), share)
+        for k, must in enumerate(self.must):
+            owners = [np.unique(text[places[phrase]]) for phrase in must]
+            holders = reduce(np.union1d if self.whole[k] else np.intersect1d, owners)
+            for t in holders.tolist():
+                low, high = int(first[t]), int(first[t + 1])
+                at = [p[np.searchsorted(p, low) : np.searchsorted(p, high)] - low for p in (places[phrase] for phrase in must)]
+                share = self.coverage(number[low:high], k, at)
+                if share >= self.cover:
+                    found[t, k] = share
         return [(t, k, share) for (t, k), share in found.items()]
 
+    def coverage(self, number: np.ndarray, notice: int, at: list[np.ndarray]) -> float:
+        """The best coverage of a notice in one text, 0 if no candidate has its key phrases; ``at`` has the places of each of them.
+
+        In whole texts of licenses, other key phrases than one may be edited as well, but hold six tenths of their words.
+        """
+        size, must, weights = len(self.numbered[notice]), self.must[notice], self.weights[notice]
+        start = self.looked_up(number, notice)
+        if not len(start):
+            return 0.0
+        # postings whose beginnings are near each other are one candidate
+        new = np.append(True, start[1:] > start[:-1] + self.slack)
+        lo, hi = start[new], start[np.append(np.flatnonzero(new)[1:], len(start)) - 1]
+        # words may be inserted by up to ``slack`` a word of the notice, so it reaches no farther than this from a key phrase
+        reach, best, seen = self.slack * size, 0.0, set()
+        whole, offsets = self.whole[notice], self.offsets[notice]
+        for place, offset in list(zip(at, offsets, strict=True))[: None if whole else 1]:
+            for p in (place - offset).tolist():
+                for g in range(int(np.searchsorted(hi, p - reach)), int(np.searchsorted(lo, p + reach, side="right"))):
+                    begin = max(0, int(lo[g]) - self.slack, p - reach)
+                    end = min(len(number), int(hi[g]) + size + self.slack, p + reach + size)
+                    stand = [np.searchsorted(x, begin) < np.searchsorted(x, end - len(m), side="right") for x, m in zip(at, must, strict=True)]
+                    if (begin, end) in seen or not (any(stand) if whole else all(stand)):
+                        continue
+                    seen.add((begin, end))
+                    held = self.aligned(number[begin:end], notice)
+                    if all(ok or held[o : o + len(m)].mean() >= 0.6 for ok, o, m in zip(stand, offsets, must, strict=True)):
+                        best = max(best, float(weights[held].sum() / max(weights.sum(), 1e-9)))
+                    if best > 1 - 1e-9:
+                        return best
+        return best
+
 
 def word_counts(docs: DataFrame, notices: list[tuple[str, str, list[str]]], text_col: str = "text") -> tuple[dict[int, int], int]:
     """How many of all texts hold each word of the notices, and the number of texts; a task sends a row for each of these words."""

@@ -227,6 +227,18 @@ def test_notices_are_found_with_edits_and_cut_off(spark):
     assert got[2] == got[3] == ["cc-by-4.0"] and got[4:] == [[""]] * 3
 
 
+def test_every_notice_of_a_text_is_found_and_none_aligned_without_its_key_phrases(spark, monkeypatch):
+    """A text of many notices has more license words than are looked up of one; prose of license words aligns with nothing."""
+    rng = np.random.default_rng(5)
+    joined = " and so on ".join(x[1] for x in licenses.NOTICES)
+    got = licenses.scan(spark.createDataFrame([(0, joined)], "doc_id long, text string")).collect()[0].labels.split(",")
+    assert {x[0] for x in licenses.NOTICES} <= set(got)
+    index = licenses.NoticeIndex()
+    monkeypatch.setattr(index, "aligned", lambda *_: pytest.fail("aligned without its key phrases"))
+    prose = licenses.word_hashes([str(w) for w in rng.choice(sorted(set((licenses.MIT + licenses.BSD).split()) - {"hereby", "binary"}), 20_000)])
+    assert index.matches(prose, np.zeros(len(prose), np.int64), np.array([0, len(prose)])) == []
+
+
 def test_words_of_notices_are_counted_over_all_documents(spark):
     df = spark.createDataFrame([("the license",), ("The LICENSE license",), (None,), ("software",)], "text string").repartition(3)
     counts, n = licenses.word_counts(df, licenses.NOTICES)

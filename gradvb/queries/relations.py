@@ -96,9 +96,8 @@ def stream_sessions(spark, sf_dir):
 
 
 def stream_dedup(spark, sf_dir):
-    name = f"s{uuid.uuid4().hex[:10]}"
-    online.run_to_end(online.deduplicated(online.event_stream(stream_table(spark, sf_dir, "events"))), name, "append", folder(spark))
-    return spark.table(name).groupBy("event_type").agg(F.count("*").alias("n"))
+    kept = online.deduplicated(online.event_stream(stream_table(spark, sf_dir, "events")))
+    return online.run_to_table(kept.select("event_id", "event_type"), folder(spark), folder(spark)).groupBy("event_type").agg(F.count("*").alias("n"))
 
 
 def stream_panels(spark, sf_dir):
@@ -117,10 +116,9 @@ def stream_static(spark, sf_dir):
 
 def stream_pairs(spark, sf_dir):
     """Stream-stream join: each user's events with those of the hour after them."""
-    name = f"s{uuid.uuid4().hex[:10]}"
     left, right = (online.event_stream(stream_table(spark, sf_dir, "events"), "3650 days") for _ in range(2))
-    online.run_to_end(online.matched_streams(left, right, 3600), name, "append", folder(spark))
-    return spark.table(name).where("left_id != right_id").select("user_id", "left_id", "right_id")
+    pairs = online.matched_streams(left, right, 3600).where("left_id != right_id").select("user_id", "left_id", "right_id")
+    return online.run_to_table(pairs, folder(spark), folder(spark))
 
 
 def random_functions(spark, sf_dir):

@@ -154,8 +154,14 @@ def sql_functions(spark, sf_dir):
 
 
 def table_functions(spark, sf_dir):
+    """A net for each nation, draws for each supplier, keyed by their numbers, and a density grid for each kind of event."""
     register(spark)
-    return spark.sql("SELECT 'net' AS kind, count(*) AS n, round(avg(u), 6) AS v FROM sobol_points(256, 5, 3) UNION ALL SELECT 'draws', count(*), round(avg(value), 6) FROM explode_draws(64, 4, 9) UNION ALL SELECT 'grid', count(*), round(sum(pdf), 6) FROM density_grid(0.5D, 2D, 41)")
+    register_views(spark, sf_dir, ["nation", "supplier", "events"])
+    return spark.sql(
+        "SELECT 'net' AS kind, count(*) AS n, round(avg(u), 6) AS v FROM nation, LATERAL sobol_points(16, 3, n_nationkey + 1) "
+        "UNION ALL SELECT 'draws', count(*), round(avg(value), 6) FROM supplier, LATERAL explode_draws(2, 3, s_suppkey) "
+        "UNION ALL SELECT 'grid', count(*), round(sum(pdf), 6) FROM (SELECT avg(value) AS mean, stddev_samp(value) AS sd FROM events GROUP BY event_type) kinds, LATERAL density_grid(mean, sd, 41)"
+    )
 
 
 def lateral_draws(spark, sf_dir):

@@ -456,13 +456,27 @@ def similarity(a: set, b: set) -> float:
     return len(a & b) / len(a | b)
 
 
-def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def fingerprint_pairs(texts: DataFrame, bits: int = 3) -> DataFrame:
+    """Pairs (x, y) of keys of ``texts`` (key, text) that SimHash links: the least key of a fingerprint with every other key of it, and with those of fingerprints within ``bits`` of it.
+
+    Links of large signature runs are a spanning forest, as ``near_links`` gives them.
+    """
+    each = cut_lineage(fingerprints(texts, "key", "text").groupBy("id", "fp").agg(F.lit(1).alias("one")).select("id", "fp"))
+    leads = cut_lineage(each.groupBy("fp").agg(F.min("id").alias("lead"), F.count("*").alias("n")))
+    shared = checked(cut_lineage(leads.where("n > 1").select("fp", F.col("lead").alias("x"))))
+    same = each.join(shared, "fp").where("id != x").select("x", F.col("id").alias("y"))
+    ends = leads.select("fp", "lead")
+    near = near_links(leads.select("fp"), bits).join(ends.toDF("a", "la"), "a").join(ends.toDF("b", "lb"), "b")
+    return same.union(near.select(F.least("la", "lb"), F.greatest("la", "lb")))
+
+
+def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, bits: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text_key) of the rows that stay: one of each group of equal or near-equal texts, that of the smallest id.
 
-    Texts are near if their sets of ``shingle`` words have a similarity of ``least``. Two such texts share
-    one of the first shingles of each, in an order common to all texts, and meet there; each pair is
+    Texts are near if their sets of ``shingle`` words have a similarity of ``least``. SimHash pairs texts whose fingerprints are at most ``bits`` apart. An exact
+    search gives the pairs that fingerprints miss: two near texts share one of the first shingles of each, in an order common to all texts, and meet there. Each pair is
     verified on the texts. Small buckets give all their pairs. Large ones first give a chain and a star, then every pair that the links
-    verified so far leave apart and that bitmaps of both texts' shingles do not rule out, so no pair that could join two groups is left out.
+    verified so far, SimHash's among them, leave apart and that bitmaps of both texts' shingles do not rule out, so no pair that could join two groups is left out.
     """
     import zstandard
 
@@ -486,7 +500,8 @@ def rows_that_stay(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col
     buckets = texts.select("key", "n", F.posexplode("prefix").alias("pos", "h")).select("h", "key", "n", F.col("pos").cast("long").alias("pos"))
     met = buckets.repartition("h").sortWithinPartitions("h", "key").mapInArrow(lean(first_pairs(least)), "a long, b long, h long, n long, pos long")
     met = cut_lineage(met)
-    found = cut_lineage(met.where("b is not null").select(F.col("a").alias("x"), F.col("b").alias("y")).distinct())
+    found = met.where("b is not null").select(F.col("a").alias("x"), F.col("b").alias("y")).union(fingerprint_pairs(rows.select("key", "text"), bits))
+    found = cut_lineage(found.distinct())
     members = met.where("b is null").select("h", F.col("a").alias("key"), "n", "pos")
 
     def zipped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -82,3 +82,20 @@ def test_large_buckets_give_each_pair_once_and_rule_none_out_that_is_near():
     like = {(i, j): simhash.similarity(sets[i], sets[j]) for i in range(60) for j in range(i + 1, 60)}
     assert len(set(got)) == len(got) and {p for p, v in like.items() if v >= 0.8} <= set(got) < set(like)
     assert min(like[p] for p in got) > 0.7 and len({len(b) for b in bits}) > 1
+
+
+def test_fingerprints_pair_near_texts_and_the_stage_uses_them(spark, monkeypatch):
+    """SimHash joins the keys of each group of close fingerprints; the stage keeps what brute force keeps, with its pairs among the candidates."""
+    rng = np.random.default_rng(12)
+    texts = []
+    for _ in range(20):
+        own = [f"w{rng.integers(10**9)}" for _ in range(400)]
+        texts += [" ".join(own), changed(rng, own, 1), changed(rng, own, 2)]
+    texts += ["", " ", "\t"]
+    prints = [simhash.fingerprint(t.encode(), 3, 42) & (1 << 64) - 1 for t in texts]
+    want = plain_components([(i, j) for i in range(len(texts)) for j in range(i + 1, len(texts)) if (prints[i] ^ prints[j]).bit_count() <= 3])
+    got = plain_components([tuple(r) for r in simhash.fingerprint_pairs(spark.createDataFrame(list(enumerate(texts)), "key long, text string")).collect()])
+    assert got == want and len(want) > 20
+    seen, search = [], simhash.fingerprint_pairs
+    monkeypatch.setattr(simhash, "fingerprint_pairs", lambda *a: seen.append(search(*a)) or seen[-1])
+    assert stay(spark, texts) == brute_stay(texts)[0] and len(seen) == 1

@@ -2,6 +2,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from gradvb import estimators
 from gradvb.designs import flights
 from gradvb.estimators import block_kernel, from_frame, remainders
 from gradvb.models import Logit
@@ -40,3 +41,24 @@ def test_rows_of_their_own_stay_as_they_are(spark):
     for k in range(16):
         exact = exact_sums(frame, thetas[k])
         assert np.allclose(grad[k], exact.grad) and np.isclose(ll[k], exact.loglik)
+
+
+@pytest.mark.parametrize("scheme", ["replacement", "slice"])
+def test_large_stores_of_few_kinds_are_held(spark, obs, monkeypatch, scheme):
+    """A store beyond the driver's numbers was joined with an index list for each sample, however few its kinds."""
+    from gradvb.estimators import HeldStore, SampleProvider
+    from gradvb.sampling import lay_out, tile_counts
+
+    store = lay_out(obs)
+    counts, anchor, thetas = tile_counts(store), exact_sums(obs, np.full(4, 0.1)), np.random.default_rng(4).normal(size=(8, 4)) * 0.1
+    fetched = SampleProvider(store, anchor, 0.05, scheme=scheme, counts=counts, hold=False, engine="driver").estimate(thetas, 3)
+    monkeypatch.setattr(estimators, "DRIVER_NUMBERS", 1000)
+    monkeypatch.setattr(estimators, "FETCH_ROWS", 900)
+    whole = HeldStore(store, counts)
+    assert whole.fits() and not whole.small()
+    provider = SampleProvider(store, anchor, 0.05, scheme=scheme, counts=counts, whole=whole)
+    got = provider.estimate(thetas, 3)
+    assert provider.holds and len(whole.kind) == sum(counts.values()) and len(whole.x) <= 400
+    assert np.allclose(got.grad, fetched.grad) and np.allclose(got.loglik, fetched.loglik) and got.rows == fetched.rows
+    monkeypatch.setattr(estimators, "HELD_KINDS", 10)
+    assert not HeldStore(store, counts).fits()

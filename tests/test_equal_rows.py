@@ -53,7 +53,7 @@ def test_large_stores_of_few_kinds_are_held(spark, obs, monkeypatch, scheme):
     counts, anchor, thetas = tile_counts(store), exact_sums(obs, np.full(4, 0.1)), np.random.default_rng(4).normal(size=(8, 4)) * 0.1
     fetched = SampleProvider(store, anchor, 0.05, scheme=scheme, counts=counts, hold=False, engine="driver").estimate(thetas, 3)
     monkeypatch.setattr(estimators, "DRIVER_NUMBERS", 1000)
-    monkeypatch.setattr(estimators, "FETCH_ROWS", 900)
+    monkeypatch.setattr(estimators, "FETCH_ROWS", 300)  # less than a tile
     whole = HeldStore(store, counts)
     assert whole.fits() and not whole.small()
     provider = SampleProvider(store, anchor, 0.05, scheme=scheme, counts=counts, whole=whole)

@@ -62,3 +62,35 @@ def test_large_stores_of_few_kinds_are_held(spark, obs, monkeypatch, scheme):
     assert np.allclose(got.grad, fetched.grad) and np.allclose(got.loglik, fetched.loglik) and got.rows == fetched.rows
     monkeypatch.setattr(estimators, "HELD_KINDS", 10)
     assert not HeldStore(store, counts).fits()
+
+
+def test_long_index_lists_draw_the_same_rows(spark, obs, monkeypatch):
+    """Beyond a number of rows executors drew other rows than the driver would, so fits moved with the size alone."""
+    from gradvb import sampling
+
+    store = sampling.lay_out(obs)
+    counts = sampling.tile_counts(store)
+    monkeypatch.setattr(sampling, "TILE_ROWS", 70)
+    keys = ["draw_id", "tile", "row_idx", "w"]
+    rows = lambda: sorted(map(tuple, sampling.with_replacement(store, counts, 300, 5, 2, 3)[0].select(*keys).collect()))
+    short = rows()
+    monkeypatch.setattr(sampling, "BROADCAST_INDEX", 100)
+    assert rows() == short and sum(r[3] for r in short) == 900
+
+
+def test_ablations_take_the_same_samples_at_every_size(spark, monkeypatch):
+    """Arms that leave the scheme open took slices from 20 million rows on."""
+    from gradvb import fit
+    from gradvb.queries import experiments
+
+    used = []
+
+    def first_arms(provider, *_):
+        used.append((provider.scheme, provider.pairing))
+        raise StopIteration
+
+    monkeypatch.setattr(fit, "CACHED_ROWS", 1000)
+    monkeypatch.setattr(experiments, "ascend", first_arms)
+    with pytest.raises(StopIteration):
+        experiments.QUERIES["ablations"](spark, "/root/testdata/sf0.001")
+    assert used == [("replacement", "shared")]

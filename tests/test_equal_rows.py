@@ -94,3 +94,49 @@ def test_ablations_take_the_same_samples_at_every_size(spark, monkeypatch):
     with pytest.raises(StopIteration):
         experiments.QUERIES["ablations"](spark, "/root/testdata/sf0.001")
     assert used == [("replacement", "shared")]
+
+
+def test_chain_on_many_cells_makes_no_pass_for_a_step(spark, monkeypatch):
+    """With more than 100000 covariate cells every step was a job over the rows."""
+    from gradvb import baselines, sums
+
+    def refused(*_):
+        raise AssertionError("a pass over the rows")
+
+    frame = spark.range(120_000).select(F.lit(1.0).alias("x0"), (F.col("id") / 120_000).alias("x1"), F.pmod(F.xxhash64("id"), F.lit(2)).cast("double").alias("y"))
+    exact = sums.fit_mle(frame)
+    value = exact_sums(frame, [0.3, -0.2], order=0).loglik
+    monkeypatch.setattr(sums, "exact_sums", refused)
+    chain = baselines.rw_mcmc(frame, iters=20, burn=10)
+    assert chain.draws.shape == (20, 2)
+    cells = estimators.sufficient_cells(frame)
+    assert len(cells.x) == 120_000 and cells.loglik(np.array([0.3, -0.2])) == pytest.approx(value)
+    assert np.allclose(cells.fit_mle().theta, exact.theta, atol=1e-9)
+
+
+def test_subsets_of_few_kinds_are_fitted_by_one_aggregate(obs, monkeypatch):
+    """Each Newton step was a job."""
+    from gradvb import sums
+
+    best = sums.fit_anchor(obs, fraction=0.5)
+    monkeypatch.setattr(sums, "SUBSET_KINDS", 10)
+    rows = sums.fit_anchor(obs, fraction=0.5)
+    assert best.n == rows.n and np.allclose(best.theta, rows.theta, atol=1e-9) and np.allclose(best.hess, rows.hess, rtol=1e-9)
+    monkeypatch.setattr(sums, "SUBSET_KINDS", 1000)
+    monkeypatch.setattr(sums, "exact_sums", lambda *_: 1 / 0)
+    assert sums.fit_anchor(obs, fraction=0.5).n == best.n
+
+
+def test_tiles_are_dealt_out_evenly(obs):
+    """Sixteen hashed tiles left some of eight tasks with several and others with none."""
+    from gradvb.sampling import build_store
+
+    store = build_store(obs, 16)
+    assert [r["count"] for r in store.select(F.spark_partition_id().alias("p"), "tile").distinct().groupBy("p").count().collect()] == [1] * 16
+
+
+def test_incomplete_rows_of_a_design_go(spark):
+    from gradvb.designs import design
+
+    rows = spark.createDataFrame([(1.0, 1.0), (None, 1.0), (1.0, None), (float("nan"), 0.0), (0.0, float("nan"))], "a double, b double")
+    assert [tuple(r) for r in design(rows, F.col("b"), {"a": F.col("a")}).collect()] == [(1.0, 1.0, 1.0)]
